@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from importlib import import_module
 
-_MODULES = ("pii", "pieces")
+_MODULES = ("pii", "pieces", "tokenfile")
 
 
 def queries() -> dict:
