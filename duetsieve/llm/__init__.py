@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from importlib import import_module
 
-_MODULES = ("pii", "pieces", "tokenfile", "rules", "setjoin")
+_MODULES = ("pii", "pieces", "tokenfile", "rules", "setjoin", "substring")
 
 
 def queries() -> dict:
