@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from importlib import import_module
 
-_MODULES = ("pii", "quality", "pieces", "tokenfile", "rules", "setjoin", "substring")
+_MODULES = ("pii", "quality", "pieces", "tokenfile", "ann", "rules", "setjoin", "substring")
 
 
 def queries() -> dict:
