@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from importlib import import_module
 
-_MODULES = ("pii", "quality", "pieces", "tokenfile", "ann", "rules", "setjoin", "mixing", "substring")
+_MODULES = ("pii", "quality", "pieces", "tokenfile", "ann", "linedup", "rules", "setjoin", "mixing", "substring")
 
 
 def queries() -> dict:
