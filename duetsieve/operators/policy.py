@@ -110,11 +110,11 @@ def train_policies(features: DataFrame, ref: Reference, cfg: PolicyConfig, order
     rows = materialised(rows.select("feats", "n_w", "n_l", "ref_w", "ref_l", half.cast("int").alias("half"), (F.col(order) if order else F.lit(0)).cast("long").alias("at")), "training")
     v, masks = cfg.vocabulary, _masks(cfg)
     theta, log_z = np.zeros((2, v)), np.zeros(2)
-    power = np.zeros((2, v))
+    power, mass = np.zeros((2, v)), ref.mass
     out = Policies(theta, log_z)
 
     def gradients(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        q = ref.mass * np.exp(theta - log_z[:, None])
+        q = mass * np.exp(theta - log_z[:, None])
         total, stats = np.zeros((2, v)), np.zeros((2, 5))
         for b in batches:
             feats = b.column("feats")
@@ -146,8 +146,8 @@ def train_policies(features: DataFrame, ref: Reference, cfg: PolicyConfig, order
         grad, stats = sums[: 2 * v].reshape(2, v), sums[2 * v :].reshape(2, 5)
         grad = grad / np.maximum(stats[:, :1], 1e-9) * masks
         power = 0.9 * power + 0.1 * grad * grad
-        theta = np.round(theta + cfg.rate * 0.01 * grad / (np.sqrt(power) + 1e-6) * (1 + 0 * step), 9)
-        log_z = np.log((ref.mass * np.exp(theta)).sum(1))
+        theta = np.round(theta + cfg.rate * 0.01 * grad / (np.sqrt(power) + 1e-6), 9)
+        log_z = np.log((mass * np.exp(theta)).sum(1))
         out.theta, out.log_z = theta, log_z
         n = np.maximum(stats[:, 0], 1e-9)
         for p, name in enumerate(("pos", "inv")):
