@@ -88,13 +88,13 @@ def removals(docs: DataFrame, num: int = 80, den: int = 100) -> DataFrame:
 
 def deduped(docs: DataFrame, num: int = 80, den: int = 100) -> DataFrame:
     """``docs`` with the removed lines gone from ``text``; documents left without a word go; n_chars follows the text."""
-    marked = docs.join(removals(docs.select("doc_id", "text"), num, den).select(F.col("doc_id").alias("_id"), "gone"), docs["doc_id"].cast("long") == F.col("_id"), "left").drop("_id")
-    kept = F.filter(F.split("text", "\n"), lambda t, i: ~F.array_contains("gone", i))
-    out = marked.withColumn("text", F.when(F.col("gone").isNull(), F.col("text")).otherwise(F.array_join(kept, "\n")))
-    out = out.where(F.col("gone").isNull() | F.col("text").rlike("[^ \\t\\n\\x0B\\f\\r]"))
-    if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.col("gone").isNull(), F.col("n_chars")).otherwise(F.length("text")).cast(docs.schema["n_chars"].dataType))
-    return out.select(*docs.columns)
+    packed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.struct("*").alias("row"))  # other columns can't clash
+    found = packed.join(removals(docs.select("doc_id", "text"), num, den), "doc_id", "left")
+    same, text = F.col("gone").isNull(), F.col("row")["text"]
+    kept = F.array_join(F.filter(F.split(text, "\n"), lambda t, i: ~F.array_contains("gone", i)), "\n")
+    out = found.withColumn("kept", F.when(~same, kept)).where(same | F.col("kept").rlike("[^ \\t\\n\\x0B\\f\\r]"))
+    changed = {"text": F.col("kept"), "n_chars": F.length("kept")}
+    return out.select(*[F.when(same, F.col("row")[c]).otherwise(changed[c].cast(docs.schema[c].dataType)).alias(c) if c in changed else F.col("row")[c].alias(c) for c in docs.columns])
 
 
 def op6_linedup(spark: SparkSession, sf_dir: str) -> DataFrame:

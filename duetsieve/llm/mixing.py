@@ -112,7 +112,9 @@ def mixed(docs: DataFrame, how: Mixture = Mixture()) -> DataFrame:
 
 def sampled(docs: DataFrame, how: Mixture = Mixture()) -> DataFrame:
     """The drawn documents with the columns of ``docs``."""
-    return mixed(docs, how).where("_sampled").select(*docs.columns)
+    own = ["doc_id", "text", "source", "lang", *[c for c in docs.columns if c == "topic"]]
+    packed = docs.select(*own, F.struct("*").alias("_row"))  # other columns can't clash
+    return mixed(packed, how).where("_sampled").select("_row.*")
 
 
 def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:

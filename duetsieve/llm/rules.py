@@ -73,7 +73,8 @@ def ledger(docs: DataFrame, text: str = "text") -> DataFrame:
     """``docs`` without the text, with the measurements and ``failures``."""
     t = F.coalesce(F.col(text), F.lit(""))
     keep = [c for c in docs.columns if c not in (*MEASURES, "failures", text)]
-    cut = docs.select(*keep, t.alias("_t")).withColumn("_w", words_of(F.col("_t")))
+    row = [F.struct(*keep).alias("_row")] if keep else []  # other columns can't clash
+    cut = docs.select(*row, t.alias("_t")).withColumn("_w", words_of(F.col("_t")))
     lines = F.filter(F.split(F.col("_t"), "\n"), lambda x: x.rlike("[^ \\t\\x0B\\f\\r]"))
     k = 3
     n_windows = F.size("_w") - (k - 1)
@@ -87,7 +88,7 @@ def ledger(docs: DataFrame, text: str = "text") -> DataFrame:
     gaps = F.transform("_p", lambda p, i: F.least(F.lit(k), F.coalesce(F.get(F.col("_p"), i + 1) - p, F.lit(k))))
     plain = F.translate("_t", WS_CHARS, "")
     measured = cut.select(
-        *keep,
+        *(["_row.*"] if keep else []),
         F.size("_w").cast("long").alias("n_words"),
         F.length(plain).cast("long").alias("word_chars"),
         (F.length(plain) - F.length(F.translate(plain, SYMBOLS, ""))).cast("long").alias("n_symbols"),
