@@ -1,20 +1,19 @@
 """Removal of repeated passages: windows repeated at one length are extended to twice that length.
 
-Lengths double from ``first`` words to the window asked for (5, 10, 20):
-
-* 5 words.  Every 20-word window names the 5-word window of least hash in it, so that one place in about
-  eight has to be counted, and equal long windows name equal places.  Places whose content is counted once
+* 10 words.  Every 20-word window names the 10-word window of least hash in it, so that one place in about
+  six has to be counted, and equal long windows name equal places.  Places whose content is counted once
   only are dropped, and with them all long windows that name them.
-* 10 words.  What is left is extended to the ten words from the place on, or, where the long window ends too
-  early for that, from five words before it.  Rows go to the 10-word windows' hashes.
-* 20 words.  Inside the rows of one 10-word window, sorted by document and place, a 20-word window that has
-  been seen before is repeated: it starts earlier in the sorted order.
+* 20 words.  What is left is extended to twice the length, under the hash of the place.  Inside the rows of
+  one place's content, sorted by document and start, a 20-word window that has been seen before is repeated:
+  it starts earlier in the sorted order.
 
 Longer passages need no further level for this result, since a word is removed when any 20-word window
-covers it; ``levels`` continues the doubling for reports until no candidate survives.
+covers it: no candidate survives the last level.
 
-Repeats inside one block of texts are settled where the block is read, and of a window's copies there only
-the first travels, so that one passage in a third of all documents sends one row a block.
+Repeats inside one block of texts are settled where the block is read, and of a block's equal places or
+windows only the first travels under their hash, so that one passage in a third of all documents sends one
+row a block to the task that holds it.  The texts are dealt out by id once, for the second level and for the
+result alike.
 
 Defined cases: a null or empty text has no words; rows without id stay as they are and make nothing
 repeated; rows of one id with equal texts are one document, with different texts they follow one another in
@@ -29,7 +28,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import documents, text_array
@@ -43,7 +42,7 @@ def _named(h: np.ndarray, doc: np.ndarray, first: int, length: int) -> tuple[np.
     n = len(h) - length + 1
     if n <= 0:
         return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, U)
-    small = Hasher.windows(_HASHER, h, first)
+    small = _HASHER.windows(h, first)
     at, width, want = np.arange(len(small)), 1, length - first + 1
     while width < want:
         step = min(width, want - width)
@@ -57,30 +56,38 @@ _HASHER = Hasher(2)
 
 
 def _places(docs: DataFrame, first: int, length: int) -> DataFrame:
-    """(key, doc_id, pos): the named places of every document."""
+    """(key, doc_id, pos, known): the named places of every document; ``known`` where the block has the content twice.
+
+    Of equal places in a block the first goes under its key; the others, known to be repeated, under others.
+    """
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids = batch.column("doc_id").to_numpy(zero_copy_only=False)
-            for a, _, flat, ends in blocks(text_array(batch.column("text"))):
+            for a, _, flat, ends in blocks(text_array(batch.column("text")), 1 << 22):
                 doc, _, h = _HASHER.words_of(flat, ends)
                 _, at, small = _named(h, doc, first, length)
                 at = np.unique(at)
                 begin = np.searchsorted(doc, np.arange(len(ends)))
-                yield pa.RecordBatch.from_arrays([pa.array(small[at].view(np.int64)), pa.array(ids[a + doc[at]]), pa.array((at - begin[doc[at]]).astype(np.int32))], ["key", "doc_id", "pos"])
+                key = small[at]
+                _, lead, back, count = np.unique(key, return_index=True, return_inverse=True, return_counts=True)
+                again = lead[back] != np.arange(len(at))
+                key = np.where(again, mix(key + at.astype(U) + U(a)), key)
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(key.view(np.int64)), pa.array(ids[a + doc[at]], pa.int64()), pa.array((at - begin[doc[at]]).astype(np.int32)), pa.array(count[back] > 1)], ["key", "doc_id", "pos", "known"]
+                )
 
-    return docs.select("doc_id", "text").mapInArrow(work, "key long, doc_id long, pos int")
+    return docs.where("doc_id IS NOT NULL").select("doc_id", "text").mapInArrow(work, "key long, doc_id long, pos int, known boolean")
 
 
 _ROWS = "key long, doc_id long, mark long, start int, n int, windows array<long>"
 
 
 def _extended(docs: DataFrame, first: int, length: int) -> DataFrame:
-    """Rows of candidate windows under the hash of the middle length; a null key marks windows settled here.
+    """Rows of candidate windows under the hash of the place they name; a null key marks windows settled here.
 
-    ``docs`` has the places that survived as ``places``.
+    ``docs`` has the places that survived as ``places``, null where none did.
     """
-    middle = 2 * first
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -88,12 +95,12 @@ def _extended(docs: DataFrame, first: int, length: int) -> DataFrame:
             places = batch.column("places")
             for a, b, flat, ends in blocks(text_array(batch.column("text")), 1 << 22):
                 doc, _, h = _HASHER.words_of(flat, ends)
-                starts, at, _ = _named(h, doc, first, length)
+                starts, at, small = _named(h, doc, first, length)
                 if not len(starts):
                     continue
                 begin = np.searchsorted(doc, np.arange(len(ends)))
                 mine = places.slice(a, b - a)
-                of = np.repeat(np.arange(b - a), np.diff(mine.offsets.to_numpy()))
+                of = np.repeat(np.arange(b - a), mine.value_lengths().fill_null(0).to_numpy(zero_copy_only=False))
                 alive = np.zeros(len(h), bool)
                 place = mine.flatten().to_numpy() + begin[of]
                 alive[place[place < len(h)]] = True
@@ -101,9 +108,8 @@ def _extended(docs: DataFrame, first: int, length: int) -> DataFrame:
                 starts, at = starts[keep], at[keep]
                 if not len(starts):
                     continue
-                late = at - starts > length - middle  # the long window ends before the ten words from its place on do
-                ten = Hasher.windows(_HASHER, h, middle)[np.where(late, at - first, at)]
-                whole = Hasher.windows(_HASHER, h, length)[starts]
+                ten = small[at]
+                whole = _HASHER.windows(h, length)[starts]
                 d = doc[starts]
                 pos = starts - begin[d]
                 # Settled here: windows whose content starts earlier within this block.
@@ -117,7 +123,7 @@ def _extended(docs: DataFrame, first: int, length: int) -> DataFrame:
                 settled[order] = ~same
                 # A row is a run of windows of one place.
                 group = np.ones(len(starts), bool)
-                group[1:] = (at[1:] != at[:-1]) | (late[1:] != late[:-1]) | (starts[1:] != starts[:-1] + 1)
+                group[1:] = (at[1:] != at[:-1]) | (starts[1:] != starts[:-1] + 1)
                 cut = np.flatnonzero(group)
                 size = np.diff(np.append(cut, len(starts)))
                 open_ = np.add.reduceat(~settled, cut) > 0
@@ -189,22 +195,26 @@ def _marked(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.xxhash64(F.coalesce("text", F.lit(""))).alias("mark"))
 
 
-def repeated_runs(docs: DataFrame, length: int = 20, first: int = 5) -> DataFrame:
-    """doc_id, mark (hash of the text) and ``runs``: structs of the first start and the number of repeated windows in a row."""
-    if length != 4 * first:
-        raise ValueError("the window must be four times the first length")
-    own = _marked(docs).where("doc_id IS NOT NULL")
+def repeated_runs(own: DataFrame, length: int = 20) -> DataFrame:
+    """doc_id and ``runs``: structs of mark (hash of the text), first start and number of repeated windows in a row.
+
+    ``own`` comes from ``_marked``; it is dealt out by doc_id alone, as the caller may do again at no cost.
+    """
+    first = length // 2
+    if length != 2 * first:
+        raise ValueError("the window must be twice the first length")
     places = _places(own, first, length)
-    shared = places.groupBy("key").agg(F.count(F.lit(1)).alias("c")).where("c > 1").select("key")
-    alive = places.join(shared, "key").groupBy("doc_id").agg(F.collect_list("pos").alias("places"))
-    rows = _extended(own.join(alive, "doc_id"), first, length)
-    return _repeated(rows).groupBy("doc_id", "mark").agg(F.collect_list(F.struct("start", "n")).alias("runs"))
+    shared = places.withColumn("c", F.count(F.lit(1)).over(Window.partitionBy("key"))).where("known OR c > 1")
+    alive = shared.groupBy("doc_id").agg(F.collect_list("pos").alias("places"))
+    rows = _extended(own.join(alive, "doc_id", "left"), first, length)
+    return _repeated(rows).groupBy("doc_id").agg(F.collect_list(F.struct("mark", "start", "n")).alias("runs"))
 
 
-def _strip(texts: list[str], runs: list, length: int) -> Iterator[tuple[list[str], list[str]]]:
+def _strip(texts: list[str], marks: list[int], runs: list, length: int) -> Iterator[tuple[list[str], list[str]]]:
     """Words of each text, and those that stay."""
-    for text, found in zip(texts, runs, strict=True):
+    for text, mark, found in zip(texts, marks, runs, strict=True):
         words = _WORD.findall(text)
+        found = [r for r in found or () if r["mark"] == mark]
         if not found:
             yield words, words
             continue
@@ -223,15 +233,15 @@ def remove_repeats(docs: DataFrame, length: int = 20, digest: bool = False) -> D
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             n, gone, out = [], [], []
-            for words, kept in _strip(text_array(batch.column("text")).to_pylist(), batch.column("runs").to_pylist(), length):
+            for words, kept in _strip(text_array(batch.column("text")).to_pylist(), batch.column("mark").to_pylist(), batch.column("runs").to_pylist(), length):
                 n.append(len(words))
                 gone.append(len(words) - len(kept))
                 text = " ".join(kept)
                 out.append(hashlib.sha256(text.encode()).hexdigest() if digest else text)
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(gone, pa.int64()), pa.array(out, pa.string())], ["doc_id", "n_words", "n_removed", name])
 
-    runs = repeated_runs(docs, length)
-    return _marked(docs).join(runs, ["doc_id", "mark"], "left").select("doc_id", "text", "runs").mapInArrow(work, f"doc_id long, n_words long, n_removed long, {name} string")
+    own = _marked(docs)
+    return own.join(repeated_runs(own, length), "doc_id", "left").select("doc_id", "text", "mark", "runs").mapInArrow(work, f"doc_id long, n_words long, n_removed long, {name} string")
 
 
 def op10_substring(spark: SparkSession, sf_dir: str) -> DataFrame:
