@@ -55,8 +55,12 @@ class WordEncoder:
         self.library.encode_special_tokens = True
         self.width = 2 if self.library.get_vocab_size() <= 1 << 16 else 4
         self.dtype = np.dtype(f"<u{self.width}")
-        self.end, self.budget, self.known = self._raw([end]), budget, {}
+        self.end, self.budget = self._raw([end]), budget
         self.line = self._ask(["\n"])[0]
+        self.ends = dict(zip(".,", self._ask([".", ","]), strict=True))
+        #: Ids of words after a blank, and of fragments as they stand.
+        self.led: dict[str, bytes] = {}
+        self.bare: dict[str, bytes] = {}
 
     def _raw(self, ids: list[int]) -> bytes:
         return np.array(ids, self.dtype).tobytes()
@@ -65,38 +69,54 @@ class WordEncoder:
         return [self._raw(e.ids) for e in self.library.encode_batch(fragments, add_special_tokens=False)]
 
     @staticmethod
-    def fragments(text: str) -> list[str]:
+    def plain(text: str) -> list[list[str]] | None:
+        """Per line the words between single blanks, or None where the pattern has to cut the text."""
         if _ODD.search(text) or text[:1] in (" ", "\n") or text[-1:] in (" ", "\n"):
-            return _FRAGMENT.findall(text)
-        out = []
-        for n, line in enumerate(text.split("\n")):
-            if n:
-                out.append("\n")
-            first, *rest = line.split(" ")
-            out.append(first)
-            out += [" " + w for w in rest]
-        return out
+            return None
+        return [line.split(" ") for line in text.split("\n")]
 
-    def learn(self, fragments: set[str]) -> None:
-        """A full stop or comma after a letter is a fragment of its own, so that most ends cost no call."""
-        known, stems = self.known, {}
-        for f in fragments:
-            if len(f) > 2 and f[-1] in ".," and f[-2].isalpha():
-                stems[f] = f[:-1]
-        ask = sorted({x for x in (*(fragments - stems.keys()), *stems.values(), *(f[-1] for f in stems)) if x not in known})
-        known.update(zip(ask, self._ask(ask), strict=True))
-        for f, stem in stems.items():
-            known[f] = known[stem] + known[f[-1]]
+    def learn(self, known: dict[str, bytes], lead: str, words: set[str]) -> None:
+        """Asks for ``lead`` + word.  A full stop or comma after a letter is a fragment of its own, so that most ends cost no call."""
+        stems = {w: w[:-1] for w in words if len(w) > 1 and w[-1] in ".," and w[-2].isalpha()}
+        ask = sorted({x for x in (*(words - stems.keys()), *stems.values()) if x not in known})
+        known.update(zip(ask, self._ask([lead + w for w in ask]), strict=True))
+        for w, stem in stems.items():
+            known[w] = known[stem] + self.ends[w[-1]]
 
     def batch(self, texts: list[str]) -> list[bytes]:
-        if len(self.known) > self.budget:
-            self.known = {}
-        cut = [self.fragments(t) if t else [] for t in texts]
-        known = self.known
-        fresh = {f for fs in cut for f in fs if f not in known}
-        if fresh:
-            self.learn(fresh)
-        return [b"".join([known[f] for f in fs]) + self.end for fs in cut]
+        if len(self.led) + len(self.bare) > self.budget:
+            self.led, self.bare = {}, {}
+        led, bare, line_end = self.led, self.bare, self.line
+        cut: list = []
+        fresh_led: set[str] = set()
+        fresh_bare: set[str] = set()
+        for t in texts:
+            lines = self.plain(t) if t else []
+            if lines is None:
+                found = _FRAGMENT.findall(t)
+                fresh_bare.update(set(found).difference(bare))
+                cut.append((found, None))
+                continue
+            for words in lines:
+                fresh_led.update(set(words[1:]).difference(led))
+            fresh_bare.update({words[0] for words in lines}.difference(bare))
+            cut.append((None, lines))
+        if fresh_led:
+            self.learn(led, " ", fresh_led)
+        if fresh_bare:
+            self.learn(bare, "", fresh_bare)
+        out = []
+        for found, lines in cut:
+            if lines is None:
+                parts = map(bare.__getitem__, found)
+            else:
+                parts = []
+                for words in lines:
+                    parts.append(line_end if parts else b"")
+                    parts.append(bare[words[0]])
+                    parts += map(led.__getitem__, words[1:])
+            out.append(b"".join(parts) + self.end)
+        return out
 
 
 _ENCODERS: dict[str, WordEncoder] = {}
