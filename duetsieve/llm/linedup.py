@@ -21,7 +21,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import documents, saved
@@ -30,9 +30,13 @@ from .rules import WS_CLASS
 COUNTERS = 1 << 18  # bytes in the plan, whatever the input
 
 
-def _lines(docs: DataFrame) -> DataFrame:
-    """(doc_id, line, words): distinct hashed words of every line with a word."""
-    cut = docs.where("doc_id IS NOT NULL AND text IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), F.posexplode(F.split("text", "\n")).alias("line", "_t"))
+def _lines(docs: DataFrame, only: Column | None = None) -> DataFrame:
+    """(doc_id, line, words): distinct hashed words of every line with a word, or of those numbered in ``only``."""
+    have = docs.where("doc_id IS NOT NULL AND text IS NOT NULL")
+    if only is not None:  # each line number once, beside its text: the rows stay where the document is
+        cut = have.select("doc_id", F.split("text", "\n").alias("_all"), only.alias("_only")).select("doc_id", F.inline(F.transform("_only", lambda i: F.struct(i.alias("line"), F.get(F.col("_all"), i).alias("_t")))))
+    else:
+        cut = have.select(F.col("doc_id").cast("long").alias("doc_id"), F.posexplode(F.split("text", "\n")).alias("line", "_t"))
     words = F.array_remove(F.split("_t", WS_CLASS), "")
     return cut.select("doc_id", "line", F.array_distinct(F.transform(words, lambda w: F.xxhash64(w))).alias("words")).where(F.size("words") > 0)
 
@@ -70,15 +74,23 @@ def similar_lines(docs: DataFrame, num: int = 80, den: int = 100) -> DataFrame:
         & ((num + den) * F.bit_count(F.col("parity_x").bitwiseXOR(F.col("parity_y"))) <= (den - num) * total)
     )
     pairs = saved(x.join(y, (x.key == y.key) & near).select("doc_id_x", "line_x", "doc_id_y", "line_y").distinct(), "line-pairs")
-    places = pairs.select(F.col("doc_id_x").alias("doc_id"), F.col("line_x").alias("line")).union(pairs.select("doc_id_y", "line_y")).distinct()
+    places = pairs.select(F.col("doc_id_x").alias("doc_id"), F.col("line_x").alias("line")).union(pairs.select("doc_id_y", "line_y"))
     wanted = places.groupBy("doc_id").agg(F.collect_set("line").alias("wanted"))  # at most a document's lines
-    sets = _lines(docs.join(wanted, "doc_id", "left_semi")).join(places, ["doc_id", "line"])
-    sets = saved(sets, "line-sets")
+    sets = saved(_lines(docs.withColumn("doc_id", F.col("doc_id").cast("long")).join(wanted, "doc_id"), F.col("wanted")), "line-sets")
     a, b = (sets.select(*(F.col(c).alias(f"{c}_{s}") for c in ("doc_id", "line", "words"))) for s in "xy")
     shared = F.size(F.array_intersect("words_x", "words_y"))
-    alike = pairs.join(a, ["doc_id_x", "line_x"]).join(b, ["doc_id_y", "line_y"]).where(den * shared >= num * (F.size("words_x") + F.size("words_y") - shared))
+
+    def alike(some: DataFrame) -> DataFrame:
+        found = some.join(a, ["doc_id_x", "line_x"]).join(b, ["doc_id_y", "line_y"])
+        return found.where(den * shared >= num * (F.size("words_x") + F.size("words_y") - shared)).select("doc_id_y", "line_y").distinct()
+
+    # A line's first candidate settles nearly all; the others are held against the rest of theirs.
+    heads = pairs.groupBy("doc_id_y", "line_y").agg(F.min(F.struct("doc_id_x", "line_x")).alias("x")).select("x.*", "doc_id_y", "line_y")
+    quick = saved(alike(heads), "line-matches")
+    rest = pairs.join(quick, ["doc_id_y", "line_y"], "left_anti").join(heads, ["doc_id_x", "line_x", "doc_id_y", "line_y"], "left_anti")
+    matched = quick.union(alike(rest))
     copies = known.select("doc_id", "line").join(first, ["doc_id", "line"], "left_anti")
-    return alike.select(F.col("doc_id_y").alias("doc_id"), F.col("line_y").alias("line")).union(copies).distinct()
+    return matched.select(F.col("doc_id_y").alias("doc_id"), F.col("line_y").alias("line")).union(copies).distinct()
 
 
 def removals(docs: DataFrame, num: int = 80, den: int = 100) -> DataFrame:
