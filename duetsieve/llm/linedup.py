@@ -9,7 +9,8 @@ lines count as they stand in the input, removed or not, so that the result needs
   (``COUNTERS``).  A line's rarest ``size - least overlap + 1`` words are its prefix, and similar lines share
   a word of their prefixes.
 * Lines that share one are paired under the length and position bounds and the parity of their hashed words,
-  of which similar lines differ in few bits; then the pair's sets are intersected.
+  of which similar lines differ in few bits; then the pair's words themselves are intersected.
+* Lines are cut once, to a saved row each; all that follows reads those rows, and texts only of candidates.
 
 DataFrame functions only.  Defined cases: a null or empty text has one line without words; lines without
 words are never removed; rows without id stay as they are and match nothing; rows of one id are one
@@ -27,44 +28,46 @@ from pyspark.sql import functions as F
 from .common import documents, saved
 from .rules import WS_CLASS
 
-COUNTERS = 1 << 18  # bytes in the plan, whatever the input
+COUNTERS = 1 << 18  # numbers in the plan, whatever the input
+INK = r"[^ \t\n\x0B\f\r]"
 
 
-def _lines(docs: DataFrame, only: Column | None = None) -> DataFrame:
-    """(doc_id, line, words): distinct hashed words of every line with a word, or of those numbered in ``only``."""
-    have = docs.where("doc_id IS NOT NULL AND text IS NOT NULL")
-    if only is not None:  # each line number once, beside its text: the rows stay where the document is
-        cut = have.select("doc_id", F.split("text", "\n").alias("_all"), only.alias("_only")).select("doc_id", F.inline(F.transform("_only", lambda i: F.struct(i.alias("line"), F.get(F.col("_all"), i).alias("_t")))))
-    else:
-        cut = have.select(F.col("doc_id").cast("long").alias("doc_id"), F.posexplode(F.split("text", "\n")).alias("line", "_t"))
-    words = F.array_remove(F.split("_t", WS_CLASS), "")
-    return cut.select("doc_id", "line", F.array_distinct(F.transform(words, lambda w: F.xxhash64(w))).alias("words")).where(F.size("words") > 0)
+def _words(text: Column) -> Column:
+    return F.array_remove(F.split(text, WS_CLASS), "")
 
 
-def rarity(docs: DataFrame) -> bytes:
-    """A byte for each hashed counter: the logarithm of its words' occurrences in all documents, in fifths of a bit."""
+def rarity(docs: DataFrame) -> Column:
+    """A level for each hashed counter: the logarithm of its words' occurrences in all documents, in fifths of a bit."""
     spark = docs.sparkSession
     words = docs.select(F.explode(F.split("text", WS_CLASS)).alias("w"))
     counts = words.groupBy(F.xxhash64("w").bitwiseAND(F.lit(COUNTERS - 1)).cast("int").alias("slot")).agg(F.count(F.lit(1)).alias("n"))
     every = counts.unionByName(spark.range(COUNTERS).select(F.col("id").cast("int").alias("slot"), F.lit(0).cast("long").alias("n"))).groupBy("slot").agg(F.sum("n").alias("n"))
     ordered = F.sort_array(F.collect_list(F.struct("slot", F.least(F.lit(127), F.floor(5 * F.log2(F.col("n") + 1))).cast("int").alias("level"))))  # of fixed size
-    return bytes(every.agg(F.unhex(F.array_join(F.transform(ordered, lambda x: F.lpad(F.hex(x["level"]), 2, "0")), "")).alias("levels")).first()["levels"])
+    levels = every.agg(F.array_join(F.transform(ordered, lambda x: x["level"].cast("string")), ",").alias("levels")).first()["levels"]
+    return F.split(F.lit(levels), ",").cast("array<int>")  # folded to a constant
 
 
-def similar_lines(docs: DataFrame, num: int = 80, den: int = 100) -> DataFrame:
-    """(doc_id, line) of the lines to remove."""
-    levels = F.lit(bytearray(rarity(docs)))
-    lines = _lines(docs)
+def signatures(docs: DataFrame, num: int, den: int) -> DataFrame:
+    """A compact row for every line with a word: size, set hash, parity bits, and its prefix of rarest words."""
+    levels = rarity(docs)
+    cut = docs.where("doc_id IS NOT NULL AND text IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), F.posexplode(F.split("text", "\n")).alias("line", "_t"))
+    # The pattern spares lines without a word here, so that no filter over the words repeats their work.
+    lines = cut.where(F.col("_t").rlike(INK)).select("doc_id", "line", F.array_distinct(F.transform(_words(F.col("_t")), lambda w: F.xxhash64(w))).alias("words"))
     n = F.size("words")
     # Level and 32 bits of the hash in one long: ranks by rarity, ties by hash.
-    level = lambda w: F.ascii(F.substring(levels, w.bitwiseAND(F.lit(COUNTERS - 1)).cast("int") + 1, F.lit(1)).cast("string")).cast("long")
+    level = lambda w: F.coalesce(F.get(levels, w.bitwiseAND(F.lit(COUNTERS - 1)).cast("int")), F.lit(0)).cast("long")
     ranked = F.sort_array(F.transform("words", lambda w: F.shiftleft(level(w), 32).bitwiseOR(F.shiftrightunsigned(w, 32))))
     prefix = F.slice(ranked, 1, n - F.ceil(n * num / den - 1e-9).cast("int") + 1)
-    parity = F.expr("aggregate(words, 0L, (a, w) -> a ^ shiftleft(1L, cast(shiftrightunsigned(w, 20) & 63 AS INT)))")
-    known = lines.select("doc_id", "line", n.alias("n"), F.xxhash64(F.sort_array("words")).alias("s1"), F.xxhash64(F.lit(7), F.sort_array("words")).alias("s2"), parity.alias("parity"), F.transform(prefix, lambda x: x.bitwiseAND(F.lit(0x7FFFFFFF)).cast("int")).alias("keys"))
-    first = known.groupBy("s1", "s2").agg(F.min(F.struct("doc_id", "line")).alias("f")).select("f.doc_id", "f.line")
-    reps = known.drop("s1", "s2").join(first, ["doc_id", "line"])
-    keys = reps.select("doc_id", "line", "n", "parity", F.posexplode("keys").alias("pos", "key"))
+    parity = F.expr("aggregate(words, 0L, (a, w) -> a ^ shiftleft(1L, cast(shiftrightunsigned(w, 33) AS INT)))")
+    return lines.select("doc_id", "line", n.alias("n"), F.xxhash64(F.sort_array("words")).alias("s"), parity.alias("parity"), F.transform(prefix, lambda x: x.bitwiseAND(F.lit(0x7FFFFFFF)).cast("int")).alias("keys"))
+
+
+def similar_lines(docs: DataFrame, num: int = 80, den: int = 100) -> DataFrame:
+    """(doc_id, line) of the lines to remove."""
+    known = saved(signatures(docs, num, den), "line-signatures")
+    first = known.groupBy("s", "parity").agg(F.min(F.struct("doc_id", "line")).alias("f")).select("f.doc_id", "f.line")
+    first = saved(first, "line-classes")
+    keys = known.join(first, ["doc_id", "line"], "left_semi").select("doc_id", "line", "n", "parity", F.posexplode("keys").alias("pos", "key"))
     x, y = (keys.select("key", *(F.col(c).alias(f"{c}_{s}") for c in ("doc_id", "line", "n", "pos", "parity"))) for s in "xy")
     total = F.col("n_x") + F.col("n_y")
     near = (
@@ -76,13 +79,17 @@ def similar_lines(docs: DataFrame, num: int = 80, den: int = 100) -> DataFrame:
     pairs = saved(x.join(y, (x.key == y.key) & near).select("doc_id_x", "line_x", "doc_id_y", "line_y").distinct(), "line-pairs")
     places = pairs.select(F.col("doc_id_x").alias("doc_id"), F.col("line_x").alias("line")).union(pairs.select("doc_id_y", "line_y"))
     wanted = places.groupBy("doc_id").agg(F.collect_set("line").alias("wanted"))  # at most a document's lines
-    sets = saved(_lines(docs.withColumn("doc_id", F.col("doc_id").cast("long")).join(wanted, "doc_id"), F.col("wanted")), "line-sets")
-    a, b = (sets.select(*(F.col(c).alias(f"{c}_{s}") for c in ("doc_id", "line", "words"))) for s in "xy")
-    shared = F.size(F.array_intersect("words_x", "words_y"))
+    held = docs.where("text IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(wanted, "doc_id")
+    cut = held.select("doc_id", F.split("text", "\n").alias("_all"), "wanted").select("doc_id", F.inline(F.transform("wanted", lambda i: F.struct(i.alias("line"), F.get(F.col("_all"), i).alias("t")))))
+    texts = saved(cut, "line-texts")
+    a, b = (texts.select(*(F.col(c).alias(f"{c}_{s}") for c in ("doc_id", "line", "t"))) for s in "xy")
 
     def alike(some: DataFrame) -> DataFrame:
+        """Whole words are held against each other, so that no hash decides."""
         found = some.join(a, ["doc_id_x", "line_x"]).join(b, ["doc_id_y", "line_y"])
-        return found.where(den * shared >= num * (F.size("words_x") + F.size("words_y") - shared)).select("doc_id_y", "line_y").distinct()
+        both = found.select("doc_id_y", "line_y", F.array_distinct(_words(F.col("t_x"))).alias("p"), F.array_distinct(_words(F.col("t_y"))).alias("q"))
+        sizes = both.select("doc_id_y", "line_y", (F.size("p") + F.size("q")).alias("total"), F.size(F.array_intersect("p", "q")).alias("shared"))
+        return sizes.groupBy("doc_id_y", "line_y").agg(F.max((num + den) * F.col("shared") - num * F.col("total")).alias("best")).where("best >= 0").select("doc_id_y", "line_y")
 
     # A line's first candidate settles nearly all; the others are held against the rest of theirs.
     heads = pairs.groupBy("doc_id_y", "line_y").agg(F.min(F.struct("doc_id_x", "line_x")).alias("x")).select("x.*", "doc_id_y", "line_y")
@@ -104,7 +111,7 @@ def deduped(docs: DataFrame, num: int = 80, den: int = 100) -> DataFrame:
     found = packed.join(removals(docs.select("doc_id", "text"), num, den), "doc_id", "left")
     same, text = F.col("gone").isNull(), F.col("row")["text"]
     kept = F.array_join(F.filter(F.split(text, "\n"), lambda t, i: ~F.array_contains("gone", i)), "\n")
-    out = found.withColumn("kept", F.when(~same, kept)).where(same | F.col("kept").rlike("[^ \\t\\n\\x0B\\f\\r]"))
+    out = found.withColumn("kept", F.when(~same, kept)).where(same | F.col("kept").rlike(INK))
     changed = {"text": F.col("kept"), "n_chars": F.length("kept")}
     return out.select(*[F.when(same, F.col("row")[c]).otherwise(changed[c].cast(docs.schema[c].dataType)).alias(c) if c in changed else F.col("row")[c].alias(c) for c in docs.columns])
 
