@@ -8,8 +8,9 @@ lines count as they stand in the input, removed or not, so that the result needs
 * Words are ranked by how often they occur in all documents, by hashed counters of fixed number
   (``COUNTERS``).  A line's rarest ``size - least overlap + 1`` words are its prefix, and similar lines share
   a word of their prefixes.
-* Lines that share one are paired under the length and position bounds and the parity of their hashed words,
-  of which similar lines differ in few bits; then the pair's words themselves are intersected.
+* Lines that share one are paired under the length bound and the parity of their hashed words, of which similar
+  lines differ in few bits; then under the position bounds of the first place shared and of the number of
+  places shared; then the pair's words themselves are intersected.
 * Lines are cut once, to a saved row each; all that follows reads those rows, and texts only of candidates.
 
 DataFrame functions only.  Defined cases: a null or empty text has one line without words; lines without
@@ -70,13 +71,18 @@ def similar_lines(docs: DataFrame, num: int = 80, den: int = 100) -> DataFrame:
     keys = known.join(first, ["doc_id", "line"], "left_semi").select("doc_id", "line", "n", "parity", F.posexplode("keys").alias("pos", "key"))
     x, y = (keys.select("key", *(F.col(c).alias(f"{c}_{s}") for c in ("doc_id", "line", "n", "pos", "parity"))) for s in "xy")
     total = F.col("n_x") + F.col("n_y")
+    before = (F.col("doc_id_x") < F.col("doc_id_y")) | ((F.col("doc_id_x") == F.col("doc_id_y")) & (F.col("line_x") < F.col("line_y")))
     near = (
-        (F.struct("doc_id_x", "line_x") < F.struct("doc_id_y", "line_y"))
+        ((num + den) * F.bit_count(F.col("parity_x").bitwiseXOR(F.col("parity_y"))) <= (den - num) * total)
+        & before
         & (den * F.least("n_x", "n_y") >= num * F.greatest("n_x", "n_y"))
-        & ((num + den) * (1 + F.least(F.col("n_x") - 1 - F.col("pos_x"), F.col("n_y") - 1 - F.col("pos_y"))) >= num * total)
-        & ((num + den) * F.bit_count(F.col("parity_x").bitwiseXOR(F.col("parity_y"))) <= (den - num) * total)
     )
-    pairs = saved(x.join(y, (x.key == y.key) & near).select("doc_id_x", "line_x", "doc_id_y", "line_y").distinct(), "line-pairs")
+    met = x.join(y, (x.key == y.key) & near).groupBy("doc_id_x", "line_x", "n_x", "doc_id_y", "line_y", "n_y").agg(F.count(F.lit(1)).alias("met"), F.min("pos_x").alias("at_x"), F.min("pos_y").alias("at_y"))
+    # Nothing is shared before the first place met.  Of the line whose prefix ends first, what follows its prefix can be
+    # shared at most, beside the places met.
+    rest = F.least(F.col("n_x") - F.col("at_x"), F.col("n_y") - F.col("at_y"))
+    after = F.ceil(F.greatest("n_x", "n_y") * num / den - 1e-9) - 1
+    pairs = saved(met.where(((num + den) * rest >= num * total) & ((num + den) * (F.col("met") + after) >= num * total)).select("doc_id_x", "line_x", "doc_id_y", "line_y"), "line-pairs")
     places = pairs.select(F.col("doc_id_x").alias("doc_id"), F.col("line_x").alias("line")).union(pairs.select("doc_id_y", "line_y"))
     wanted = places.groupBy("doc_id").agg(F.collect_set("line").alias("wanted"))  # at most a document's lines
     held = docs.where("text IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(wanted, "doc_id")
