@@ -11,6 +11,9 @@ lines count as they stand in the input, removed or not, so that the result needs
 * Lines that share one are paired under the length bound and the parity of their hashed words, of which similar
   lines differ in few bits; then under the position bounds of the first place shared and of the number of
   places shared; then the pair's words themselves are intersected.
+* That is done in two rounds.  In the first, each line meets only the first line of each of its rarest words, and
+  the nearest of those is verified; lines found similar need no further partner.  In the second, all other lines
+  meet every earlier line.  So a large group of near copies never meets as all its pairs.
 * Lines are cut once, to a saved row each; all that follows reads those rows, and texts only of candidates.
 
 DataFrame functions only.  Defined cases: a null or empty text has one line without words; lines without
@@ -30,6 +33,7 @@ from .common import documents, saved
 from .rules import WS_CLASS
 
 COUNTERS = 1 << 18  # numbers in the plan, whatever the input
+QUICK_BITS = 20  # of 64 parity bits, in the first round only; what it passes over is left to the second
 INK = r"[^ \t\n\x0B\f\r]"
 
 
@@ -63,45 +67,53 @@ def signatures(docs: DataFrame, num: int, den: int) -> DataFrame:
     return lines.select("doc_id", "line", n.alias("n"), F.xxhash64(F.sort_array("words")).alias("s"), parity.alias("parity"), F.transform(prefix, lambda x: x.bitwiseAND(F.lit(0x7FFFFFFF)).cast("int")).alias("keys"))
 
 
+def _verified(docs: DataFrame, pairs: DataFrame, num: int, den: int) -> DataFrame:
+    """(doc_id_y, line_y) of the pairs whose words, not their hashes, are similar."""
+    places = pairs.select(F.col("doc_id_x").alias("doc_id"), F.col("line_x").alias("line")).union(pairs.select("doc_id_y", "line_y"))
+    wanted = places.groupBy("doc_id").agg(F.collect_set("line").alias("wanted"))  # at most a document's lines
+    held = docs.where("text IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(wanted, "doc_id")
+    cut = held.select("doc_id", F.split("text", "\n").alias("_all"), "wanted").select("doc_id", F.inline(F.transform("wanted", lambda i: F.struct(i.alias("line"), F.get(F.col("_all"), i).alias("t")))))
+    texts = saved(cut, "line-texts")
+    a, b = (texts.select(*(F.col(c).alias(f"{c}_{s}") for c in ("doc_id", "line", "t"))) for s in "xy")
+    found = pairs.join(a, ["doc_id_x", "line_x"]).join(b, ["doc_id_y", "line_y"])
+    both = found.select("doc_id_y", "line_y", F.array_distinct(_words(F.col("t_x"))).alias("p"), F.array_distinct(_words(F.col("t_y"))).alias("q"))
+    sizes = both.select("doc_id_y", "line_y", (F.size("p") + F.size("q")).alias("total"), F.size(F.array_intersect("p", "q")).alias("shared"))
+    return sizes.groupBy("doc_id_y", "line_y").agg(F.max((num + den) * F.col("shared") - num * F.col("total")).alias("best")).where("best >= 0").select("doc_id_y", "line_y")
+
+
 def similar_lines(docs: DataFrame, num: int = 80, den: int = 100) -> DataFrame:
     """(doc_id, line) of the lines to remove."""
     known = saved(signatures(docs, num, den), "line-signatures")
     first = known.groupBy("s", "parity").agg(F.min(F.struct("doc_id", "line")).alias("f")).select("f.doc_id", "f.line")
     first = saved(first, "line-classes")
-    keys = known.join(first, ["doc_id", "line"], "left_semi").select("doc_id", "line", "n", "parity", F.posexplode("keys").alias("pos", "key"))
-    x, y = (keys.select("key", *(F.col(c).alias(f"{c}_{s}") for c in ("doc_id", "line", "n", "pos", "parity"))) for s in "xy")
+    reps = known.join(first, ["doc_id", "line"], "left_semi")
+    sides = lambda df, s: df.select("key", *(F.col(c).alias(f"{c}_{s}") for c in df.columns if c != "key"))
     total = F.col("n_x") + F.col("n_y")
-    before = (F.col("doc_id_x") < F.col("doc_id_y")) | ((F.col("doc_id_x") == F.col("doc_id_y")) & (F.col("line_x") < F.col("line_y")))
-    near = (
-        ((num + den) * F.bit_count(F.col("parity_x").bitwiseXOR(F.col("parity_y"))) <= (den - num) * total)
-        & before
-        & (den * F.least("n_x", "n_y") >= num * F.greatest("n_x", "n_y"))
-    )
-    met = x.join(y, (x.key == y.key) & near).groupBy("doc_id_x", "line_x", "n_x", "doc_id_y", "line_y", "n_y").agg(F.count(F.lit(1)).alias("met"), F.min("pos_x").alias("at_x"), F.min("pos_y").alias("at_y"))
+    apart = F.bit_count(F.col("parity_x").bitwiseXOR(F.col("parity_y")))
+    alike_size = den * F.least("n_x", "n_y") >= num * F.greatest("n_x", "n_y")
+    alike_bits = (num + den) * apart <= (den - num) * total
+    before = lambda doc: (F.col("doc_id_x") < F.col(doc)) | ((F.col("doc_id_x") == F.col(doc)) & (F.col("line_x") < F.col("line_y")))
+
+    # Each line against the first line of each of its words: linear, and it settles groups of near copies.
+    keys = reps.select("doc_id", "line", "n", "parity", F.explode(F.slice("keys", F.lit(1), F.floor(F.size("keys") / 2).cast("int") + 1)).alias("key"))  # the rarer half is enough here
+    heads = keys.groupBy("key").agg(F.min(F.struct("doc_id", "line", "n", "parity")).alias("h"), F.count(F.lit(1)).alias("lines")).where("lines > 1").select("key", "h.*")
+    x, y = sides(heads, "x"), sides(keys, "y")
+    met = x.join(y, (x.key == y.key) & before("doc_id_y") & alike_bits & (apart <= QUICK_BITS) & alike_size)
+    nearest = met.groupBy("doc_id_y", "line_y").agg(F.min(F.struct(apart.alias("apart"), "doc_id_x", "line_x")).alias("h")).select("h.doc_id_x", "h.line_x", "doc_id_y", "line_y")
+    quick = saved(_verified(docs, saved(nearest, "line-heads"), num, den), "line-quick")
+
+    # All other lines against every earlier one.  ``until`` is null for settled ones, beside the same rows for both sides.
+    settled = quick.select(F.col("doc_id_y").alias("doc_id"), F.col("line_y").alias("line"), F.lit(True).alias("settled"))
+    keys = reps.join(settled, ["doc_id", "line"], "left").select("doc_id", "line", "n", "parity", F.when(F.col("settled").isNull(), F.col("doc_id")).alias("until"), F.posexplode("keys").alias("pos", "key"))
+    x, y = sides(keys, "x"), sides(keys, "y")
+    met = x.join(y, (x.key == y.key) & alike_bits & before("until_y") & alike_size)
+    met = met.groupBy("doc_id_x", "line_x", "n_x", "doc_id_y", "line_y", "n_y").agg(F.count(F.lit(1)).alias("met"), F.min("pos_x").alias("at_x"), F.min("pos_y").alias("at_y"))
     # Nothing is shared before the first place met.  Of the line whose prefix ends first, what follows its prefix can be
     # shared at most, beside the places met.
     rest = F.least(F.col("n_x") - F.col("at_x"), F.col("n_y") - F.col("at_y"))
     after = F.ceil(F.greatest("n_x", "n_y") * num / den - 1e-9) - 1
-    pairs = saved(met.where(((num + den) * rest >= num * total) & ((num + den) * (F.col("met") + after) >= num * total)).select("doc_id_x", "line_x", "doc_id_y", "line_y"), "line-pairs")
-    places = pairs.select(F.col("doc_id_x").alias("doc_id"), F.col("line_x").alias("line")).union(pairs.select("doc_id_y", "line_y"))
-    wanted = places.groupBy("doc_id").agg(F.collect_set("line").alias("wanted"))  # at most a document's lines
-    held = docs.where("text IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(wanted, "doc_id")
-    cut = held.select("doc_id", F.split("text", "\n").alias("_all"), "wanted").select("doc_id", F.inline(F.transform("wanted", lambda i: F.struct(i.alias("line"), F.get(F.col("_all"), i).alias("t")))))
-    texts = saved(cut, "line-texts")
-    a, b = (texts.select(*(F.col(c).alias(f"{c}_{s}") for c in ("doc_id", "line", "t"))) for s in "xy")
-
-    def alike(some: DataFrame) -> DataFrame:
-        """Whole words are held against each other, so that no hash decides."""
-        found = some.join(a, ["doc_id_x", "line_x"]).join(b, ["doc_id_y", "line_y"])
-        both = found.select("doc_id_y", "line_y", F.array_distinct(_words(F.col("t_x"))).alias("p"), F.array_distinct(_words(F.col("t_y"))).alias("q"))
-        sizes = both.select("doc_id_y", "line_y", (F.size("p") + F.size("q")).alias("total"), F.size(F.array_intersect("p", "q")).alias("shared"))
-        return sizes.groupBy("doc_id_y", "line_y").agg(F.max((num + den) * F.col("shared") - num * F.col("total")).alias("best")).where("best >= 0").select("doc_id_y", "line_y")
-
-    # A line's first candidate settles nearly all; the others are held against the rest of theirs.
-    heads = pairs.groupBy("doc_id_y", "line_y").agg(F.min(F.struct("doc_id_x", "line_x")).alias("x")).select("x.*", "doc_id_y", "line_y")
-    quick = saved(alike(heads), "line-matches")
-    rest = pairs.join(quick, ["doc_id_y", "line_y"], "left_anti").join(heads, ["doc_id_x", "line_x", "doc_id_y", "line_y"], "left_anti")
-    matched = quick.union(alike(rest))
+    pairs = met.where(((num + den) * rest >= num * total) & ((num + den) * (F.col("met") + after) >= num * total)).select("doc_id_x", "line_x", "doc_id_y", "line_y")
+    matched = quick.union(_verified(docs, saved(pairs, "line-pairs"), num, den))
     copies = known.select("doc_id", "line").join(first, ["doc_id", "line"], "left_anti")
     return matched.select(F.col("doc_id_y").alias("doc_id"), F.col("line_y").alias("line")).union(copies).distinct()
 
