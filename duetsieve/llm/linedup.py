@@ -102,16 +102,21 @@ def similar_lines(docs: DataFrame, num: int = 80, den: int = 100) -> DataFrame:
     nearest = met.groupBy("doc_id_y", "line_y").agg(F.min(F.struct(apart.alias("apart"), "doc_id_x", "line_x")).alias("h")).select("h.doc_id_x", "h.line_x", "doc_id_y", "line_y")
     quick = saved(_verified(docs, saved(nearest, "line-heads"), num, den), "line-quick")
 
-    # All other lines against every earlier one.  ``until`` is null for settled ones, beside the same rows for both sides.
-    settled = quick.select(F.col("doc_id_y").alias("doc_id"), F.col("line_y").alias("line"), F.lit(True).alias("settled"))
-    keys = reps.join(settled, ["doc_id", "line"], "left").select("doc_id", "line", "n", "parity", F.when(F.col("settled").isNull(), F.col("doc_id")).alias("until"), F.posexplode("keys").alias("pos", "key"))
+    # All other lines against every earlier one.  Settled ones have a negative size, which no second line may have:
+    # both sides are the same rows, shuffled once.
+    settled = quick.select(F.col("doc_id_y").alias("doc_id"), F.col("line_y").alias("line"), F.lit(-1).alias("sign"))
+    keys = reps.join(settled, ["doc_id", "line"], "left").select("doc_id", "line", (F.col("n") * F.coalesce("sign", F.lit(1))).alias("n"), "parity", F.posexplode("keys").alias("pos", "key"))
     x, y = sides(keys, "x"), sides(keys, "y")
-    met = x.join(y, (x.key == y.key) & alike_bits & before("until_y") & alike_size)
-    met = met.groupBy("doc_id_x", "line_x", "n_x", "doc_id_y", "line_y", "n_y").agg(F.count(F.lit(1)).alias("met"), F.min("pos_x").alias("at_x"), F.min("pos_y").alias("at_y"))
+    n_x, n_y = F.abs("n_x"), F.col("n_y")
+    total = n_x + F.abs("n_y")
+    alike_size = den * F.least(n_x, n_y) >= num * F.greatest(n_x, n_y)
+    met = x.join(y, (x.key == y.key) & ((num + den) * apart <= (den - num) * total) & before("doc_id_y") & alike_size)
+    met = met.groupBy("doc_id_x", "line_x", n_x.alias("n_x"), "doc_id_y", "line_y", "n_y").agg(F.count(F.lit(1)).alias("met"), F.min("pos_x").alias("at_x"), F.min("pos_y").alias("at_y"))
     # Nothing is shared before the first place met.  Of the line whose prefix ends first, what follows its prefix can be
     # shared at most, beside the places met.
     rest = F.least(F.col("n_x") - F.col("at_x"), F.col("n_y") - F.col("at_y"))
     after = F.ceil(F.greatest("n_x", "n_y") * num / den - 1e-9) - 1
+    total = F.col("n_x") + F.col("n_y")
     pairs = met.where(((num + den) * rest >= num * total) & ((num + den) * (F.col("met") + after) >= num * total)).select("doc_id_x", "line_x", "doc_id_y", "line_y")
     matched = quick.union(_verified(docs, saved(pairs, "line-pairs"), num, den))
     copies = known.select("doc_id", "line").join(first, ["doc_id", "line"], "left_anti")
