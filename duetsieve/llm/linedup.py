@@ -29,7 +29,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, saved
+from .common import discard, documents, saved
 from .rules import WS_CLASS
 
 COUNTERS = 1 << 18  # numbers in the plan, whatever the input
@@ -68,7 +68,7 @@ def signatures(docs: DataFrame, num: int, den: int) -> DataFrame:
 
 
 def _verified(docs: DataFrame, pairs: DataFrame, num: int, den: int) -> DataFrame:
-    """(doc_id_y, line_y) of the pairs whose words, not their hashes, are similar."""
+    """(doc_id_y, line_y) of the pairs whose words, not their hashes, are similar; ``pairs`` is a saved table and goes."""
     places = pairs.select(F.col("doc_id_x").alias("doc_id"), F.col("line_x").alias("line")).union(pairs.select("doc_id_y", "line_y"))
     wanted = places.groupBy("doc_id").agg(F.collect_set("line").alias("wanted"))  # at most a document's lines
     held = docs.where("text IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(wanted, "doc_id")
@@ -78,7 +78,9 @@ def _verified(docs: DataFrame, pairs: DataFrame, num: int, den: int) -> DataFram
     found = pairs.join(a, ["doc_id_x", "line_x"]).join(b, ["doc_id_y", "line_y"])
     both = found.select("doc_id_y", "line_y", F.array_distinct(_words(F.col("t_x"))).alias("p"), F.array_distinct(_words(F.col("t_y"))).alias("q"))
     sizes = both.select("doc_id_y", "line_y", (F.size("p") + F.size("q")).alias("total"), F.size(F.array_intersect("p", "q")).alias("shared"))
-    return sizes.groupBy("doc_id_y", "line_y").agg(F.max((num + den) * F.col("shared") - num * F.col("total")).alias("best")).where("best >= 0").select("doc_id_y", "line_y")
+    out = saved(sizes.groupBy("doc_id_y", "line_y").agg(F.max((num + den) * F.col("shared") - num * F.col("total")).alias("best")).where("best >= 0").select("doc_id_y", "line_y"), "line-matches")
+    discard(texts, pairs)
+    return out
 
 
 def similar_lines(docs: DataFrame, num: int = 80, den: int = 100) -> DataFrame:
@@ -100,7 +102,7 @@ def similar_lines(docs: DataFrame, num: int = 80, den: int = 100) -> DataFrame:
     x, y = sides(heads, "x"), sides(keys, "y")
     met = x.join(y, (x.key == y.key) & before("doc_id_y") & alike_bits & (apart <= QUICK_BITS) & alike_size)
     nearest = met.groupBy("doc_id_y", "line_y").agg(F.min(F.struct(apart.alias("apart"), "doc_id_x", "line_x")).alias("h")).select("h.doc_id_x", "h.line_x", "doc_id_y", "line_y")
-    quick = saved(_verified(docs, saved(nearest, "line-heads"), num, den), "line-quick")
+    quick = _verified(docs, saved(nearest, "line-heads"), num, den)
 
     # All other lines against every earlier one.  Settled ones have a negative size, which no second line may have:
     # both sides are the same rows, shuffled once.
@@ -118,9 +120,11 @@ def similar_lines(docs: DataFrame, num: int = 80, den: int = 100) -> DataFrame:
     after = F.ceil(F.greatest("n_x", "n_y") * num / den - 1e-9) - 1
     total = F.col("n_x") + F.col("n_y")
     pairs = met.where(((num + den) * rest >= num * total) & ((num + den) * (F.col("met") + after) >= num * total)).select("doc_id_x", "line_x", "doc_id_y", "line_y")
-    matched = quick.union(_verified(docs, saved(pairs, "line-pairs"), num, den))
+    late = _verified(docs, saved(pairs, "line-pairs"), num, den)
     copies = known.select("doc_id", "line").join(first, ["doc_id", "line"], "left_anti")
-    return matched.select(F.col("doc_id_y").alias("doc_id"), F.col("line_y").alias("line")).union(copies).distinct()
+    gone = saved(quick.union(late).select(F.col("doc_id_y").alias("doc_id"), F.col("line_y").alias("line")).union(copies).distinct(), "line-removals")
+    discard(known, first, quick, late)
+    return gone
 
 
 def removals(docs: DataFrame, num: int = 80, den: int = 100) -> DataFrame:
