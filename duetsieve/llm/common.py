@@ -29,10 +29,11 @@ def shared_dir(spark: SparkSession) -> str:
 def saved(df: DataFrame, name: str) -> DataFrame:
     """``df`` written once to the shared folder and read back: later plans start from files that outlive executors.
 
-    The finished plan's shuffle files are of no more use; a collection on the driver lets Spark's cleaner remove them.
+    Shuffle files of finished plans are of no more use; collections on the driver let Spark's cleaner remove them.
     """
     spark = df.sparkSession
     path = f"{shared_dir(spark).rstrip('/')}/duetsieve-{name}-{uuid.uuid4().hex}"
+    spark.sparkContext._jvm.System.gc()  # of the plans before: the last one is still held by its events when its write returns
     df.write.parquet(path)
     spark.sparkContext._jvm.System.gc()
     out = spark.read.schema(df.schema).parquet(path)
