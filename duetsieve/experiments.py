@@ -486,6 +486,14 @@ SELECT pair_id, chosen, rejected FROM f WHERE NOT EXISTS (SELECT 1 FROM f g WHER
         P.basket_pairs(spark, d).select("pair_id", (F.col("pair_id") % 50).cast("string").alias("prompt"), *[F.element_at(F.split(c, " "), 1).alias(c) for c in ("chosen", "rejected")])
     ).select("pair_id", "chosen", "rejected")
 )
+_query(
+    "q_dedup_pairs_whole",
+    f"""WITH {_LINES}, p AS (
+  SELECT l_orderkey AS pair_id, 'order ' || l_orderkey AS prompt, string_agg(p_brand, ' ' ORDER BY k) FILTER (WHERE k % 2 = 1) AS chosen, string_agg(p_brand, ' ' ORDER BY k) FILTER (WHERE k % 2 = 0) AS rejected
+  FROM lines GROUP BY l_orderkey HAVING count(*) > 1),
+f AS (SELECT prompt, chosen, rejected, min(pair_id) AS pair_id FROM p WHERE chosen <> rejected GROUP BY ALL)
+SELECT pair_id, prompt, chosen, rejected FROM f WHERE NOT EXISTS (SELECT 1 FROM f g WHERE g.prompt = f.prompt AND g.chosen = f.rejected AND g.rejected = f.chosen)""",
+)(lambda spark, d: hygiene.drop_duplicate_pairs(P.basket_pairs(spark, d)).select("pair_id", "prompt", "chosen", "rejected"))
 _RUNS = lambda t, k: f"SELECT DISTINCT {k}, array_to_string(w[i : i + 7], ' ') AS run FROM (SELECT {k}, w, unnest(range(1, len(w) - 6)) AS i FROM (SELECT {k}, {_WORDS.format('text')} AS w FROM {t}) WHERE len(w) >= 8)"
 _query("q_decontaminate", f"WITH d AS ({_RUNS('documents', 'doc_id')}), b AS ({_RUNS('benchmark', 'item_id')}) SELECT DISTINCT doc_id FROM d WHERE run IN (SELECT run FROM b)")(
     lambda spark, d: hygiene.decontaminate(table(spark, d, "documents", "doc_id", "text"), table(spark, d, "benchmark", "text"), "doc_id")

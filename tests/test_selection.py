@@ -117,6 +117,15 @@ def test_contradicted_pairs_go(spark):
     assert sorted(r[0] for r in hygiene.drop_duplicate_pairs(df).select("pair_id").collect()) == [3, 6]
 
 
+def test_pairs_are_compared_as_whole_texts(spark, monkeypatch):
+    """Prompts 50 apart and responses that differ from the second word on are other pairs."""
+    rows = [(1, "p 1", "a b", "c d"), (51, "p 51", "a b", "c d"), (2, "p 1", "a x", "c d"), (3, "p 1", "a b", "c y"), (4, "p 1", "a b", "c d"), (5, "p 1", "a b", "a z"), (6, "q", "a b", "c d"), (7, "q", "c d", "a b"), (8, "q", "c d", "a z")]
+    df = spark.createDataFrame(rows, "pair_id long, prompt string, chosen string, rejected string")
+    monkeypatch.setattr(E.P, "basket_pairs", lambda spark, sf_dir: df)
+    got = E.queries()["q_dedup_pairs_whole"](spark, SMALL)
+    assert sorted(map(tuple, got.select("pair_id", "prompt", "chosen", "rejected").collect())) == sorted(r for r in rows if r[0] not in (4, 6, 7))
+
+
 def test_stream_equals_batch(spark, tmp_path):
     signals = P.basket_signals(spark, SMALL).withColumn("ts", F.timestamp_seconds(F.col("pair_id") * 60))
     signals.repartition(3).write.parquet(str(tmp_path / "in"))
