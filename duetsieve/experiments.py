@@ -601,8 +601,9 @@ def q_leaderboard(spark, sf_dir):
     _, signals, _, feats, ref = _graded_run(spark, sf_dir)
     train = materialised(signals.where(~held_out(F.col("pair_id"))), "train")
     n, tau = _half(train), _own_tau(train)
+    losses = materialised(policy.ensemble_losses(feats, ref, policy.PolicyConfig(rounds=5)), "losses")
     methods = {name: (f(train, n), False) for name, (f, _) in _BASELINES.items() if name not in ("map_signed", "im_em_prob")}
-    methods |= {"full": (train, False), "ensemble": (baselines.by_ensemble_easiness(train, baselines.formula_losses(train), n), False), "two_stage": (preset(train, "full", tau), True)}
+    methods |= {"full": (train, False), "ensemble": (baselines.by_ensemble_easiness(train, losses, n), False), "two_stage": (preset(train, "full", tau), True)}
     rows = []
     for name, (kept, turns) in methods.items():
         ids = kept.select("pair_id", (F.col("flipped") if turns else F.lit(False)).alias("flipped"))

@@ -14,13 +14,15 @@ counts as a token: words, word pairs, or word endings.
 from __future__ import annotations
 
 from collections.abc import Iterator
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..functions import signals as S
 from ..functions.columns import MICRO, held_out, micro, portable_hash, tokens
 from ..plans.stages import materialised
 from . import lm
@@ -45,7 +47,7 @@ class PolicyConfig:
     vocabulary: int = 512
     mask: float = 0.7
     split: str = "crossfit"  # or "shared"
-    sample: str = "full"  # or "half"
+    sample: str = "full"  # or "half", or "rest", the other half of the same seed
     weights: str = "none"  # or "likelihood"
     family: str = "word"
     seed: int = 7
@@ -101,11 +103,16 @@ def _masks(cfg: PolicyConfig) -> np.ndarray:
     return np.ones((2, cfg.vocabulary)) if cfg.split == "shared" else (rng.random((2, cfg.vocabulary)) < cfg.mask).astype(float)
 
 
+def in_sample(cfg: PolicyConfig) -> Column:
+    """Whether a training pair belongs to the sample that the policies are trained on."""
+    if cfg.sample == "full":
+        return F.lit(True)
+    return portable_hash(f"half:{cfg.seed}:", F.col("pair_id")) % 2 == {"half": 0, "rest": 1}[cfg.sample]
+
+
 def train_policies(features: DataFrame, ref: Reference, cfg: PolicyConfig, order: str | None = None, batch: int = 256) -> Policies:
     """Trains both policies; ``order`` names a position column for training in that order, a batch a round."""
-    rows = features.where(~held_out(F.col("pair_id")))
-    if cfg.sample == "half":
-        rows = rows.where(portable_hash(f"half:{cfg.seed}:", F.col("pair_id")) % 2 == 0)
+    rows = features.where(~held_out(F.col("pair_id")) & in_sample(cfg))
     half = portable_hash("cross:", F.col("pair_id")) % 2
     rows = materialised(rows.select("feats", "n_w", "n_l", "ref_w", "ref_l", half.cast("int").alias("half"), (F.col(order) if order else F.lit(0)).cast("long").alias("at")), "training")
     v, masks = cfg.vocabulary, _masks(cfg)
@@ -159,8 +166,6 @@ def train_policies(features: DataFrame, ref: Reference, cfg: PolicyConfig, order
 
 def one_step(features: DataFrame, ref: Reference, cfg: PolicyConfig) -> Policies:
     """The first gradient step from the reference: every pair weighs one half."""
-    from dataclasses import replace
-
     return train_policies(features, ref, replace(cfg, rounds=1, split="shared", mask=1.0))
 
 
@@ -186,6 +191,20 @@ def with_policy_scores(features: DataFrame, found: Policies) -> DataFrame:
     return features.select("pair_id", "ref_w", "ref_l", "n_w", "n_l", "feats").mapInArrow(score, "pair_id long, ref_w long, ref_l long, n_w int, n_l int, pos_w long, pos_l long, inv_w long, inv_l long")
 
 
+def ensemble_losses(features: DataFrame, ref: Reference, cfg: PolicyConfig = PolicyConfig(), seeds: tuple[int, ...] = (1, 2, 3)) -> DataFrame:
+    """pair_id, model, seen, loss in micro units of trained reference models: a seed's two complementary halves, by three seeds.
+
+    Each model scores the training pairs of the half that it was not trained on, so that a pair has one loss a seed.
+    """
+    train, rows = features.where(~held_out(F.col("pair_id"))), []
+    for seed in seeds:
+        for sample in ("half", "rest"):
+            mine = replace(cfg, split="shared", sample=sample, seed=seed)
+            scored = with_policy_scores(train.where(~in_sample(mine)), train_policies(features, ref, mine))
+            rows.append(scored.select("pair_id", F.lit(len(rows)).alias("model"), F.lit(False).alias("seen"), micro(S.pair_loss(S.implicit_margin("pos"), cfg.beta)).alias("loss")))
+    return reduce(DataFrame.unionByName, rows)
+
+
 def external_scores(pairs: DataFrame) -> DataFrame:
     """Four judged dimensions from the texts alone, 0 to 1: prompt overlap, variety, length, plain characters."""
 

@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from duetsieve import experiments as E
 from duetsieve.functions import signals as S
+from duetsieve.functions.columns import held_out
 from duetsieve.operators import analysis, evaluate, hygiene, lm, policy
 from duetsieve.plans.selection import select_pairs, with_texts
 from duetsieve.sources import pairs as P
@@ -81,6 +82,37 @@ def test_gradient_against_differences(spark, trained):
     assert found.history[2]["loss"] < found.history[0]["loss"] and found.history[3]["loss"] < found.history[1]["loss"]
 
 
+def test_ensemble_models_have_not_seen_what_they_judge(spark, trained):
+    """Six trained models; a pair's loss of a seed is that of the policy trained on the other half."""
+    *_, feats, ref = trained
+    cfg = policy.PolicyConfig(vocabulary=64, rounds=2)
+    rows = policy.ensemble_losses(feats, ref, cfg).collect()
+    train = {r[0] for r in feats.where(~held_out(F.col("pair_id"))).select("pair_id").collect()}
+    by_pair, by_model = {}, {}
+    for r in rows:
+        by_pair.setdefault(r["pair_id"], []).append(r["model"])
+        by_model.setdefault(r["model"], {})[r["pair_id"]] = r["loss"]
+    assert set(by_pair) == train and sorted(by_model) == list(range(6))
+    assert all(sorted(k // 2 for k in models) == [0, 1, 2] for models in by_pair.values())
+    for k, losses in by_model.items():
+        # Trained by hand on the pairs that model k does not judge, and on nothing else.
+        other = feats.where(F.col("pair_id").isin(list(train - set(losses))))
+        found = policy.train_policies(other, ref, policy.PolicyConfig(vocabulary=64, rounds=2, split="shared"))
+        scored = policy.with_policy_scores(feats, found).where(F.col("pair_id").isin(list(losses)))
+        want = {r["pair_id"]: r["loss"] for r in scored.select("pair_id", S.pair_loss(S.implicit_margin("pos"), 0.1).alias("loss")).collect()}
+        assert {p: x / 1e6 for p, x in losses.items()} == pytest.approx(want, abs=1e-5)
+
+
+def test_leaderboard_ensemble_is_trained(spark, monkeypatch):
+    """No formula stands in for the six models, each of which is trained on half of the pairs."""
+    trained_on, train = [], policy.train_policies
+    monkeypatch.setattr(policy, "train_policies", lambda f, ref, cfg, *a, **k: trained_on.append((cfg.sample, cfg.seed)) or train(f, ref, cfg, *a, **k))
+    monkeypatch.setattr(E.baselines, "formula_losses", lambda *a, **k: pytest.fail("formula models on graded pairs"))
+    got = E.queries()["q_leaderboard"](spark, SMALL)
+    assert got.where("method = 'ensemble'").count() == 3
+    assert sorted(x for x in trained_on if x[0] != "full") == sorted((h, s) for h in ("half", "rest") for s in (1, 2, 3))
+
+
 def test_length_control(spark):
     rows = [("a", i, float(i % 2), 10, 10) for i in range(20)] + [("b", i, float(i < 15), 20 + 5 * i, 40) for i in range(30)]
     j = spark.createDataFrame(rows, "method string, prompt_id long, p_win double, len_model int, len_base int")
