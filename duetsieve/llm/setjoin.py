@@ -42,6 +42,8 @@ from .wordhash import Hasher, U, blocks, mix
 SKETCH = 1 << 20  # counters; 4 MB whatever the input
 _CHUNK = 1 << 12
 _PARITY = 16  # 64-bit words of a set's parity
+_BLOCK = 256  # sets of a component that are counted together
+_SLICE = 1 << 14  # shingles in a matrix at once: 16 MB a block
 
 
 @dataclass(frozen=True)
@@ -230,8 +232,12 @@ def _near(how: Similar, mx: str, my: str, a: str, b: str) -> str:
 
 
 def similar_groups(docs: DataFrame, how: Similar = Similar()) -> DataFrame:
-    """doc_id, n_shingles, component_id of every row, and the number of verified links of its class."""
-    docs = docs.select("doc_id", "text")
+    """doc_id, n_shingles, component_id of every row."""
+    return _grouped(docs.select("doc_id", "text"), how).select("doc_id", "n_shingles", "component_id")
+
+
+def _grouped(docs: DataFrame, how: Similar) -> DataFrame:
+    """The same with ``rep``, the least document of equal set (null for an empty set or a row without id)."""
     table, sizes = rarity(docs, how)
     found = saved(profiles(docs, how, table, boundary(table, sizes, how)), "profiles")
     sets = ("m", "s1", "s2")
@@ -264,17 +270,69 @@ def similar_groups(docs: DataFrame, how: Similar = Similar()) -> DataFrame:
     second = _verified(apart, docs, how, "open")
     links = saved(first.union(second), "links")
     final = components(links, "final-components").withColumnRenamed("node", "rep")
-    ends = links.select(F.col("x").alias("rep")).union(links.select("y")).groupBy("rep").agg(F.count(F.lit(1)).alias("n_links"))
-    named = classes.join(final, "rep", "left").join(ends, "rep", "left").select(*sets, F.coalesce("component", "rep").alias("component_id"), F.coalesce("n_links", F.lit(0)).alias("n_links"))
+    named = classes.join(final, "rep", "left").select(*sets, "rep", F.coalesce("component", "rep").alias("component_id"))
     rows = found.select("doc_id", *sets)
     return rows.join(named, list(sets), "left").select(
         "doc_id",
         F.col("m").cast("long").alias("n_shingles"),
         F.when(F.col("doc_id").isNotNull(), F.coalesce("component_id", "doc_id")).alias("component_id"),
-        F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"),
+        F.when(F.col("doc_id").isNotNull(), F.col("rep")).alias("rep"),
     )
 
 
+def _shared(u: np.ndarray, v: np.ndarray, ends_u: np.ndarray, ends_v: np.ndarray) -> np.ndarray:
+    """Shingles that each set of one block shares with each of the other, by products of 0/1 matrices, a slice of shingles at a time."""
+    known, at = np.unique(np.concatenate([u, v]), return_inverse=True)
+    row_u, row_v = (np.repeat(np.arange(len(e) - 1), np.diff(e)) for e in (ends_u, ends_v))
+    at_u, at_v = at[: len(u)], at[len(u) :]
+    out = np.zeros((len(ends_u) - 1, len(ends_v) - 1), np.int64)
+    for start in range(0, len(known), _SLICE):
+        one, two = (np.zeros((len(e) - 1, min(_SLICE, len(known) - start)), np.float32) for e in (ends_u, ends_v))
+        for m, row, col in ((one, row_u, at_u), (two, row_v, at_v)):
+            inside = (col >= start) & (col < start + m.shape[1])
+            m[row[inside], col[inside] - start] = 1
+        out += (one @ two.T).astype(np.int64)
+    return out
+
+
+def link_counts(docs: DataFrame, how: Similar = Similar()) -> DataFrame:
+    """doc_id, n_shingles, component_id, n_links of every row: links of its set to other sets, each counted once.
+
+    Links never leave a component, so that each is found among the pairs of its component.  Components are cut
+    into blocks by hash, and every two blocks of one component meet in a group of their own: all pairs are
+    compared, by the sets themselves, and none is written.
+    """
+    docs = docs.select("doc_id", "text")
+    rows = saved(_grouped(docs, how), "grouped")
+    reps = rows.where("doc_id = rep").select("doc_id", "component_id").distinct()
+    large = reps.groupBy("component_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("component_id", F.ceil(F.col("n") / _BLOCK).cast("int").alias("nb"))
+    placed = saved(reps.join(large, "component_id").withColumn("b", F.pmod(F.xxhash64("doc_id"), "nb").cast("int")), "linked")
+    sets = _sets(docs, placed.select("doc_id"), how).dropDuplicates(["doc_id"])
+    meets = F.explode(F.transform(F.sequence(F.lit(0), F.col("nb") - 1), lambda o: F.struct(F.least("b", o).alias("i"), F.greatest("b", o).alias("j"))))
+    dealt = placed.join(sets, "doc_id").select("component_id", "doc_id", "shingles", "b", meets.alias("at")).select("component_id", "at.i", "at.j", "b", "doc_id", "shingles")
+
+    def count(block: pa.Table) -> pa.Table:
+        i, j = block.column("i")[0].as_py(), block.column("j")[0].as_py()
+        parts = []
+        for b in (i, j):
+            part = block.filter(pa.array(block.column("b").to_numpy() == b))
+            raw = part.column("shingles").to_pylist()
+            ends = np.concatenate([[0], np.cumsum([len(x) // 8 for x in raw])]).astype(np.int64)
+            parts.append((part.column("doc_id").to_numpy(), np.frombuffer(b"".join(raw), U), ends))
+        (x, u, ends_u), (y, v, ends_v) = parts
+        both = _shared(u, v, ends_u, ends_v)
+        near = how.den * both >= how.num * (np.diff(ends_u)[:, None] + np.diff(ends_v)[None, :] - both)
+        if i == j:
+            np.fill_diagonal(near, False)
+            found = [(x, near.sum(1))]
+        else:
+            found = [(x, near.sum(1)), (y, near.sum(0))]
+        return pa.table({"rep": np.concatenate([f[0] for f in found]), "n": np.concatenate([f[1] for f in found]).astype(np.int64)})
+
+    ends = dealt.groupBy("component_id", "i", "j").applyInArrow(count, "rep long, n long").groupBy("rep").agg(F.sum("n").alias("n_links"))
+    return rows.join(ends, "rep", "left").select("doc_id", "n_shingles", "component_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
+
+
 def one_of_each(docs: DataFrame, how: Similar) -> DataFrame:
     """Keeps each group's document of the least id, with all its columns; rows without id stay."""
     groups = similar_groups(docs, how).where("doc_id <> component_id").select("doc_id").distinct()
@@ -282,7 +340,11 @@ def one_of_each(docs: DataFrame, how: Similar) -> DataFrame:
 
 
 def op8_setjoin(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return similar_groups(documents(spark, sf_dir)).drop("n_links")
+    return similar_groups(documents(spark, sf_dir))
+
+
+def op8_setjoin_links(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return link_counts(documents(spark, sf_dir))
 
 
 _CUT = r"[\x20\x09-\x0D]+"
@@ -301,6 +363,22 @@ links AS (
 reach AS (SELECT doc_id, doc_id AS other FROM documents UNION SELECT r.doc_id, l.y FROM reach r JOIN links l ON l.x = r.other),
 named AS (SELECT doc_id, min(other) AS component_id FROM reach GROUP BY doc_id)
 SELECT d.doc_id, CAST(coalesce(s.n, 0) AS BIGINT) AS n_shingles, c.component_id
-FROM documents d LEFT JOIN sizes s ON s.doc_id = d.doc_id JOIN named c ON c.doc_id = d.doc_id"""
+FROM documents d LEFT JOIN sizes s ON s.doc_id = d.doc_id JOIN named c ON c.doc_id = d.doc_id""",
+    "op8_setjoin_links": rf"""
+WITH RECURSIVE words AS (
+  SELECT doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '{_CUT}'), lambda x: x <> '') AS w FROM documents),
+grams AS (
+  SELECT DISTINCT doc_id, array_to_string(w[i : i + 2], ' ') AS g
+  FROM (SELECT doc_id, w, unnest(range(1, greatest(len(w) - 1, 2))) AS i FROM words WHERE len(w) > 0)),
+sizes AS (SELECT doc_id, count(*) AS n, string_agg(g, chr(10) ORDER BY g) AS whole FROM grams GROUP BY doc_id),
+shared AS (
+  SELECT a.doc_id AS x, b.doc_id AS y, count(*) AS o FROM grams a JOIN grams b ON a.g = b.g AND a.doc_id <> b.doc_id GROUP BY 1, 2),
+links AS (
+  SELECT x, y, q.whole AS other, p.whole <> q.whole AS apart FROM shared JOIN sizes p ON p.doc_id = x JOIN sizes q ON q.doc_id = y WHERE 100 * o >= 90 * (p.n + q.n - o)),
+counts AS (SELECT x AS doc_id, count(DISTINCT other) AS n_links FROM links WHERE apart GROUP BY x),
+reach AS (SELECT doc_id, doc_id AS other FROM documents UNION SELECT r.doc_id, l.y FROM reach r JOIN links l ON l.x = r.other),
+named AS (SELECT doc_id, min(other) AS component_id FROM reach GROUP BY doc_id)
+SELECT d.doc_id, CAST(coalesce(s.n, 0) AS BIGINT) AS n_shingles, c.component_id, CAST(coalesce(k.n_links, 0) AS BIGINT) AS n_links
+FROM documents d LEFT JOIN sizes s ON s.doc_id = d.doc_id LEFT JOIN counts k ON k.doc_id = d.doc_id JOIN named c ON c.doc_id = d.doc_id""",
 }
-QUERIES: dict[str, Callable] = {"op8_setjoin": op8_setjoin}
+QUERIES: dict[str, Callable] = {"op8_setjoin": op8_setjoin, "op8_setjoin_links": op8_setjoin_links}

@@ -290,6 +290,37 @@ def test_groups_equal_brute_force(spark, odd, how):
     assert got == brute_groups([*TEXTS, *rows], how.words, how.num, how.den)
 
 
+def brute_links(rows, k, num, den):
+    """Links of each document's set to other sets, every two compared."""
+    sets = {}
+    for i, text in rows:
+        w = words(re.sub("[A-Z]", lambda m: m[0].lower(), text or ""))
+        sets[i] = frozenset(tuple(w[j : j + k]) for j in range(max(len(w) - k + 1, 1))) if w else frozenset()
+    kinds = set(sets.values()) - {frozenset()}
+    n = {s: sum(s != o and den * len(s & o) >= num * len(s | o) for o in kinds) for s in kinds}
+    return {i: n.get(s, 0) for i, s in sets.items() if i is not None}
+
+
+@pytest.mark.parametrize("block", [7, 256])
+def test_links_are_counted_inside_components(spark, odd, none, monkeypatch, block):
+    """A group of near copies, a chain, equal sets: every link counts, in whichever blocks its ends are."""
+    monkeypatch.setattr(setjoin, "_BLOCK", block)
+    base = [f"w{i}" for i in range(120)]
+    rows = [(1000 + i, " ".join([*base[:i], f"n{i}", *base[i + 1 :]])) for i in range(40)]
+    rows += [(1100 + i, rows[i][1].upper()) for i in range(5)]
+    chain = [f"c{i}" for i in range(80)]
+    for i in range(30):
+        chain = [*chain[:i], f"d{i}", *chain[i + 1 :]]
+        rows.append((2000 + i, " ".join(chain)))
+    df = odd.select("doc_id", "text").unionByName(spark.createDataFrame(rows, "doc_id long, text string"))
+    for how in (setjoin.Similar(), setjoin.Similar(5, 80, 100)):
+        got = {r["doc_id"]: r["n_links"] for r in setjoin.link_counts(df, how).where("doc_id IS NOT NULL").collect()}
+        assert got == brute_links([*TEXTS, *rows], how.words, how.num, how.den)
+    assert sum(got.values()) > 1000
+    assert "n_links" not in setjoin.similar_groups(df).columns
+    assert setjoin.link_counts(none).count() == 0
+
+
 def test_groups_bear_anything(spark, odd, none):
     assert setjoin.similar_groups(none).count() == 0
     got = setjoin.similar_groups(odd)
