@@ -47,6 +47,8 @@ def by_alignment_potential(df: DataFrame, n: int, mode: str = "abs_abs") -> Data
 
 def by_combined_margin(df: DataFrame, n: int, how: str = "zsum") -> DataFrame:
     """Both margins, standardised and added (zsum), or as odds of two logistic probabilities (prob)."""
+    if how not in ("zsum", "prob"):
+        raise ValueError(f"no way to combine margins: {how}")
     im, em = S.implicit_margin("pos"), S.external_margin()
     if how == "prob":
         return top_n(df, F.round(im + em, 6), n)  # the log odds of independent logistic probabilities add up

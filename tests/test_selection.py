@@ -158,6 +158,11 @@ def test_pairs_are_compared_as_whole_texts(spark, monkeypatch):
     assert sorted(map(tuple, got.select("pair_id", "prompt", "chosen", "rejected").collect())) == sorted(r for r in rows if r[0] not in (4, 6, 7))
 
 
+def test_unknown_ways_to_combine_margins_are_refused(spark):
+    with pytest.raises(ValueError):
+        E.baselines.by_combined_margin(P.basket_signals(spark, SMALL), 5, "ranksum")
+
+
 def test_stream_equals_batch(spark, tmp_path):
     signals = P.basket_signals(spark, SMALL).withColumn("ts", F.timestamp_seconds(F.col("pair_id") * 60))
     signals.repartition(3).write.parquet(str(tmp_path / "in"))
