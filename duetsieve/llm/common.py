@@ -16,26 +16,38 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that the cluster shares for checkpoints; a temporary one only where it is unset."""
+    """The folder that the cluster shares for checkpoints; a temporary one only where it is unset and all is one machine."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
     if not found:
         kept = spark.sparkContext._jsc.sc().getCheckpointDir()
-        found = kept.get() if kept.isDefined() else "file://" + tempfile.mkdtemp(prefix="duetsieve-")
-        if not kept.isDefined():
-            spark.sparkContext.setCheckpointDir(found)
+        if kept.isDefined():
+            return kept.get()
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
+        found = "file://" + tempfile.mkdtemp(prefix="duetsieve-")
+        spark.sparkContext.setCheckpointDir(found)
     return found
 
 
+_CLEAN = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
 def saved(df: DataFrame, name: str) -> DataFrame:
     """``df`` written once to the shared folder and read back: later plans start from files that outlive executors.
 
-    Shuffle files of finished plans are of no more use; collections on the driver let Spark's cleaner remove them.
+    The shuffle files of the write go when it ends; ``df`` itself is not executed again.
     """
     spark = df.sparkSession
     path = f"{shared_dir(spark).rstrip('/')}/duetsieve-{name}-{uuid.uuid4().hex}"
-    spark.sparkContext._jvm.System.gc()  # of the plans before: the last one is still held by its events when its write returns
-    df.write.parquet(path)
-    spark.sparkContext._jvm.System.gc()
+    before = spark.conf.get(_CLEAN, None)
+    spark.conf.set(_CLEAN, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        if before is None:
+            spark.conf.unset(_CLEAN)
+        else:
+            spark.conf.set(_CLEAN, before)
     out = spark.read.schema(df.schema).parquet(path)
     out.saved_at = path
     return out

@@ -4,67 +4,133 @@ A line is the set of its distinct words.  A line with a word is removed where an
 doc_id, or same document and smaller number) has a Jaccard similarity of ``num / den`` or more.  Earlier
 lines count as they stand in the input, removed or not, so that the result needs no order of work.
 
-* Lines of equal sets are one class; its first line stands for it, all others are removed.
 * Words are ranked by how often they occur in all documents, by hashed counters of fixed number
-  (``COUNTERS``).  A line's rarest ``size - least overlap + 1`` words are its prefix, and similar lines share
-  a word of their prefixes.
-* Lines that share one are paired under the length bound and the parity of their hashed words, of which similar
-  lines differ in few bits; then under the position bounds of the first place shared and of the number of
-  places shared; then the pair's words themselves are intersected.
-* That is done in two rounds.  In the first, each line meets only the first line of each of its rarest words, and
-  the nearest of those is verified; lines found similar need no further partner.  In the second, all other lines
-  meet every earlier line.  So a large group of near copies never meets as all its pairs.
+  (``COUNTERS``), ties by hash.  A line's rarest ``size - least overlap + 1`` words are its prefix, and of
+  similar lines the first word in common is in the prefix of both.
+* A word that occurs ``FREQUENT`` times or more would make a long list.  Behind such a word all others are
+  frequent too, and the second word in common comes one place later at most: the key is then the two
+  words together.  So lists stay short as the corpus grows.
+* Lines that share a key are paired under the length bound, the position bound of the first word in common, and
+  the parity of their hashed words, of which similar lines differ in few bits.  Pairs are verified on the words.
+* Before that join each line meets two earlier lines at most for each of a few keys: the first line with
+  this key and the one just before.  Lines of equal sets and most of a group of near copies are settled there
+  in one sort, and settled lines need no further partner.  Keys of frequent words are salted, so that no sort holds
+  more than a bounded share of a group; what a salt parts is left to the join.
 * Lines are cut once, to a saved row each; all that follows reads those rows, and texts only of candidates.
 
-DataFrame functions only.  Defined cases: a null or empty text has one line without words; lines without
+DataFrame functions only.  Lines are of equal sets when size, 64 bits of the set's hash and its parity agree;
+words are compared as they are.  Defined cases: a null or empty text has one line without words; lines without
 words are never removed; rows without id stay as they are and match nothing; rows of one id are one
-document, whose lines of one number are held to be the same place; other columns pass through ``deduped``
-untouched; an empty table gives an empty result.
+document, whose lines of one number are held to be the same place; of equal lines the earliest place stays;
+very long texts are cut into lines like others, and a very long line is one set; other columns pass through
+``deduped`` untouched; an empty table gives an empty result.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import discard, documents, saved
 from .rules import WS_CLASS
 
 COUNTERS = 1 << 18  # numbers in the plan, whatever the input
-QUICK_BITS = 20  # of 64 parity bits, in the first round only; what it passes over is left to the second
+FREQUENT = 512  # occurrences from which on a word alone is no key
+GROUP = 4096  # occurrences of its rarest word for each salt of a key in the first round
+LONG = 64  # words from which on a line has twice the parity bits
 INK = r"[^ \t\n\x0B\f\r]"
+_ODD = r"[\t\x0B\f\r]"
 
 
 def _words(text: Column) -> Column:
-    return F.array_remove(F.split(text, WS_CLASS), "")
+    """Words of a line; single blanks, the usual case, need no pattern."""
+    return F.array_remove(F.when(text.rlike(_ODD), F.split(text, WS_CLASS)).otherwise(F.split(text, " ")), "")
+
+
+def _level(n) -> Column:
+    """The logarithm of a count, in fifths of a bit."""
+    return F.least(F.lit(127), F.floor(5 * F.log2(n + 1))).cast("int")
 
 
 def rarity(docs: DataFrame) -> Column:
-    """A level for each hashed counter: the logarithm of its words' occurrences in all documents, in fifths of a bit."""
+    """A level for each hashed counter: the logarithm of its words' occurrences in all documents.
+
+    Words are cut at single blanks and line ends here; other white space only blurs the order.
+    """
     spark = docs.sparkSession
-    words = docs.select(F.explode(F.split("text", WS_CLASS)).alias("w"))
+    words = docs.select(F.explode(F.split(F.replace("text", F.lit("\n"), F.lit(" ")), " ")).alias("w"))
     counts = words.groupBy(F.xxhash64("w").bitwiseAND(F.lit(COUNTERS - 1)).cast("int").alias("slot")).agg(F.count(F.lit(1)).alias("n"))
     every = counts.unionByName(spark.range(COUNTERS).select(F.col("id").cast("int").alias("slot"), F.lit(0).cast("long").alias("n"))).groupBy("slot").agg(F.sum("n").alias("n"))
-    ordered = F.sort_array(F.collect_list(F.struct("slot", F.least(F.lit(127), F.floor(5 * F.log2(F.col("n") + 1))).cast("int").alias("level"))))  # of fixed size
+    ordered = F.sort_array(F.collect_list(F.struct("slot", _level(F.col("n")).alias("level"))))  # of fixed size
     levels = every.agg(F.array_join(F.transform(ordered, lambda x: x["level"].cast("string")), ",").alias("levels")).first()["levels"]
     return F.split(F.lit(levels), ",").cast("array<int>")  # folded to a constant
 
 
 def signatures(docs: DataFrame, num: int, den: int) -> DataFrame:
-    """A compact row for every line with a word: size, set hash, parity bits, and its prefix of rarest words."""
+    """A compact row for every line with a word: size, set hash, parity bits, and its prefix and one word more, rarest first."""
     levels = rarity(docs)
     cut = docs.where("doc_id IS NOT NULL AND text IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), F.posexplode(F.split("text", "\n")).alias("line", "_t"))
     # The pattern spares lines without a word here, so that no filter over the words repeats their work.
     lines = cut.where(F.col("_t").rlike(INK)).select("doc_id", "line", F.array_distinct(F.transform(_words(F.col("_t")), lambda w: F.xxhash64(w))).alias("words"))
-    n = F.size("words")
-    # Level and 32 bits of the hash in one long: ranks by rarity, ties by hash.
-    level = lambda w: F.coalesce(F.get(levels, w.bitwiseAND(F.lit(COUNTERS - 1)).cast("int")), F.lit(0)).cast("long")
-    ranked = F.sort_array(F.transform("words", lambda w: F.shiftleft(level(w), 32).bitwiseOR(F.shiftrightunsigned(w, 32))))
-    prefix = F.slice(ranked, 1, n - F.ceil(n * num / den - 1e-9).cast("int") + 1)
-    parity = F.expr("aggregate(words, 0L, (a, w) -> a ^ shiftleft(1L, cast(shiftrightunsigned(w, 33) AS INT)))")
-    return lines.select("doc_id", "line", n.alias("n"), F.xxhash64(F.sort_array("words")).alias("s"), parity.alias("parity"), F.transform(prefix, lambda x: x.bitwiseAND(F.lit(0x7FFFFFFF)).cast("int")).alias("keys"))
+    # Level in the upper 7 bits, 56 bits of the hash below.
+    level = lambda w: F.coalesce(F.get(levels, w.bitwiseAND(F.lit(COUNTERS - 1)).cast("int")), F.lit(0))
+    ranked = lines.select("doc_id", "line", F.sort_array(F.transform("words", lambda w: F.shiftleft(level(w).cast("long"), 56).bitwiseOR(F.shiftrightunsigned(w, 8)))).alias("r"))
+    n = F.size("r")
+    bit = "shiftleft(1L, cast(w & 63 AS INT))"
+    first = F.expr(f"CASE WHEN size(r) < {LONG} THEN aggregate(r, 0L, (a, w) -> a ^ {bit}) ELSE aggregate(r, 0L, (a, w) -> IF(w & 64L = 0, a ^ {bit}, a)) END")
+    second = F.expr(f"CASE WHEN size(r) < {LONG} THEN 0L ELSE aggregate(r, 0L, (a, w) -> IF(w & 64L = 0, a, a ^ {bit})) END")
+    prefix = F.slice("r", 1, n - F.ceil(n * num / den - 1e-9).cast("int") + 2)
+    return ranked.select("doc_id", "line", n.alias("n"), F.xxhash64("r").alias("s"), first.alias("p"), second.alias("q"), prefix.alias("keys"))
+
+
+def _apart() -> Column:
+    """Differing parity bits of x and y, never more than differing words: of 128 where both are long, of 64 otherwise."""
+    return F.expr(f"CASE WHEN abs(n_x) >= {LONG} AND abs(n_y) >= {LONG} THEN bit_count(p_x ^ p_y) + bit_count(q_x ^ q_y) ELSE bit_count(p_x ^ q_x ^ p_y ^ q_y) END")
+
+
+def _met(known: DataFrame, num: int, den: int) -> DataFrame:
+    """(doc_id_y, line_y, copy, doc_id_x, line_x): lines with an equal one before them, and else the nearest that may be similar."""
+    two = lambda i: F.xxhash64(F.get("keys", F.lit(i)), F.coalesce(F.get("keys", F.lit(i + 1)), F.lit(0)))
+    keys = F.array(F.col("s"), *(F.when(F.size("keys") > i, two(i)) for i in range(3)))
+    salts = F.greatest(F.lit(1), F.pow(F.lit(2.0), F.shiftrightunsigned(F.get("keys", F.lit(0)), 56) / 5) / GROUP).cast("long")
+    salt = F.when(salts > 1, F.pmod(F.xxhash64("doc_id"), salts)).otherwise(0)
+    held = known.select("doc_id", "line", "n", "p", "q", salt.alias("salt"), F.posexplode(keys).alias("kind", "key")).where("key IS NOT NULL")
+    held = held.withColumn("key", F.when(F.col("salt") > 0, F.xxhash64("key", "salt")).otherwise(F.col("key"))).drop("salt")
+    names = ("doc_id", "line", "n", "p", "q", "kind")
+    own, by = F.struct(*names), Window.partitionBy("key").orderBy("doc_id", "line")
+    near = held.select(*names, F.lag(own).over(by).alias("before"), F.first(own).over(by).alias("first")).where("before IS NOT NULL")
+    # The first and the one just before: as two rows only where they are two lines.
+    same = F.struct("first.doc_id", "first.line") == F.struct("before.doc_id", "before.line")
+    pairs = near.select(*(F.col(c).alias(f"{c}_y") for c in names), F.explode(F.when(same, F.array("first")).otherwise(F.array("first", "before"))).alias("x"))
+    pairs = pairs.select("*", *(F.col(f"x.{c}").alias(f"{c}_x") for c in names))
+    pairs = pairs.where("doc_id_x < doc_id_y OR line_x < line_y")
+    equal = F.expr("kind_x = 0 AND kind_y = 0 AND n_x = n_y AND p_x = p_y AND q_x = q_y")
+    alike = ((num + den) * _apart() <= (den - num) * (F.col("n_x") + F.col("n_y"))) & (den * F.least("n_x", "n_y") >= num * F.greatest("n_x", "n_y"))
+    found = pairs.where(alike).select("doc_id_y", "line_y", equal.alias("copy"), F.struct(_apart().alias("apart"), "doc_id_x", "line_x").alias("h"))
+    return found.groupBy("doc_id_y", "line_y").agg(F.max("copy").alias("copy"), F.min("h").alias("h")).select("doc_id_y", "line_y", "copy", "h.doc_id_x", "h.line_x")
+
+
+def _pairs(known: DataFrame, copies: DataFrame, quick: DataFrame, num: int, den: int) -> DataFrame:
+    """(doc_id_x, line_x, doc_id_y, line_y): every earlier line and later one not settled that may be similar."""
+    frequent = int(5 * math.log2(FREQUENT + 1)) << 56 if 2 * num > den else (1 << 63) - 1  # else one word may be all that is shared
+    # A word alone, or with each word that may be the second in common.
+    keys = F.expr(f"""flatten(transform(sequence(0, n - cast(ceil(n * {num} / {den} - 1e-9) AS INT)), i -> IF(n = 1 OR keys[i] < {frequent}, array(named_struct('pos', i, 'key', keys[i])),
+        transform(slice(keys, i + 2, size(keys)), w -> named_struct('pos', i, 'key', xxhash64(keys[i], w))))))""")
+    # Equal lines go; other settled ones have a negative size, which no second line may have: both sides are the same rows, shuffled once.
+    settled = copies.withColumn("sign", F.lit(0)).union(quick.withColumn("sign", F.lit(-1)))
+    marked = known.join(settled.select(F.col("doc_id_y").alias("doc_id"), F.col("line_y").alias("line"), "sign"), ["doc_id", "line"], "left").withColumn("sign", F.coalesce("sign", F.lit(1))).where("sign <> 0")
+    rows = marked.select("doc_id", "line", (F.col("n") * F.col("sign")).alias("n"), "p", "q", F.inline(keys))
+    x, y = (rows.select("key", *(F.col(c).alias(f"{c}_{s}") for c in rows.columns if c != "key")) for s in "xy")
+    n_x = F.abs("n_x")
+    total = n_x + F.abs("n_y")
+    earlier = (F.col("doc_id_x") < F.col("doc_id_y")) | ((F.col("doc_id_x") == F.col("doc_id_y")) & (F.col("line_x") < F.col("line_y")))
+    size = den * F.least(n_x, "n_y") >= num * F.greatest(n_x, "n_y")  # false where n_y is negative
+    place = (num + den) * F.least(n_x - F.col("pos_x"), F.abs("n_y") - F.col("pos_y")) >= num * total
+    alike = (num + den) * _apart() <= (den - num) * total
+    return x.join(y, (x.key == y.key) & earlier & size & place & alike).select("doc_id_x", "line_x", "doc_id_y", "line_y").distinct()
 
 
 def _verified(docs: DataFrame, pairs: DataFrame, num: int, den: int) -> DataFrame:
@@ -86,44 +152,12 @@ def _verified(docs: DataFrame, pairs: DataFrame, num: int, den: int) -> DataFram
 def similar_lines(docs: DataFrame, num: int = 80, den: int = 100) -> DataFrame:
     """(doc_id, line) of the lines to remove."""
     known = saved(signatures(docs, num, den), "line-signatures")
-    first = known.groupBy("s", "parity").agg(F.min(F.struct("doc_id", "line")).alias("f")).select("f.doc_id", "f.line")
-    first = saved(first, "line-classes")
-    reps = known.join(first, ["doc_id", "line"], "left_semi")
-    sides = lambda df, s: df.select("key", *(F.col(c).alias(f"{c}_{s}") for c in df.columns if c != "key"))
-    total = F.col("n_x") + F.col("n_y")
-    apart = F.bit_count(F.col("parity_x").bitwiseXOR(F.col("parity_y")))
-    alike_size = den * F.least("n_x", "n_y") >= num * F.greatest("n_x", "n_y")
-    alike_bits = (num + den) * apart <= (den - num) * total
-    before = lambda doc: (F.col("doc_id_x") < F.col(doc)) | ((F.col("doc_id_x") == F.col(doc)) & (F.col("line_x") < F.col("line_y")))
-
-    # Each line against the first line of each of its words: linear, and it settles groups of near copies.
-    keys = reps.select("doc_id", "line", "n", "parity", F.explode(F.slice("keys", F.lit(1), F.floor(F.size("keys") / 2).cast("int") + 1)).alias("key"))  # the rarer half is enough here
-    heads = keys.groupBy("key").agg(F.min(F.struct("doc_id", "line", "n", "parity")).alias("h"), F.count(F.lit(1)).alias("lines")).where("lines > 1").select("key", "h.*")
-    x, y = sides(heads, "x"), sides(keys, "y")
-    met = x.join(y, (x.key == y.key) & before("doc_id_y") & alike_bits & (apart <= QUICK_BITS) & alike_size)
-    nearest = met.groupBy("doc_id_y", "line_y").agg(F.min(F.struct(apart.alias("apart"), "doc_id_x", "line_x")).alias("h")).select("h.doc_id_x", "h.line_x", "doc_id_y", "line_y")
-    quick = _verified(docs, saved(nearest, "line-heads"), num, den)
-
-    # All other lines against every earlier one.  Settled ones have a negative size, which no second line may have:
-    # both sides are the same rows, shuffled once.
-    settled = quick.select(F.col("doc_id_y").alias("doc_id"), F.col("line_y").alias("line"), F.lit(-1).alias("sign"))
-    keys = reps.join(settled, ["doc_id", "line"], "left").select("doc_id", "line", (F.col("n") * F.coalesce("sign", F.lit(1))).alias("n"), "parity", F.posexplode("keys").alias("pos", "key"))
-    x, y = sides(keys, "x"), sides(keys, "y")
-    n_x, n_y = F.abs("n_x"), F.col("n_y")
-    total = n_x + F.abs("n_y")
-    alike_size = den * F.least(n_x, n_y) >= num * F.greatest(n_x, n_y)
-    met = x.join(y, (x.key == y.key) & ((num + den) * apart <= (den - num) * total) & before("doc_id_y") & alike_size)
-    met = met.groupBy("doc_id_x", "line_x", n_x.alias("n_x"), "doc_id_y", "line_y", "n_y").agg(F.count(F.lit(1)).alias("met"), F.min("pos_x").alias("at_x"), F.min("pos_y").alias("at_y"))
-    # Nothing is shared before the first place met.  Of the line whose prefix ends first, what follows its prefix can be
-    # shared at most, beside the places met.
-    rest = F.least(F.col("n_x") - F.col("at_x"), F.col("n_y") - F.col("at_y"))
-    after = F.ceil(F.greatest("n_x", "n_y") * num / den - 1e-9) - 1
-    total = F.col("n_x") + F.col("n_y")
-    pairs = met.where(((num + den) * rest >= num * total) & ((num + den) * (F.col("met") + after) >= num * total)).select("doc_id_x", "line_x", "doc_id_y", "line_y")
-    late = _verified(docs, saved(pairs, "line-pairs"), num, den)
-    copies = known.select("doc_id", "line").join(first, ["doc_id", "line"], "left_anti")
-    gone = saved(quick.union(late).select(F.col("doc_id_y").alias("doc_id"), F.col("line_y").alias("line")).union(copies).distinct(), "line-removals")
-    discard(known, first, quick, late)
+    met = saved(_met(known, num, den), "line-met")
+    quick = _verified(docs, saved(met.where("NOT copy").drop("copy"), "line-heads"), num, den)
+    copies = met.where("copy").select("doc_id_y", "line_y")
+    late = _verified(docs, saved(_pairs(known, copies, quick, num, den), "line-pairs"), num, den)
+    gone = saved(copies.union(quick).union(late).distinct().select(F.col("doc_id_y").alias("doc_id"), F.col("line_y").alias("line")), "line-removals")
+    discard(known, met, quick, late)
     return gone
 
 
