@@ -12,8 +12,8 @@ lines count as they stand in the input, removed or not, so that the result needs
   words together.  So lists stay short as the corpus grows.
 * Lines that share a key are paired under the length bound, the position bound of the first word in common, and
   the parity of their hashed words, of which similar lines differ in few bits.  Pairs are verified on the words.
-* Before that join each line meets two earlier lines at most for each of a few keys: the first line with
-  this key and the one just before.  Lines of equal sets and most of a group of near copies are settled there
+* Before that join each line meets two earlier lines for each of a few pairs of words: the first line with this pair
+  and the one just before.  Lines of equal sets and most of a group of near copies are settled there
   in one sort, and settled lines need no further partner.  Keys of frequent words are salted, so that no sort holds
   more than a bounded share of a group; what a salt parts is left to the join.
 * Lines are cut once, to a saved row each; all that follows reads those rows, and texts only of candidates.
@@ -38,9 +38,10 @@ from .common import discard, documents, saved
 from .rules import WS_CLASS
 
 COUNTERS = 1 << 18  # numbers in the plan, whatever the input
-FREQUENT = 512  # occurrences from which on a word alone is no key
+FREQUENT = 4096  # occurrences from which on a word alone is no key
 GROUP = 4096  # occurrences of its rarest word for each salt of a key in the first round
 LONG = 64  # words from which on a line has twice the parity bits
+NEAR_KEYS = 4  # pairs of words of each line in the first round
 INK = r"[^ \t\n\x0B\f\r]"
 _ODD = r"[\t\x0B\f\r]"
 
@@ -93,24 +94,25 @@ def _apart() -> Column:
 
 def _met(known: DataFrame, num: int, den: int) -> DataFrame:
     """(doc_id_y, line_y, copy, doc_id_x, line_x): lines with an equal one before them, and else the nearest that may be similar."""
-    two = lambda i: F.xxhash64(F.get("keys", F.lit(i)), F.coalesce(F.get("keys", F.lit(i + 1)), F.lit(0)))
-    keys = F.array(F.col("s"), *(F.when(F.size("keys") > i, two(i)) for i in range(3)))
+    # Words that stand next to each other in the prefix, from its end: the rarest words of a copy are often odd ones.
+    word = lambda i: F.get("keys", F.size("keys") - i)
+    two = [F.when(F.size("keys") > i, F.xxhash64(word(i), word(i + 1))) for i in range(1, NEAR_KEYS + 1)]
     salts = F.greatest(F.lit(1), F.pow(F.lit(2.0), F.shiftrightunsigned(F.get("keys", F.lit(0)), 56) / 5) / GROUP).cast("long")
     salt = F.when(salts > 1, F.pmod(F.xxhash64("doc_id"), salts)).otherwise(0)
-    held = known.select("doc_id", "line", "n", "p", "q", salt.alias("salt"), F.posexplode(keys).alias("kind", "key")).where("key IS NOT NULL")
-    held = held.withColumn("key", F.when(F.col("salt") > 0, F.xxhash64("key", "salt")).otherwise(F.col("key"))).drop("salt")
-    names = ("doc_id", "line", "n", "p", "q", "kind")
+    held = known.select("doc_id", "line", "n", "p", "q", salt.alias("salt"), F.posexplode(F.array("s", *two)).alias("kind", "key")).where("key IS NOT NULL")
+    held = held.select("doc_id", "line", "n", "p", "q", (F.col("kind") == 0).alias("whole"), F.when(F.col("salt") > 0, F.xxhash64("key", "salt")).otherwise(F.col("key")).alias("key"))
+    names = ("doc_id", "line", "n", "p", "q", "whole")
     own, by = F.struct(*names), Window.partitionBy("key").orderBy("doc_id", "line")
-    near = held.select(*names, F.lag(own).over(by).alias("before"), F.first(own).over(by).alias("first")).where("before IS NOT NULL")
+    near = held.select("*", F.first(own).over(by).alias("a"), F.lag(own).over(by).alias("b")).where("b IS NOT NULL")
     # The first and the one just before: as two rows only where they are two lines.
-    same = F.struct("first.doc_id", "first.line") == F.struct("before.doc_id", "before.line")
-    pairs = near.select(*(F.col(c).alias(f"{c}_y") for c in names), F.explode(F.when(same, F.array("first")).otherwise(F.array("first", "before"))).alias("x"))
-    pairs = pairs.select("*", *(F.col(f"x.{c}").alias(f"{c}_x") for c in names))
-    pairs = pairs.where("doc_id_x < doc_id_y OR line_x < line_y")
-    equal = F.expr("kind_x = 0 AND kind_y = 0 AND n_x = n_y AND p_x = p_y AND q_x = q_y")
-    alike = ((num + den) * _apart() <= (den - num) * (F.col("n_x") + F.col("n_y"))) & (den * F.least("n_x", "n_y") >= num * F.greatest("n_x", "n_y"))
+    same = F.struct("a.doc_id", "a.line") == F.struct("b.doc_id", "b.line")
+    pairs = near.select(*(F.col(c).alias(f"{c}_y") for c in names), F.explode(F.when(same, F.array("b")).otherwise(F.array("a", "b"))).alias("x"))
+    pairs = pairs.select("*", *(F.col(f"x.{c}").alias(f"{c}_x") for c in names)).where("doc_id_x < doc_id_y OR line_x < line_y")
+    equal = F.expr("whole_x AND whole_y AND n_x = n_y AND p_x = p_y AND q_x = q_y")
+    alike = (den * F.least("n_x", "n_y") >= num * F.greatest("n_x", "n_y")) & ((num + den) * _apart() <= (den - num) * (F.col("n_x") + F.col("n_y")))
     found = pairs.where(alike).select("doc_id_y", "line_y", equal.alias("copy"), F.struct(_apart().alias("apart"), "doc_id_x", "line_x").alias("h"))
-    return found.groupBy("doc_id_y", "line_y").agg(F.max("copy").alias("copy"), F.min("h").alias("h")).select("doc_id_y", "line_y", "copy", "h.doc_id_x", "h.line_x")
+    best = found.groupBy("doc_id_y", "line_y").agg(F.max("copy").alias("copy"), F.min("h").alias("h"))
+    return best.select("doc_id_y", "line_y", "copy", "h.doc_id_x", "h.line_x")
 
 
 def _pairs(known: DataFrame, copies: DataFrame, quick: DataFrame, num: int, den: int) -> DataFrame:
@@ -118,7 +120,7 @@ def _pairs(known: DataFrame, copies: DataFrame, quick: DataFrame, num: int, den:
     frequent = int(5 * math.log2(FREQUENT + 1)) << 56 if 2 * num > den else (1 << 63) - 1  # else one word may be all that is shared
     # A word alone, or with each word that may be the second in common.
     keys = F.expr(f"""flatten(transform(sequence(0, n - cast(ceil(n * {num} / {den} - 1e-9) AS INT)), i -> IF(n = 1 OR keys[i] < {frequent}, array(named_struct('pos', i, 'key', keys[i])),
-        transform(slice(keys, i + 2, size(keys)), w -> named_struct('pos', i, 'key', xxhash64(keys[i], w))))))""")
+        transform(slice(keys, i + 2, size(keys)), (w, j) -> named_struct('pos', i + j, 'key', xxhash64(keys[i], w))))))""")
     # Equal lines go; other settled ones have a negative size, which no second line may have: both sides are the same rows, shuffled once.
     settled = copies.withColumn("sign", F.lit(0)).union(quick.withColumn("sign", F.lit(-1)))
     marked = known.join(settled.select(F.col("doc_id_y").alias("doc_id"), F.col("line_y").alias("line"), "sign"), ["doc_id", "line"], "left").withColumn("sign", F.coalesce("sign", F.lit(1))).where("sign <> 0")
