@@ -12,8 +12,8 @@ lines count as they stand in the input, removed or not, so that the result needs
   words together.  So lists stay short as the corpus grows.
 * Lines that share a key are paired under the length bound, the position bound of the first word in common, and
   the parity of their hashed words, of which similar lines differ in few bits.  Pairs are verified on the words.
-* Before that join each line meets two earlier lines for each of a few pairs of words: the first line with this pair
-  and the one just before.  Lines of equal sets and most of a group of near copies are settled there
+* Before that join each line meets a few earlier lines for each of a few pairs of words: the first line with this
+  pair and the ones just before.  Lines of equal sets and most of a group of near copies are settled there
   in one sort, and settled lines need no further partner.  Keys of frequent words are salted, so that no sort holds
   more than a bounded share of a group; what a salt parts is left to the join.
 * Lines are cut once, to a saved row each; all that follows reads those rows, and texts only of candidates.
@@ -38,10 +38,13 @@ from .common import discard, documents, saved
 from .rules import WS_CLASS
 
 COUNTERS = 1 << 18  # numbers in the plan, whatever the input
+MARKS = 1 << 16  # likewise; of 64 bits each
 FREQUENT = 4096  # occurrences from which on a word alone is no key
 GROUP = 4096  # occurrences of its rarest word for each salt of a key in the first round
-LONG = 64  # words from which on a line has twice the parity bits
-NEAR_KEYS = 4  # pairs of words of each line in the first round
+LONG = 32  # words from which on a line has twice the parity bits
+NEAR_KEYS = 4  # pairs of words of each line in the first round,
+NEAR_LINES = 3  # earlier lines just before, beside the first one, for each of them, and
+NEAR_TRIED = 2  # the nearest of all these, whose words are compared
 INK = r"[^ \t\n\x0B\f\r]"
 _ODD = r"[\t\x0B\f\r]"
 
@@ -51,23 +54,22 @@ def _words(text: Column) -> Column:
     return F.array_remove(F.when(text.rlike(_ODD), F.split(text, WS_CLASS)).otherwise(F.split(text, " ")), "")
 
 
-def _level(n) -> Column:
-    """The logarithm of a count, in fifths of a bit."""
-    return F.least(F.lit(127), F.floor(5 * F.log2(n + 1))).cast("int")
-
-
 def rarity(docs: DataFrame) -> Column:
     """A level for each hashed counter: the logarithm of its words' occurrences in all documents.
 
     Words are cut at single blanks and line ends here; other white space only blurs the order.
     """
-    spark = docs.sparkSession
     words = docs.select(F.explode(F.split(F.replace("text", F.lit("\n"), F.lit(" ")), " ")).alias("w"))
     counts = words.groupBy(F.xxhash64("w").bitwiseAND(F.lit(COUNTERS - 1)).cast("int").alias("slot")).agg(F.count(F.lit(1)).alias("n"))
-    every = counts.unionByName(spark.range(COUNTERS).select(F.col("id").cast("int").alias("slot"), F.lit(0).cast("long").alias("n"))).groupBy("slot").agg(F.sum("n").alias("n"))
-    ordered = F.sort_array(F.collect_list(F.struct("slot", _level(F.col("n")).alias("level"))))  # of fixed size
-    levels = every.agg(F.array_join(F.transform(ordered, lambda x: x["level"].cast("string")), ",").alias("levels")).first()["levels"]
-    return F.split(F.lit(levels), ",").cast("array<int>")  # folded to a constant
+    return _listed(counts, COUNTERS, F.least(F.lit(127), F.floor(5 * F.log2(F.col("n") + 1))))
+
+
+def _listed(found: DataFrame, n: int, value: Column) -> Column:
+    """An array of ``n`` whole numbers by ``slot``, 0 where ``found`` has none; a constant of the plan, of fixed size."""
+    slots = found.sparkSession.range(n).select(F.col("id").alias("slot"))
+    filled = slots.join(found.select(F.col("slot").cast("long").alias("slot"), value.cast("long").alias("v")), "slot", "left").select("slot", F.coalesce("v", F.lit(0)).alias("v"))
+    text = filled.agg(F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("slot", "v"))), lambda x: x["v"].cast("string")), ",").alias("t")).first()["t"]
+    return F.split(F.lit(text), ",").cast("array<long>")
 
 
 def signatures(docs: DataFrame, num: int, den: int) -> DataFrame:
@@ -93,7 +95,7 @@ def _apart() -> Column:
 
 
 def _met(known: DataFrame, num: int, den: int) -> DataFrame:
-    """(doc_id_y, line_y, copy, doc_id_x, line_x): lines with an equal one before them, and else the nearest that may be similar."""
+    """(doc_id_y, line_y, copy, doc_id_x, line_x): lines with an equal one before them, and else the nearest ones that may be similar."""
     # Words that stand next to each other in the prefix, from its end: the rarest words of a copy are often odd ones.
     word = lambda i: F.get("keys", F.size("keys") - i)
     two = [F.when(F.size("keys") > i, F.xxhash64(word(i), word(i + 1))) for i in range(1, NEAR_KEYS + 1)]
@@ -103,16 +105,15 @@ def _met(known: DataFrame, num: int, den: int) -> DataFrame:
     held = held.select("doc_id", "line", "n", "p", "q", (F.col("kind") == 0).alias("whole"), F.when(F.col("salt") > 0, F.xxhash64("key", "salt")).otherwise(F.col("key")).alias("key"))
     names = ("doc_id", "line", "n", "p", "q", "whole")
     own, by = F.struct(*names), Window.partitionBy("key").orderBy("doc_id", "line")
-    near = held.select("*", F.first(own).over(by).alias("a"), F.lag(own).over(by).alias("b")).where("b IS NOT NULL")
-    # The first and the one just before: as two rows only where they are two lines.
-    same = F.struct("a.doc_id", "a.line") == F.struct("b.doc_id", "b.line")
-    pairs = near.select(*(F.col(c).alias(f"{c}_y") for c in names), F.explode(F.when(same, F.array("b")).otherwise(F.array("a", "b"))).alias("x"))
+    near = held.select("*", F.first(own).over(by).alias("x0"), *(F.lag(own, i).over(by).alias(f"x{i}") for i in range(1, NEAR_LINES + 1))).where("x1 IS NOT NULL")
+    before = F.array_compact(F.array(*(f"x{i}" for i in range(NEAR_LINES + 1))))
+    pairs = near.select(*(F.col(c).alias(f"{c}_y") for c in names), F.explode(F.when(F.col("whole"), F.array("x1")).otherwise(before)).alias("x"))
     pairs = pairs.select("*", *(F.col(f"x.{c}").alias(f"{c}_x") for c in names)).where("doc_id_x < doc_id_y OR line_x < line_y")
     equal = F.expr("whole_x AND whole_y AND n_x = n_y AND p_x = p_y AND q_x = q_y")
     alike = (den * F.least("n_x", "n_y") >= num * F.greatest("n_x", "n_y")) & ((num + den) * _apart() <= (den - num) * (F.col("n_x") + F.col("n_y")))
     found = pairs.where(alike).select("doc_id_y", "line_y", equal.alias("copy"), F.struct(_apart().alias("apart"), "doc_id_x", "line_x").alias("h"))
-    best = found.groupBy("doc_id_y", "line_y").agg(F.max("copy").alias("copy"), F.min("h").alias("h"))
-    return best.select("doc_id_y", "line_y", "copy", "h.doc_id_x", "h.line_x")
+    best = found.groupBy("doc_id_y", "line_y").agg(F.max("copy").alias("copy"), F.slice(F.sort_array(F.collect_set("h")), 1, NEAR_TRIED).alias("h"))  # of a few lines for each key
+    return best.select("doc_id_y", "line_y", "copy", F.explode(F.when(F.col("copy"), F.slice("h", 1, 1)).otherwise(F.col("h"))).alias("h")).select("doc_id_y", "line_y", "copy", "h.doc_id_x", "h.line_x")
 
 
 def _pairs(known: DataFrame, copies: DataFrame, quick: DataFrame, num: int, den: int) -> DataFrame:
@@ -137,11 +138,13 @@ def _pairs(known: DataFrame, copies: DataFrame, quick: DataFrame, num: int, den:
 
 def _verified(docs: DataFrame, pairs: DataFrame, num: int, den: int) -> DataFrame:
     """(doc_id_y, line_y) of the pairs whose words, not their hashes, are similar; ``pairs`` is a saved table and goes."""
-    places = pairs.select(F.col("doc_id_x").alias("doc_id"), F.col("line_x").alias("line")).union(pairs.select("doc_id_y", "line_y"))
-    wanted = places.groupBy("doc_id").agg(F.collect_set("line").alias("wanted"))  # at most a document's lines
-    held = docs.where("text IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(wanted, "doc_id")
-    cut = held.select("doc_id", F.split("text", "\n").alias("_all"), "wanted").select("doc_id", F.inline(F.transform("wanted", lambda i: F.struct(i.alias("line"), F.get(F.col("_all"), i).alias("t")))))
-    texts = saved(cut, "line-texts")
+    places = pairs.select(F.col("doc_id_x").alias("doc_id"), F.col("line_x").alias("line")).union(pairs.select("doc_id_y", "line_y")).distinct()
+    slot = lambda: F.xxhash64("doc_id", "line").bitwiseAND(F.lit(64 * MARKS - 1))
+    marks = places.groupBy(F.shiftright(slot(), 6).alias("slot")).agg(F.bit_or(F.expr("shiftleft(1L, cast(xxhash64(doc_id, line) & 63 AS INT))")).alias("bits"))
+    listed = _listed(marks, MARKS, F.col("bits"))
+    marked = F.call_function("shiftrightunsigned", F.get(listed, F.shiftright(slot(), 6).cast("int")), slot().bitwiseAND(F.lit(63)).cast("int")).bitwiseAND(F.lit(1)) == 1
+    lines = docs.where("text IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), F.posexplode(F.split("text", "\n")).alias("line", "t"))
+    texts = saved(lines.where(marked).join(places, ["doc_id", "line"], "left_semi"), "line-texts")
     a, b = (texts.select(*(F.col(c).alias(f"{c}_{s}") for c in ("doc_id", "line", "t"))) for s in "xy")
     found = pairs.join(a, ["doc_id_x", "line_x"]).join(b, ["doc_id_y", "line_y"])
     both = found.select("doc_id_y", "line_y", F.array_distinct(_words(F.col("t_x"))).alias("p"), F.array_distinct(_words(F.col("t_y"))).alias("q"))
