@@ -6,12 +6,17 @@ symbol pairs wait in a heap ordered by piece score, then by place; the best live
 new neighbours enter.  Symbols that end up outside the vocabulary fall back to bytes.
 
 Fragments recur, so that each Python worker keeps their ids for one run of a query (``budget`` fragments
-at most, then it starts anew).  All fragments that are new in an Arrow batch are checked against the
-library in one call before the batch is handed on; a difference is settled for the library and counted
-in ``agenda_misses``.  Vocabularies for which the cuts aren't provably safe are refused.
+at most, then it starts anew).  All fragments that are new in an Arrow batch are encoded and decoded by the
+library as well, in one call each, before the batch is handed on; a difference in ids is settled for the
+library and counted in ``agenda_misses`` (of the worker so far, a report and no measure of the rows), one in
+the decoded text is an error.  Vocabularies for which the cuts aren't provably safe are refused.
 
-Defined cases: a null or empty text has the end id only and decodes to the empty text; repeated rows are
-encoded one by one; other columns are ignored, whatever their names; an empty table gives an empty result.
+Every document's ids are decoded, from the ids alone: pieces are put together, bytes become characters, and
+the blank that normalising put in front goes.
+
+Defined cases: a null or empty text has the end id only and decodes to the empty text; a very long text is
+handled like others, in memory that follows its length; repeated rows are encoded one by one; other columns are
+ignored, whatever their names; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -49,8 +54,11 @@ class Vocabulary:
                 raise ValueError("vocabularies with unused pieces need re-segmentation and aren't supported")
             elif not (lib.is_control(i) or lib.is_unknown(i)):
                 self.score[piece], self.ids[piece] = -lib.get_score(i), i
-        self.byte_of = {i: b for b, i in self.bytes.items()}
+        #: Text of each id as written in a list of ids; bytes above 127 as the surrogates that stand for single bytes.
+        self.surface = {str(i): s.replace(BLANK, " ") for i, s in enumerate(self.strings)}
+        self.surface.update((str(i), bytes([b]).decode("utf-8", "surrogateescape")) for b, i in self.bytes.items())
         self.end, self.unknown = lib.eos_id(), lib.unk_id()
+        self.surface[str(self.unknown)] = " \u2047 "  # as the library writes it
         pairs = {p[k : k + 2] for p in self.ids for k in range(len(p) - 1)}
         if len(self.bytes) != 256 or any(p[1] == BLANK != p[0] or "\n" in p for p in pairs):
             raise ValueError("cutting before blanks and at line ends isn't safe for this vocabulary")
@@ -94,21 +102,12 @@ class Vocabulary:
                     out.append(found)
         return out
 
-    def text_of(self, ids: list[int]) -> str:
-        """Decoding without the leading blank's removal: byte runs become characters, visible blanks blanks."""
-        parts, run = [], bytearray()
-        for i in ids:
-            b = self.byte_of.get(i)
-            if b is not None:
-                run.append(b)
-                continue
-            if run:
-                parts.append(run.decode("utf-8", "replace"))
-                run = bytearray()
-            parts.append(self.strings[i].replace(BLANK, " "))
-        if run:
-            parts.append(run.decode("utf-8", "replace"))
-        return "".join(parts)
+    def decode(self, ids: str) -> bytes:
+        """UTF-8 of decimal ids: control ids leave no text, bytes stand as they are, the leading blank goes."""
+        if not ids:
+            return b""
+        text = "".join(map(self.surface.__getitem__, ids.split(" "))).encode("utf-8", "surrogateescape")
+        return text[1:] if text[:1] == b" " else text
 
 
 @lru_cache(maxsize=2)
@@ -119,9 +118,9 @@ def vocabulary(path: str) -> Vocabulary:
 class _Fragments(dict):
     """Fragment to its ids as text, made on first use; ``fresh`` holds what awaits the library's check."""
 
-    def __init__(self, voc: Vocabulary, before: str, decoded: dict[str, str]):
+    def __init__(self, voc: Vocabulary, before: str):
         super().__init__()
-        self.voc, self.before, self.decoded, self.fresh = voc, before, decoded, []
+        self.voc, self.before, self.fresh = voc, before, []
 
     def __missing__(self, word: str) -> str:
         whole = self.before + word
@@ -131,9 +130,6 @@ class _Fragments(dict):
         else:
             ids = self.voc.merge(whole)
         found = self[word] = " ".join(map(str, ids))
-        back = self.voc.text_of(ids)
-        if back != whole.replace(BLANK, " "):
-            self.decoded[whole] = back
         self.fresh.append(word)
         return found
 
@@ -146,9 +142,8 @@ class Encoder:
         self._anew()
 
     def _anew(self) -> None:
-        self.decoded: dict[str, str] = {}
         #: After a blank; at a line's start; after several blanks.
-        self.led, self.bare, self.runs = (_Fragments(self.voc, b, self.decoded) for b in (BLANK, "", ""))
+        self.led, self.bare, self.runs = (_Fragments(self.voc, b) for b in (BLANK, "", ""))
 
     def _fragments(self, text: str) -> Iterator[tuple[_Fragments, list[str]]]:
         """Per line: a table and the fragments to look up in it."""
@@ -177,14 +172,6 @@ class Encoder:
         out.append(str(self.voc.end))
         return " ".join(out)
 
-    def decode(self, ids: str, text: str) -> str:
-        """The text of ``ids``; fragments that came back unchanged when they were first seen are not decoded again."""
-        if self.decoded:
-            parts = [w for table, words in (self._fragments(text) if text else ()) for w in (table.before + x for x in words)]
-            if any(w in self.decoded for w in parts):
-                return self.voc.text_of([int(x) for x in ids.split(" ")])[1:]
-        return text.replace(BLANK, " ")
-
     def check(self) -> bool:
         """Compares what is new with the library; True where nothing had to be put right."""
         good = True
@@ -199,8 +186,10 @@ class Encoder:
                 if table[word] != want:
                     table[word], good = want, False
                     self.misses += 1
-                    whole = table.before + word
-                    self.decoded[whole] = self.voc.text_of([int(x) for x in want.split(" ")])
+            known = [table[w] for w in fresh]
+            for ids, text in zip(known, self.voc.library.decode([[int(x) for x in k.split(" ")] for k in known], num_threads=1), strict=True):
+                if self.voc.decode(ids).decode("utf-8", "replace") != text:
+                    raise ValueError(f"ids {ids} decode to another text than the library's")
         return good
 
     def batch(self, texts: list[str]) -> list[str]:
@@ -232,7 +221,7 @@ def encode_texts(docs: DataFrame, path: str, keep: list[str], budget: int = 1_20
                 part = texts[at : at + 512]
                 ids = found.batch(part)
                 cols = [batch.column(c).slice(at, len(part)) for c in keep]
-                cols += [pa.array([x.count(" ") + 1 for x in ids], pa.int64()), pa.array(ids, pa.string()), pa.array(map(found.decode, ids, part), pa.string()), pa.array([found.misses] * len(part), pa.int64())]
+                cols += [pa.array([x.count(" ") + 1 for x in ids], pa.int64()), pa.array(ids, pa.string()), pa.array([found.voc.decode(x).decode("utf-8", "replace") for x in ids], pa.string()), pa.array([found.misses] * len(part), pa.int64())]
                 yield pa.RecordBatch.from_arrays(cols, [*keep, "n_tokens", "ids", "decoded", "agenda_misses"])
 
     schema = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep)
@@ -246,8 +235,8 @@ def decode_ids(encoded: DataFrame, path: str, ids: str = "ids") -> DataFrame:
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         voc = vocabulary(path)
         for batch, texts in text_lists(batches, ids):
-            back = [voc.text_of([int(x) for x in t.split(" ") if x]) for t in texts]
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array([b[1:] if b[:1] == " " else b for b in back], pa.string())], [*batch.schema.names, "decoded"])
+            back = [voc.decode(t).decode("utf-8", "replace") for t in texts]
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(back, pa.string())], [*batch.schema.names, "decoded"])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in encoded.schema)
     return encoded.mapInArrow(work, f"{schema}, decoded string")
@@ -258,7 +247,7 @@ def digest_texts(docs: DataFrame, path: str, budget: int = 1_200_000) -> DataFra
     import hashlib
 
     run = uuid.uuid4().hex
-    sha = lambda x: hashlib.sha256(x.encode()).hexdigest()
+    sha = lambda x: hashlib.sha256(x).hexdigest()
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         found = encoder(run, path, budget)
@@ -268,8 +257,8 @@ def digest_texts(docs: DataFrame, path: str, budget: int = 1_200_000) -> DataFra
                 part = texts[at : at + 512]
                 ids = found.batch(part)
                 cols[0] += [x.count(" ") + 1 for x in ids]
-                cols[1] += map(sha, ids)
-                cols[2] += [sha(found.decode(x, t)) for x, t in zip(ids, part, strict=True)]
+                cols[1] += [sha(x.encode()) for x in ids]
+                cols[2] += [sha(found.voc.decode(x)) for x in ids]  # of valid texts, so that the bytes are those of a text
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(cols[0], pa.int64()), pa.array(cols[1]), pa.array(cols[2]), pa.array([found.misses] * len(texts), pa.int64())], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "agenda_misses"])
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(work, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string, agenda_misses long")
