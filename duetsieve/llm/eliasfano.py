@@ -81,6 +81,21 @@ class Reader:
         upper = 8 * byte + int(ones[left]) - k
         return self.least + (upper << self.low) + int(self._low(np.array([k]))[0])
 
+    def some(self, a: int, b: int) -> np.ndarray:
+        """Values ``a`` to ``b - 1``, decoded from the nearest sample on; memory follows their number and span."""
+        if not 0 <= a < b <= self.count:
+            raise IndexError((a, b))
+        place = int(self.samples[a // SAMPLE])
+        byte, need, take = place >> 3, a % SAMPLE + b - a, (b - a) // 2 + 64
+        while True:
+            ones = np.flatnonzero(np.unpackbits(self.bitmap[byte : byte + take], bitorder="little"))
+            ones = ones[ones >= place - 8 * byte]
+            if len(ones) >= need:
+                break
+            take *= 2  # a wide gap: read on
+        k = np.arange(a, b)
+        return self.least + ((8 * byte + ones[a % SAMPLE : need] - k) << self.low) + self._low(k)
+
     def all(self) -> np.ndarray:
         upper = np.flatnonzero(np.unpackbits(self.bitmap, bitorder="little")).astype(np.int64) - np.arange(self.count)
         return self.least + (upper << self.low) + self._low(np.arange(self.count))

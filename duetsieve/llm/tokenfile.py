@@ -1,17 +1,22 @@
 """Token ids in files: shards of concatenated ids whose document boundaries are Elias-Fano coded.
 
 A shard holds a run of documents in ascending ``doc_id`` order (null ids first, then ties in order of
-text): a head, the document ids and the boundaries as Elias-Fano sequences, then all ids as 16- or 32-bit
-little-endian integers, whichever the vocabulary needs.  Shards follow one another in that order; a
+text): all ids as 16- or 32-bit little-endian integers, whichever the vocabulary needs, then the document ids
+and the boundaries as Elias-Fano sequences, and a tail of fixed size.  Shards follow one another in that order; a
 manifest with one line a shard (documents, ids) gives each shard's global start by a running sum.
 
-Writing range-partitions the texts by ``doc_id``, encodes each partition and moves its finished shard into
-place, so that a repeated task attempt writes the same file once more.  Encoding asks the tokenizers
-library for every fragment that a worker has not met in the present run; fragments are cut only where the
-vocabulary's word pattern cuts as well.  Strings of special tokens in a text count as ordinary text.
+Writing range-partitions the texts by ``doc_id``, streams each partition's ids to a file of its own and moves the
+finished shard into place, so that a repeated task attempt writes the same file once more.  Reading takes the
+boundaries of a run of documents by select and then their ids, a bounded block at a time.
 
-Defined cases: a null or empty text has the end id only; repeated rows are written one by one; other
-columns are ignored, whatever their names; an empty table writes no shard and reads back as no row.
+Encoding asks the tokenizers library for every fragment that a worker has not met in the present run, many
+words to a call, with line ends between them, which no word can reach across; fragments are cut only where the
+vocabulary's word pattern cuts as well.  A text that holds the string of an added token goes to the library as
+it is, which makes that token of it.
+
+Defined cases: a null or empty text has the end id only; a very long text is one document like others, held in
+memory by itself; repeated rows are written one by one; other columns are ignored, whatever their names; an empty
+table writes no shard and reads back as no row.
 """
 
 from __future__ import annotations
@@ -27,6 +32,7 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -34,7 +40,9 @@ from . import eliasfano
 from .common import documents, shared_dir, text_lists
 
 MAGIC = b"DSTOK1\0\0"
-_HEAD = struct.Struct("<8sQQQQBxxxxxxx")  # magic, documents, ids, bytes of doc ids, bytes of boundaries, id width
+_TAIL = struct.Struct("<8sQQQQBxxxxxxx")  # magic, documents, ids, bytes of doc ids, bytes of boundaries, id width
+_CALL = 256  # words in a call of the library
+_BLOCK = 4096  # documents read at once
 
 # Fixed value: the characters that count as white space in the vocabulary's word pattern.
 _WS = "\t\n\x0b\x0c\r \x85\xa0  -     　"
@@ -52,11 +60,16 @@ class WordEncoder:
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
-        self.library.encode_special_tokens = True
+        self.added = [x.content for x in self.library.get_added_tokens_decoder().values()]
+        if any(c.isspace() for x in self.added for c in x):
+            raise ValueError("added tokens with white space could reach across words")
         self.width = 2 if self.library.get_vocab_size() <= 1 << 16 else 4
         self.dtype = np.dtype(f"<u{self.width}")
         self.end, self.budget = self._raw([end]), budget
         self.line = self._ask(["\n"])[0]
+        self.line_id = int.from_bytes(self.line, "little")
+        if len(self.line) != self.width:
+            raise ValueError("a line end is more than one token of this vocabulary")
         self.ends = dict(zip(".,", self._ask([".", ","]), strict=True))
         #: Ids of words after a blank, and of fragments as they stand.
         self.led: dict[str, bytes] = {}
@@ -66,7 +79,17 @@ class WordEncoder:
         return np.array(ids, self.dtype).tobytes()
 
     def _ask(self, fragments: list[str]) -> list[bytes]:
-        return [self._raw(e.ids) for e in self.library.encode_batch(fragments, add_special_tokens=False)]
+        return [self._raw(e.ids) for e in self.library.encode_batch_fast(fragments, add_special_tokens=False)]
+
+    def _ask_words(self, words: list[str]) -> list[bytes]:
+        """Ids of words without white space but for a leading blank, many to a call."""
+        out = []
+        joined = ["\n".join(words[at : at + _CALL]) for at in range(0, len(words), _CALL)]
+        for raw in self._ask(joined):
+            cut = np.flatnonzero(np.frombuffer(raw, self.dtype) == self.line_id) * self.width
+            ends = [*cut.tolist(), len(raw)]
+            out += [raw[a:b] for a, b in zip([0, *(cut + self.width).tolist()], ends, strict=True)]
+        return out
 
     @staticmethod
     def plain(text: str) -> list[list[str]] | None:
@@ -79,7 +102,7 @@ class WordEncoder:
         """Asks for ``lead`` + word.  A full stop or comma after a letter is a fragment of its own, so that most ends cost no call."""
         stems = {w: w[:-1] for w in words if len(w) > 1 and w[-1] in ".," and w[-2].isalpha()}
         ask = sorted({x for x in (*(words - stems.keys()), *stems.values()) if x not in known})
-        known.update(zip(ask, self._ask([lead + w for w in ask]), strict=True))
+        known.update(zip(ask, self._ask_words([lead + w for w in ask]), strict=True))
         for w, stem in stems.items():
             known[w] = known[stem] + self.ends[w[-1]]
 
@@ -90,11 +113,15 @@ class WordEncoder:
         cut: list = []
         fresh_led: set[str] = set()
         fresh_bare: set[str] = set()
+        odd: set[str] = set()
         for t in texts:
+            if any(x in t for x in self.added):
+                cut.append((None, None))
+                continue
             lines = self.plain(t) if t else []
             if lines is None:
                 found = _FRAGMENT.findall(t)
-                fresh_bare.update(set(found).difference(bare))
+                odd.update(set(found).difference(bare))
                 cut.append((found, None))
                 continue
             for words in lines:
@@ -105,9 +132,14 @@ class WordEncoder:
             self.learn(led, " ", fresh_led)
         if fresh_bare:
             self.learn(bare, "", fresh_bare)
+        if odd:  # of these some are or hold white space
+            ask = sorted(odd.difference(bare))
+            bare.update(zip(ask, self._ask(ask), strict=True))
         out = []
-        for found, lines in cut:
-            if lines is None:
+        for text, (found, lines) in zip(texts, cut, strict=True):
+            if found is lines is None:
+                parts = self._ask([text])
+            elif lines is None:
                 parts = map(bare.__getitem__, found)
             else:
                 parts = []
@@ -137,26 +169,32 @@ def _store(uri: str):
     return fs.FileSystem.from_uri(uri if "://" in uri else f"file://{uri}" if uri.startswith("/") else uri.replace("file:/", "file:///", 1))
 
 
-def shard_head(ids: np.ndarray, bounds: np.ndarray, n_ids: int, width: int) -> bytes:
+def shard_tail(ids: np.ndarray, bounds: np.ndarray, n_ids: int, width: int) -> bytes:
     """``ids``: document ids in ascending order; ``bounds``: starts of the documents and the end."""
     a, b = eliasfano.encode(ids), eliasfano.encode(bounds)
-    return _HEAD.pack(MAGIC, len(ids), n_ids, len(a), len(b), width) + a + b
+    return a + b + _TAIL.pack(MAGIC, len(ids), n_ids, len(a), len(b), width)
 
 
 class Shard:
-    """A shard read back: ids of any document by select, without a table of offsets."""
+    """A shard read back: ids of any document by select, without a table of offsets.
 
-    def __init__(self, data: pa.Buffer | bytes):
-        magic, self.n_docs, self.n_ids, a, b, self.width = _HEAD.unpack_from(data)
+    ``data``: its bytes, or a file open for random access; only the coded boundaries are kept.
+    """
+
+    def __init__(self, data: pa.NativeFile | pa.Buffer | bytes):
+        self.file = data if isinstance(data, pa.NativeFile) else pa.BufferReader(data)
+        size = self.file.size()
+        magic, self.n_docs, self.n_ids, a, b, self.width = _TAIL.unpack(self.file.read_at(_TAIL.size, size - _TAIL.size))
         if magic != MAGIC:
             raise ValueError("not a shard of token ids")
-        view = memoryview(data)
-        self.doc_ids = eliasfano.Reader(view[_HEAD.size : _HEAD.size + a])
-        self.bounds = eliasfano.Reader(view[_HEAD.size + a : _HEAD.size + a + b])
-        self.ids = np.frombuffer(view, f"<u{self.width}", self.n_ids, _HEAD.size + a + b)
+        coded = memoryview(self.file.read_at(a + b, size - _TAIL.size - a - b))
+        self.doc_ids, self.bounds = eliasfano.Reader(coded[:a]), eliasfano.Reader(coded[a:])
+
+    def ids(self, a: int, b: int) -> np.ndarray:
+        return np.frombuffer(self.file.read_at((b - a) * self.width, a * self.width), f"<u{self.width}")
 
     def document(self, k: int) -> np.ndarray:
-        return self.ids[self.bounds.select(k) : self.bounds.select(k + 1)]
+        return self.ids(self.bounds.select(k), self.bounds.select(k + 1))
 
 
 def write_tokens(docs: DataFrame, path: str, end: int, out: str, shards: int | None = None, budget: int = 1_500_000) -> DataFrame:
@@ -170,27 +208,26 @@ def write_tokens(docs: DataFrame, path: str, end: int, out: str, shards: int | N
         from pyspark import TaskContext
 
         words = _encoder(run, path, end, budget)
-        doc_ids, lengths, body = [], [], []
+        part = TaskContext.get().partitionId()
+        doc_ids, lengths, file = [], [], None
         for batch, texts in text_lists(batches):
-            doc_ids += batch.column("doc_id").to_pylist()
+            if file is None:
+                fs, root = _store(out)
+                fs.create_dir(root, recursive=True)
+                tried = f"{root}/.{part:06d}-{uuid.uuid4().hex}"
+                file = fs.open_output_stream(tried)
+            doc_ids.append(batch.column("doc_id"))
             for at in range(0, len(texts), 512):
                 made = words.batch(texts[at : at + 512])
-                lengths += [len(x) // words.width for x in made]
-                body.append(b"".join(made))
-        if not doc_ids:
+                lengths.append(np.fromiter(map(len, made), np.int64, len(made)) // words.width)
+                file.write(b"".join(made))
+        if file is None:
             return
-        nulls = sum(x is None for x in doc_ids)
-        ids = np.array([x for x in doc_ids if x is not None], np.int64)
-        ids = np.concatenate([np.full(nulls, ids[0] if len(ids) else 0, np.int64), ids])
-        bounds = np.concatenate([[0], np.cumsum(lengths)]).astype(np.int64)
-        part = TaskContext.get().partitionId()
-        fs, root = _store(out)
-        fs.create_dir(root, recursive=True)
-        tried = f"{root}/.{part:06d}-{uuid.uuid4().hex}"
-        with fs.open_output_stream(tried) as f:
-            f.write(shard_head(ids, bounds, int(bounds[-1]), words.width))
-            for x in body:
-                f.write(x)
+        ids = pa.chunked_array(doc_ids)
+        nulls, least = ids.null_count, pc.min(ids).as_py() or 0  # nulls come first
+        bounds = np.concatenate([[0], *lengths]).cumsum()
+        file.write(shard_tail(ids.fill_null(least).to_numpy(), bounds, int(bounds[-1]), words.width))
+        file.close()
         fs.move(tried, f"{root}/{part:06d}.ids")
         yield pa.RecordBatch.from_arrays([pa.array([x], pa.int64()) for x in (part, nulls, len(ids), int(bounds[-1]))], ["shard", "n_null_ids", "n_docs", "n_ids"])
 
@@ -214,22 +251,23 @@ def read_tokens(manifest: DataFrame, out: str, with_ids: bool = False) -> DataFr
         for batch in batches:
             for shard, nulls, base in zip(*(batch.column(c).to_pylist() for c in ("shard", "n_null_ids", "start")), strict=True):
                 with fs.open_input_file(f"{root}/{shard:06d}.ids") as f:
-                    found = Shard(f.read_buffer())
-                ids, bounds = found.doc_ids.all(), found.bounds.all()
-                for at in range(0, found.n_docs, 4096):
-                    to = min(found.n_docs, at + 4096)
-                    each = [found.ids[a:b].astype("<u4") for a, b in zip(bounds[at:to], bounds[at + 1 : to + 1], strict=True)]
-                    cols = [
-                        pa.array(ids[at:to], pa.int64(), mask=np.arange(at, to) < nulls),
-                        pa.array(bounds[at:to] + base, pa.int64()),
-                        pa.array(np.diff(bounds[at : to + 1]), pa.int64()),
-                        pa.array([zlib.crc32(x.tobytes()) for x in each], pa.int64()),
-                    ]
-                    names = ["doc_id", "start", "n_tokens", "ids_crc32"]
-                    if with_ids:
-                        cols.append(pa.array([x.astype(np.int64) for x in each], pa.list_(pa.int64())))
-                        names.append("ids")
-                    yield pa.RecordBatch.from_arrays(cols, names)
+                    found, at = Shard(f), 0
+                    while at < found.n_docs:
+                        bounds = found.bounds.some(at, min(found.n_docs, at + _BLOCK) + 1)
+                        n = max(1, int(np.searchsorted(bounds - bounds[0], _BLOCK << 9, side="right")) - 1)  # of ids that fit in memory, or one longer document
+                        bounds = bounds[: n + 1]
+                        ids, body = found.doc_ids.some(at, at + n), found.ids(int(bounds[0]), int(bounds[-1])).astype("<u4")
+                        each = [body[a:b] for a, b in zip(bounds[:-1] - bounds[0], bounds[1:] - bounds[0], strict=True)]
+                        yield block(ids, np.arange(at, at + n) < nulls, bounds + base, each)
+                        at += n
+
+    def block(ids: np.ndarray, null: np.ndarray, bounds: np.ndarray, each: list[np.ndarray]) -> pa.RecordBatch:
+        cols = [pa.array(ids, pa.int64(), mask=null), pa.array(bounds[:-1], pa.int64()), pa.array(np.diff(bounds), pa.int64()), pa.array([zlib.crc32(x) for x in each], pa.int64())]
+        names = ["doc_id", "start", "n_tokens", "ids_crc32"]
+        if with_ids:
+            cols.append(pa.array([x.astype(np.int64) for x in each], pa.list_(pa.int64())))
+            names.append("ids")
+        return pa.RecordBatch.from_arrays(cols, names)
 
     schema = "doc_id long, start long, n_tokens long, ids_crc32 long" + ", ids array<long>" * with_ids
     spread = manifest.select("shard", "n_null_ids", "start").repartition(max(1, manifest.count()), "shard")

@@ -145,6 +145,7 @@ def test_elias_fano(seed):
     for n in (0, 1, 2, 255, 256, 257, 1000):
         v = np.sort(rng.integers(-(2 ** (10 * seed + 2)), 2 ** (10 * seed + 2), n))
         r = eliasfano.Reader(eliasfano.encode(v))
+        assert all((r.some(a, b) == v[a:b]).all() for a in range(0, n, 111) for b in {a + 1, min(n, a + 300), n})
         assert (r.all() == v).all() and [r.select(k) for k in range(0, n, 37)] == v[::37].tolist()
     with pytest.raises(IndexError):
         eliasfano.Reader(eliasfano.encode(np.array([1]))).select(1)
@@ -154,7 +155,6 @@ def test_token_files_round_trip(spark, odd, none, tmp_path):
     from tokenizers import Tokenizer
 
     lib = Tokenizer.from_file(tokenfile.byte_model())
-    lib.encode_special_tokens = True
     out = "file://" + str(tmp_path / "t")
     got = tokenfile.read_tokens(tokenfile.write_tokens(odd, tokenfile.byte_model(), 2, out, shards=3), out, with_ids=True).collect()
     start, want = 0, []
@@ -169,6 +169,19 @@ def test_token_files_round_trip(spark, odd, none, tmp_path):
     assert shard.document(0)[-1] == 2
 
 
+def test_token_files_keep_added_tokens(spark, tmp_path):
+    """As the plain library call has them, also beside words that are known already."""
+    from tokenizers import Tokenizer
+
+    lib = Tokenizer.from_file(tokenfile.byte_model())
+    texts = ["hi there", "hi <|endoftext|> there", "<|endoftext|>", "a<|endoftext|>b\n\n c", "<|endoftext", "hi  there\tx"]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    out = "file://" + str(tmp_path / "t")
+    got = tokenfile.read_tokens(tokenfile.write_tokens(df, tokenfile.byte_model(), 2, out, shards=1), out, with_ids=True).orderBy("doc_id").collect()
+    assert [r["ids"] for r in got] == [[*lib.encode(t, add_special_tokens=False).ids, 2] for t in texts]
+    assert 50256 in got[1]["ids"]
+
+
 # ---- 5
 
 
