@@ -202,6 +202,21 @@ def test_neighbours_recall(spark):
     assert np.mean(hits) > 0.95
 
 
+def test_neighbours_recall_as_registered(spark):
+    """Two shards of production settings over 20,000 vectors without structure: recall, and how little is measured."""
+    rng = np.random.default_rng(6)
+    x = rng.normal(size=(20_000, 32)).astype(np.float32)
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>")
+    rows = ann.nearest(df).collect()
+    got = defaultdict(list)
+    for r in rows:
+        got[r["query_id"]].append(r["vec_id"])
+    d = np.stack([((x - x[q]) ** 2).sum(1) for q in range(0, len(x), 100)])
+    near = np.argsort(d, axis=1)[:, 1:11]
+    assert np.mean([len(set(got[100 * k]) & set(n.tolist())) / 10 for k, n in enumerate(near)]) >= 0.9
+    assert max(r["measured"] for r in rows) < 3_000
+
+
 def test_neighbours_bear_anything(spark):
     rng = np.random.default_rng(2)
     rows = [(i, rng.normal(size=4).tolist()) for i in range(1, 30)] + [(100 * k, [1.0, 0.0, 0.0, 0.0]) for k in range(40)] + [(100, [1.0, 0.0, 0.0, 0.0])]
