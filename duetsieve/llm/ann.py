@@ -103,33 +103,55 @@ def robust_prune(x: np.ndarray, nodes: np.ndarray, cand: np.ndarray, degree: int
     return out
 
 
+def _link(x: np.ndarray, edges: np.ndarray, ends: np.ndarray, begins: np.ndarray, how: Graph) -> None:
+    """Adds edges from ``ends`` back to ``begins``: to free places of the rows, and where they don't suffice by pruning."""
+    n, wide = len(x), edges.shape[1]
+    fresh = ~(edges[ends] == begins[:, None]).any(1)
+    ends, begins = ends[fresh], begins[fresh]
+    by = np.argsort(ends, kind="stable")
+    ends, begins = ends[by], begins[by]
+    target, first, count = np.unique(ends, return_index=True, return_counts=True)
+    held = (edges[target] < n).sum(1)
+    fits = held + count <= wide
+    each = np.repeat(fits, count)
+    place = np.repeat(held, count) + np.arange(len(ends)) - np.repeat(first, count)
+    edges[ends[each], place[each]] = begins[each]
+    target, first, count = target[~fits], first[~fits], count[~fits]
+    for a in range(0, len(target), how.batch):  # a target's new edges in slices of its row's width
+        t, f, c = target[a : a + how.batch], first[a : a + how.batch], count[a : a + how.batch]
+        for slice_ in range(0, int(c.max()), wide):
+            k = slice_ + np.arange(min(wide, int(c.max())))
+            more = np.where(k < c[:, None], begins[np.minimum(f[:, None] + k, len(begins) - 1)], n)
+            edges[t, : how.degree] = robust_prune(x, t, np.concatenate([edges[t], more], 1), how.degree, how.alpha)
+            edges[t, how.degree :] = n
+
+
 def build(x: np.ndarray, how: Graph, seed: int = 1) -> tuple[np.ndarray, int]:
-    """Edges (n, degree), padded by n, and the node where searches start."""
+    """Edges (n, degree), padded by n, and the node where searches start.
+
+    While it is built a row may hold a third more edges, so that few of the edges that lead back ask for pruning.
+    """
     n, r = len(x), how.degree
     rng = np.random.default_rng(seed)
-    edges = np.full((n, r), n)
-    if n > 1:
-        edges[:, : min(r, n - 1)] = (np.arange(n)[:, None] + 1 + rng.integers(0, n - 1, (n, min(r, n - 1)))) % n
+    edges = np.full((n, r + r // 3), n)
+    few = min(r // 2, n - 1)
+    if few > 0:  # distinct ones: a step of random width, repeated
+        edges[:, :few] = (np.arange(n)[:, None] + rng.integers(1, max(2, n // max(few, 1)), (n, 1)) * np.arange(1, few + 1)) % n
     start = int(np.argmin(((x - x.mean(0)) ** 2).sum(1)))
     for alpha in (1.0, how.alpha):
         order = rng.permutation(n)
         for at in range(0, n, how.batch):
             nodes = order[at : at + how.batch]
             found, _ = beam_search(x, edges, start, x[nodes], how.beam)
-            edges[nodes] = robust_prune(x, nodes, np.concatenate([np.where(found < 0, n, found), edges[nodes]], 1), r, alpha)
-            ends = edges[nodes].ravel()
-            begins = np.repeat(nodes, r)[ends < n]
-            ends = ends[ends < n]
-            by = np.argsort(ends, kind="stable")
-            ends, begins = ends[by], begins[by]
-            target, first, count = np.unique(ends, return_index=True, return_counts=True)
-            for a in range(0, len(target), how.batch):  # a target's new edges in slices of its row's width
-                t, f, c = target[a : a + how.batch], first[a : a + how.batch], count[a : a + how.batch]
-                for slice_ in range(0, int(c.max()), r):
-                    k = slice_ + np.arange(r)
-                    more = np.where(k < c[:, None], begins[np.minimum(f[:, None] + k, len(begins) - 1)], n)
-                    edges[t] = robust_prune(x, t, np.concatenate([edges[t], more], 1), r, alpha)
-    return edges, start
+            kept = robust_prune(x, nodes, np.concatenate([np.where(found < 0, n, found), edges[nodes]], 1), r, alpha)
+            edges[nodes, :r], edges[nodes, r:] = kept, n
+            real = kept < n
+            _link(x, edges, kept[real], np.repeat(nodes, r)[real.ravel()], how)
+    for at in range(0, n, how.batch):
+        over = at + np.flatnonzero((edges[at : at + how.batch, r:] < n).any(1))
+        if len(over):
+            edges[over, :r] = robust_prune(x, over, edges[over], r, how.alpha)
+    return edges[:, :r], start
 
 
 def usable(vectors: DataFrame) -> DataFrame:
@@ -154,7 +176,7 @@ def index(vectors: DataFrame, how: Graph, top: int) -> tuple[DataFrame, int]:
         edges, start = build(x.astype(np.float32), how)
         return pa.table({"dim": pa.array([dim], pa.int32()), "shard": pa.array([key[1].as_py()], pa.int32()), "graph": pa.array([pickle.dumps((x, ids, edges.astype(np.int32), start))], pa.binary())})
 
-    dealt = nodes.withColumn("shard", F.pmod(F.xxhash64("embedding"), F.lit(shards)).cast("int")).repartition(shards, "dim", "shard")
+    dealt = nodes.withColumn("shard", F.pmod(F.xxhash64("embedding"), F.lit(shards)).cast("int")).repartition(4 * shards, "dim", "shard")  # so that few tasks build two
     return saved(dealt.groupBy("dim", "shard").applyInArrow(work, "dim int, shard int, graph binary"), "graphs"), shards
 
 
