@@ -48,7 +48,9 @@ _BLOCK = 4096  # documents read at once
 _WS = "\t\n\x0b\x0c\r \x85\xa0  -     　"
 _FRAGMENT = re.compile(f" ?[^{_WS}]+|[{_WS}]+(?![^{_WS}])|[{_WS}]+")
 #: Where a text has these, the pattern cuts it; elsewhere single blanks and line ends do.
-_ODD = re.compile(f"[ \n][ \n]|[{_WS.replace(' ', '').replace(chr(10), '')}]")
+_PAIRS = ("  ", " \n", "\n ", "\n\n")
+_ODD_ASCII = [c for c in _WS if c.isascii() and c not in " \n"]
+_ODD = re.compile(f"[{_WS.replace(' ', '').replace(chr(10), '')}]")
 
 
 class WordEncoder:
@@ -71,8 +73,8 @@ class WordEncoder:
         if len(self.line) != self.width:
             raise ValueError("a line end is more than one token of this vocabulary")
         self.ends = dict(zip(".,", self._ask([".", ","]), strict=True))
-        #: Ids of words after a blank, and of fragments as they stand.
-        self.led: dict[str, bytes] = {}
+        #: Ids of words after a blank, or with the line end that stands before them; and of other fragments.
+        self.words: dict[str, bytes] = {}
         self.bare: dict[str, bytes] = {}
 
     def _raw(self, ids: list[int]) -> bytes:
@@ -92,62 +94,51 @@ class WordEncoder:
         return out
 
     @staticmethod
-    def plain(text: str) -> list[list[str]] | None:
-        """Per line the words between single blanks, or None where the pattern has to cut the text."""
-        if _ODD.search(text) or text[:1] in (" ", "\n") or text[-1:] in (" ", "\n"):
+    def plain(text: str) -> list[str] | None:
+        """Words of a text, each line's first one with a line end before it; None where the pattern has to cut the text."""
+        if text[:1] in (" ", "\n") or text[-1:] in (" ", "\n") or any(x in text for x in _PAIRS):
             return None
-        return [line.split(" ") for line in text.split("\n")]
-
-    def learn(self, known: dict[str, bytes], lead: str, words: set[str]) -> None:
-        """Asks for ``lead`` + word.  A full stop or comma after a letter is a fragment of its own, so that most ends cost no call."""
-        stems = {w: w[:-1] for w in words if len(w) > 1 and w[-1] in ".," and w[-2].isalpha()}
-        ask = sorted({x for x in (*(words - stems.keys()), *stems.values()) if x not in known})
-        known.update(zip(ask, self._ask_words([lead + w for w in ask]), strict=True))
+        if any(c in text for c in _ODD_ASCII) if text.isascii() else _ODD.search(text):
+            return None
+        return f"\n{text}".replace("\n", " \n").split(" ")[1:]
+
+    def learn(self, fresh: set[str]) -> None:
+        """Asks for words.  A full stop or comma after a letter is a fragment of its own, so that most ends cost no call."""
+        stems = {w: w[:-1] for w in fresh if len(w) > 2 and w[-1] in ".," and w[-2].isalpha()}
+        ask = sorted({x for x in (*(fresh - stems.keys()), *stems.values()) if x not in self.words})
+        first = [w for w in ask if w[0] == "\n"]  # sorted: these come before all others
+        self.words.update(zip(first, (self.line + ids for ids in self._ask_words([w[1:] for w in first])), strict=True))
+        self.words.update(zip(ask[len(first) :], self._ask_words([" " + w for w in ask[len(first) :]]), strict=True))
         for w, stem in stems.items():
-            known[w] = known[stem] + self.ends[w[-1]]
+            self.words[w] = self.words[stem] + self.ends[w[-1]]
 
     def batch(self, texts: list[str]) -> list[bytes]:
-        if len(self.led) + len(self.bare) > self.budget:
-            self.led, self.bare = {}, {}
-        led, bare, line_end = self.led, self.bare, self.line
-        cut: list = []
-        fresh_led: set[str] = set()
-        fresh_bare: set[str] = set()
+        if len(self.words) + len(self.bare) > self.budget:
+            self.words, self.bare = {}, {}
+        out: list = []
+        fresh: set[str] = set()
+        open_: list[tuple[int, list, list[str], dict]] = []
         odd: set[str] = set()
         for t in texts:
             if any(x in t for x in self.added):
-                cut.append((None, None))
+                out.append(self._ask([t])[0] + self.end)
                 continue
-            lines = self.plain(t) if t else []
-            if lines is None:
-                found = _FRAGMENT.findall(t)
-                odd.update(set(found).difference(bare))
-                cut.append((found, None))
-                continue
-            for words in lines:
-                fresh_led.update(set(words[1:]).difference(led))
-            fresh_bare.update({words[0] for words in lines}.difference(bare))
-            cut.append((None, lines))
-        if fresh_led:
-            self.learn(led, " ", fresh_led)
-        if fresh_bare:
-            self.learn(bare, "", fresh_bare)
-        if odd:  # of these some are or hold white space
-            ask = sorted(odd.difference(bare))
-            bare.update(zip(ask, self._ask(ask), strict=True))
-        out = []
-        for text, (found, lines) in zip(texts, cut, strict=True):
-            if found is lines is None:
-                parts = self._ask([text])
-            elif lines is None:
-                parts = map(bare.__getitem__, found)
+            words = self.plain(t) if t else []
+            table, skip = self.words, self.width  # the line end that was put before the text
+            if words is None:
+                words, table, skip = _FRAGMENT.findall(t), self.bare, 0
+            parts = list(map(table.get, words))
+            if None in parts:
+                (fresh if skip else odd).update([w for w, p in zip(words, parts, strict=True) if p is None])
+                open_.append((len(out), parts, words, table))
+                out.append(skip)
             else:
-                parts = []
-                for words in lines:
-                    parts.append(line_end if parts else b"")
-                    parts.append(bare[words[0]])
-                    parts += map(led.__getitem__, words[1:])
-            out.append(b"".join(parts) + self.end)
+                out.append(b"".join(parts)[skip:] + self.end)
+        self.learn(fresh)
+        ask = sorted(odd)
+        self.bare.update(zip(ask, self._ask(ask), strict=True))
+        for k, parts, words, table in open_:
+            out[k] = b"".join([p or table[w] for p, w in zip(parts, words, strict=True)])[out[k] :] + self.end
         return out
 
 
