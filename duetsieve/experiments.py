@@ -7,6 +7,7 @@ and dialogue pairs carry text and serve the language models and trained policies
 from __future__ import annotations
 
 from collections.abc import Callable
+from dataclasses import replace
 from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
@@ -16,7 +17,7 @@ from .functions import signals as S
 from .functions.columns import MICRO, held_out
 from .functions.sql import register_sql
 from .operators import analysis, baselines, difficulty, evaluate, hygiene, lm, polarity, policy
-from .plans.selection import preset, select_pairs
+from .plans.selection import PRESETS, preset, select_pairs
 from .plans.stages import materialised
 from .published import CLAIMS, TABLE
 from .sources import pairs as P
@@ -285,10 +286,12 @@ _BASELINES: dict[str, tuple[Callable, str]] = {
     "map": (baselines.by_alignment_potential, f"{_WHOLE(f'abs(ext_w - ext_l) - abs({_IM("pos")})')} DESC"),
     "map_signed": (lambda df, n: baselines.by_alignment_potential(df, n, "abs_signed"), f"{_WHOLE(f'abs(ext_w - ext_l) - {_IM("pos")}')} DESC"),
     "im_em": (baselines.by_combined_margin, "round(z, 6) DESC"),
+    "im_em_ranks": (lambda df, n: baselines.by_combined_margin(df, n, "ranksum"), f"row_number() OVER (ORDER BY {_WHOLE(_IM('pos'))}, pair_id) + row_number() OVER (ORDER BY {_WHOLE('ext_w - ext_l')}, pair_id) DESC"),
     "im_em_prob": (lambda df, n: baselines.by_combined_margin(df, n, "prob"), f"round({_IM('pos')} + (ext_w - ext_l), 6) DESC"),
     "longest_rejected": (lambda df, n: baselines.by_rejected_length(df, n, 0.0), "len_l DESC"),
     "random": (baselines.by_random, _h("order:1:")),
 }
+_VARIANTS = ("map_signed", "im_em_prob", "im_em_ranks")
 _Z = f"(SELECT *, ({_IM('pos')} - avg({_IM('pos')}) OVER ()) / stddev_pop({_IM('pos')}) OVER () + ((ext_w - ext_l) - avg(ext_w - ext_l) OVER ()) / stddev_pop(ext_w - ext_l) OVER () AS z FROM signals)"
 
 
@@ -304,7 +307,7 @@ _query("q_base_full", f"{_BASE} SELECT pair_id FROM signals")(lambda spark, d: b
 _query("q_base_init", f"{_BASE} SELECT pair_id FROM signals WHERE false")(lambda spark, d: baselines.baseline_init(P.basket_signals(spark, d)).select("pair_id"))
 
 _LOSSES = " UNION ALL ".join(
-    f"SELECT pair_id, {k} AS model, {_h('half:ensemble:')} % 2 = {k // 3 % 2} AS seen, {_WHOLE(_SOFT(f'-0.1 * ({_IM("pos")} - {_IM("inv")} * {k % 3} / 4)'))} AS loss FROM signals" for k in range(6)
+    f"SELECT pair_id, {k} AS model, {_h('half:ensemble:')} % 2 = {k // 3 % 2} AS seen, {_WHOLE(_SOFT(f'-0.1 * ({_IM("pos")} - {_IM("inv")} * {baselines.formula_blend(k)})'))} AS loss FROM signals" for k in range(6)
 )
 
 
@@ -513,17 +516,69 @@ def _own_tau(signals: DataFrame) -> float:
     return max(cut, 1) / MICRO
 
 
+def _trained(spark, sf_dir, choose: Callable, cfg=policy.PolicyConfig(rounds=6), run=None) -> DataFrame:
+    """setting, pairs trained on, and on held-out pairs accuracy, win rate and mean length, for each selection that ``choose`` makes."""
+    _, signals, _, feats, ref = run or _graded_run(spark, sf_dir)
+    train = materialised(signals.where(~held_out(F.col("pair_id"))), "train")
+    kept = {name: materialised(df.select("pair_id", "flipped"), "kept") for name, df in choose(train).items()}
+    found = policy.train_many(feats, ref, kept, replace(cfg, split="shared"))
+    test = signals.where(held_out(F.col("pair_id"))).select("pair_id", "ext_w", "ext_l", "len_w", "len_l")
+    j = evaluate.judged(policy.preferences(feats.where(held_out(F.col("pair_id"))), found), test)
+    sizes = reduce(DataFrame.unionByName, (df.agg(F.lit(name).alias("method"), F.count(F.lit(1)).alias("n_pairs")) for name, df in kept.items()))
+    measured = j.groupBy("method").agg(F.count(F.lit(1)).alias("n_held_out"), F.round(F.avg(F.col("pick").cast("double")), 6).alias("accuracy"), F.round(100 * F.avg("p_win"), 4).alias("wr"), F.round(F.avg("len_model"), 4).alias("length"))
+    return sizes.join(measured, "method").withColumnRenamed("method", "setting")
+
+
+def _plain(df: DataFrame) -> DataFrame:
+    return df.withColumn("flipped", F.lit(False))
+
+
+@_query("q_trained_tau")
+def q_trained_tau(spark, sf_dir):
+    """Thresholds from a tenth to twice the one that keeps half of the pairs, the second stage unchanged."""
+    return _trained(spark, sf_dir, lambda s: (lambda tau: {f"{x:.2f}": preset(s, "full", tau * x) for x in (0.1, 0.25, 0.5, 0.75, 1, 1.5, 2)})(_own_tau(s)))
+
+
+@_query("q_trained_k")
+def q_trained_k(spark, sf_dir):
+    return _trained(spark, sf_dir, lambda s: {str(k): preset(s, "full", _own_tau(s), k) for k in SHARES})
+
+
+@_query("q_trained_first_stage")
+def q_trained_first_stage(spark, sf_dir):
+    """Other signals in the first stage, of as many pairs each, the second stage unchanged."""
+    return _trained(spark, sf_dir, lambda s: {by: difficulty.select_hard(polarity.first_stage(s, by, _half(s)), percent=50) for by in _FIRST})
+
+
+@_query("q_trained_calibration")
+def q_trained_calibration(spark, sf_dir):
+    """Hard, random or easy ones of the clear pairs."""
+    return _trained(spark, sf_dir, lambda s: (lambda c: {how: difficulty.calibrate(c, how, _half(c)) for how in _SEED})(materialised(polarity.orient_pairs(s, _own_tau(s)), "clear")))
+
+
+@_query("q_trained_ladder")
+def q_trained_ladder(spark, sf_dir):
+    """The steps of the method, one after the other."""
+    return _trained(spark, sf_dir, lambda s: {name: preset(s, name, _own_tau(s)) for name in PRESETS})
+
+
+@_query("q_trained_half")
+def q_trained_half(spark, sf_dir):
+    """Signals by policies that saw all pairs, or a random half; the selection is made of all pairs in both."""
+    rows = []
+    for name, sample in (("two_stage", "full"), ("two_stage_half", "half")):
+        run = _graded_run(spark, sf_dir, policy.PolicyConfig(sample=sample))
+        rows.append(_trained(spark, sf_dir, lambda s, name=name: {name: preset(s, "full", _own_tau(s))}, run=run))
+    return reduce(DataFrame.unionByName, rows)
+
+
 @_query("q_training_dynamics")
 def q_training_dynamics(spark, sf_dir):
-    """Loss and rewards by round for the pairs of each preset."""
-    pairs, signals, _, feats, ref = _graded_run(spark, sf_dir)
-    tau, rows = _own_tau(signals), []
-    for name in ("none", "r_ad_only", "ang_only", "full"):
-        kept = preset(signals, name, tau).select("pair_id", "flipped")
-        turn = lambda x: F.when(F.col("flipped"), F.struct(x["feat"].alias("feat"), x["l"].alias("w"), x["w"].alias("l"))).otherwise(F.struct(x["feat"].alias("feat"), x["w"].alias("w"), x["l"].alias("l")))
-        mine = feats.join(kept, "pair_id").withColumns({"feats": F.transform("feats", turn), **{a: F.when(F.col("flipped"), F.col(b)).otherwise(F.col(a)) for a, b in (("n_w", "n_l"), ("n_l", "n_w"), ("ref_w", "ref_l"), ("ref_l", "ref_w"))}})
-        found = policy.train_policies(mine, ref, policy.PolicyConfig(split="shared"))
-        rows += [(name, h["policy"], h["step"], round(h["loss"], 6), round(h["reward_w"], 6), round(h["reward_l"], 6)) for h in found.history]
+    """Loss and rewards by round for the pairs of each preset, all trained in the same passes."""
+    _, signals, _, feats, ref = _graded_run(spark, sf_dir)
+    tau = _own_tau(signals)
+    found = policy.train_many(feats, ref, {name: preset(signals, name, tau) for name in ("none", "r_ad_only", "ang_only", "full")}, policy.PolicyConfig(split="shared"))
+    rows = [(name, h["policy"], h["step"], round(h["loss"], 6), round(h["reward_w"], 6), round(h["reward_l"], 6)) for name, x in found.items() for h in x.history]
     return spark.createDataFrame(rows, "preset string, policy string, step int, loss double, reward_w double, reward_l double")
 
 
@@ -547,7 +602,28 @@ def q_policy_signals(spark, sf_dir):
     return _graded_run(spark, sf_dir)[1]
 
 
-@_query("q_one_step_policy")
+_V = policy.PolicyConfig().vocabulary
+_STEP = 0.01 * policy.PolicyConfig().rate * policy.PolicyConfig().beta / 2
+_SHIFT = lambda m, s: f"ref_{s} + CAST(floor((sum_{m}_{s} - n_{s} * z_{m}) * 1000000 + 0.5) AS BIGINT)"
+
+
+@_query(
+    "q_one_step_policy",
+    f"""WITH {_ONES}, {_GRADED}, whole AS (SELECT sum(n) + {lm.ALPHA} * (count(*) + 1) AS z FROM ones),
+named AS (SELECT tok, n, row_number() OVER (ORDER BY n DESC, tok) AS k FROM ones),
+known AS MATERIALIZED (SELECT tok, CASE WHEN k < {_V} THEN k ELSE 0 END AS feat, (n + {lm.ALPHA}) / z AS q, CAST(floor(ln((n + {lm.ALPHA}) / z) * 1000000 + 0.5) AS BIGINT) AS lp FROM named, whole),
+mass AS (SELECT feat, q FROM known WHERE feat > 0 UNION ALL SELECT 0, 1 - sum(q) FROM known WHERE feat > 0),
+uses AS (SELECT pair_id, side, unnest(w) AS tok FROM (SELECT pair_id, 1 AS side, {_WORDS.format('chosen')} AS w FROM graded UNION ALL SELECT pair_id, 0, {_WORDS.format('rejected')} FROM graded)),
+feats AS MATERIALIZED (SELECT pair_id, feat, sum(side) AS w, sum(1 - side) AS l, sum(lp * side) AS ref_w, sum(lp * (1 - side)) AS ref_l FROM uses JOIN known USING (tok) GROUP BY pair_id, feat),
+train AS (SELECT * FROM feats WHERE {_h('split:')} % 10 < 8),
+size AS (SELECT count(DISTINCT pair_id) AS n, CAST(sum(w - l) AS DOUBLE) AS d FROM train),
+theta AS MATERIALIZED (SELECT m.feat, m.q, round({_STEP!r} * (coalesce(s.d, 0) - size.d * m.q) / size.n, 9) AS t FROM mass m LEFT JOIN (SELECT feat, CAST(sum(w - l) AS DOUBLE) AS d FROM train GROUP BY feat) s USING (feat), size),
+norm AS (SELECT ln(sum(q * exp(t))) AS z_pos, ln(sum(q * exp(-t))) AS z_inv FROM theta),
+each AS (SELECT pair_id, CAST(sum(ref_w) AS BIGINT) AS ref_w, CAST(sum(ref_l) AS BIGINT) AS ref_l, CAST(sum(w) AS INT) AS n_w, CAST(sum(l) AS INT) AS n_l,
+  sum(w * t) AS sum_pos_w, sum(l * t) AS sum_pos_l, sum(-w * t) AS sum_inv_w, sum(-l * t) AS sum_inv_l FROM feats JOIN theta USING (feat) GROUP BY pair_id),
+scored AS (SELECT pair_id, ref_w, ref_l, n_w, n_l, {', '.join(f'{_SHIFT(m, s)} AS {m}_{s}' for m in ('pos', 'inv') for s in 'wl')} FROM each, norm)
+SELECT *, (pos_w - pos_l) - (inv_w - inv_l) AS gap FROM scored""",
+)
 def q_one_step_policy(spark, sf_dir):
     cfg = policy.PolicyConfig()
     pairs = P.graded_pairs(spark, sf_dir)
@@ -558,31 +634,28 @@ def q_one_step_policy(spark, sf_dir):
 
 @_query("q_curriculum_effect")
 def q_curriculum_effect(spark, sf_dir):
-    """Held-out accuracy after training in each order, a batch a round."""
+    """Held-out accuracy and win rate after training in each order, twice through all batches of the selected pairs, turned as selected."""
     _, signals, _, feats, ref = _graded_run(spark, sf_dir)
     clear = materialised(preset(signals.where(~held_out(F.col("pair_id"))), "full", _own_tau(signals)), "clear")
-    rows = []
+    batch = max(2, -(-clear.count() // 10))
+    found = {}
     for how in ("random", "hard_first", "easy_first"):
-        placed = difficulty.curriculum_order(clear, how).select("pair_id", "position")
-        found = policy.train_policies(feats.join(placed, "pair_id"), ref, policy.PolicyConfig(split="shared", rounds=6), order="position", batch=256)
-        test = policy.with_policy_scores(feats.where(held_out(F.col("pair_id"))), found)
-        acc, n = evaluate.preference_accuracy(test).first()
-        rows.append((how, float(acc or 0), int(n)))
-    return spark.createDataFrame(rows, "how string, accuracy double, n_pairs long")
+        placed = policy.turned(feats, difficulty.curriculum_order(clear, how).select("pair_id", "flipped", "position"))
+        found[how] = policy.train_policies(placed, ref, policy.PolicyConfig(split="shared", mask=1.0, rounds=20), order="position", batch=batch)
+    test = signals.where(held_out(F.col("pair_id"))).select("pair_id", "ext_w", "ext_l", "len_w", "len_l")
+    j = evaluate.judged(policy.preferences(feats.where(held_out(F.col("pair_id"))), found), test)
+    last = spark.createDataFrame([(how, x.history[-2]["loss"], sum(h["policy"] == "pos" for h in x.history)) for how, x in found.items()], "method string, last_loss double, n_batches int")
+    got = j.groupBy("method").agg(F.avg(F.col("pick").cast("double")).alias("accuracy"), (100 * F.avg("p_win")).alias("wr"), F.count(F.lit(1)).alias("n_pairs"))
+    return got.join(F.broadcast(last), "method").withColumnRenamed("method", "how")
 
 
 @_query("q_weighted_loss")
 def q_weighted_loss(spark, sf_dir):
-    """The likelihood-weighted loss on all pairs and on the selected ones."""
-    _, signals, _, feats, ref = _graded_run(spark, sf_dir)
-    kept = preset(signals, "r_ad_no_reversal", _own_tau(signals)).select("pair_id")
-    rows = []
-    for name, part in (("all", feats), ("selected", feats.join(kept, "pair_id", "left_semi"))):
-        for weights in ("none", "likelihood"):
-            found = policy.train_policies(part, ref, policy.PolicyConfig(split="shared", weights=weights, rounds=6))
-            acc, n = evaluate.preference_accuracy(policy.with_policy_scores(feats.where(held_out(F.col("pair_id"))), found)).first()
-            rows.append((name, weights, float(acc or 0), int(n)))
-    return spark.createDataFrame(rows, "pairs string, weights string, accuracy double, n_pairs long")
+    """The likelihood-weighted loss on all pairs and on those of the whole selection, turned as selected."""
+    run = _graded_run(spark, sf_dir)
+    both = lambda s: {"all": _plain(s), "selected": preset(s, "full", _own_tau(s))}
+    rows = [_trained(spark, sf_dir, both, policy.PolicyConfig(weights=w, rounds=6), run).withColumn("weights", F.lit(w)) for w in ("none", "likelihood")]
+    return reduce(DataFrame.unionByName, rows)
 
 
 @_query("q_model_overlap")
@@ -595,26 +668,56 @@ def q_model_overlap(spark, sf_dir):
     return analysis.overlap(kept, "word")
 
 
+def _methods(train: DataFrame, losses: DataFrame) -> dict[str, DataFrame]:
+    """Every selector's pairs, oriented where the method orients."""
+    n = _half(train)
+    kept = {name: _plain(f(train, n)) for name, (f, _) in _BASELINES.items() if name not in _VARIANTS}
+    return kept | {"full": _plain(train), "ensemble": _plain(baselines.by_ensemble_easiness(train, losses, n)), "two_stage": preset(train, "full", _own_tau(train))}
+
+
 @_query("q_leaderboard")
 def q_leaderboard(spark, sf_dir):
-    """All selectors trained on and judged by held-out accuracy, win rate and length, with ranks (stand-in numbers)."""
-    _, signals, _, feats, ref = _graded_run(spark, sf_dir)
-    train = materialised(signals.where(~held_out(F.col("pair_id"))), "train")
-    n, tau = _half(train), _own_tau(train)
+    """All selectors trained on and judged by held-out accuracy, win rate and the length of what they prefer, with ranks (stand-in numbers)."""
+    run = _graded_run(spark, sf_dir)
+    feats, ref = run[3:]
     losses = materialised(policy.ensemble_losses(feats, ref, policy.PolicyConfig(rounds=5)), "losses")
-    methods = {name: (f(train, n), False) for name, (f, _) in _BASELINES.items() if name not in ("map_signed", "im_em_prob")}
-    methods |= {"full": (train, False), "ensemble": (baselines.by_ensemble_easiness(train, losses, n), False), "two_stage": (preset(train, "full", tau), True)}
+    got = _trained(spark, sf_dir, lambda train: _methods(train, losses), policy.PolicyConfig(rounds=5), run)
+    long = got.select(F.col("setting").alias("method"), F.lit("word").alias("backbone"), F.expr("stack(3, 'accuracy', accuracy, 'wr', wr, 'length', length) AS (metric, value)"))
+    return evaluate.leaderboard(long)
+
+
+@_query("q_main_table")
+def q_main_table(spark, sf_dir):
+    """Methods, the untuned reference among them, by two backbones and three sets: held-out pairs (win rate, length-controlled
+    one, length), the third of them that is hardest for the reference (win rate), dialogues (score over turns, then conversations)."""
     rows = []
-    for name, (kept, turns) in methods.items():
-        ids = kept.select("pair_id", (F.col("flipped") if turns else F.lit(False)).alias("flipped"))
-        turn = lambda x: F.struct(x["feat"].alias("feat"), F.when(F.col("flipped"), x["l"]).otherwise(x["w"]).alias("w"), F.when(F.col("flipped"), x["w"]).otherwise(x["l"]).alias("l"))
-        mine = feats.join(ids, "pair_id").withColumns({"feats": F.transform("feats", turn), **{a: F.when(F.col("flipped"), F.col(b)).otherwise(F.col(a)) for a, b in (("n_w", "n_l"), ("n_l", "n_w"), ("ref_w", "ref_l"), ("ref_l", "ref_w"))}})
-        found = policy.train_policies(mine, ref, policy.PolicyConfig(split="shared", rounds=5))
-        test = policy.with_policy_scores(feats.where(held_out(F.col("pair_id"))), found).join(signals.select("pair_id", "ext_w", "ext_l", "len_w"), "pair_id")
-        picks = S.implicit_margin("pos") > 0
-        acc, wr, length = test.agg(F.avg(picks.cast("double")), F.avg(F.when(picks == (F.col("ext_w") > F.col("ext_l")), 1.0).otherwise(0.0)), F.avg("len_w")).first()
-        rows += [(name, "word", k, round(float(v or 0), 6)) for k, v in (("accuracy", acc), ("wr", wr), ("length", length))]
-    return evaluate.leaderboard(spark.createDataFrame(rows, "method string, backbone string, metric string, value double"))
+    talks = materialised(P.dialog_pairs(spark, sf_dir), "dialogues")
+    judge = talks.select("pair_id", F.length("chosen").alias("len_w"), F.length("rejected").alias("len_l")).join(policy.external_scores(talks), "pair_id")
+    for family in ("word", "ending"):
+        cfg = policy.PolicyConfig(family=family, rounds=5)
+        _, signals, _, feats, ref = _graded_run(spark, sf_dir, cfg)
+        train = materialised(signals.where(~held_out(F.col("pair_id"))), "train")
+        losses = materialised(policy.ensemble_losses(feats, ref, replace(cfg, rounds=3)), "losses")
+        kept = {name: materialised(df.select("pair_id", "flipped"), "kept") for name, df in _methods(train, losses).items()}
+        found = policy.train_many(feats, ref, kept, replace(cfg, split="shared"))
+        said = policy.featurise(talks, ref, cfg)
+
+        def measured(rows_: DataFrame, signals_: DataFrame) -> DataFrame:
+            """Judgements of all methods; the untuned reference prefers the response of the larger mean log-probability."""
+            untuned = rows_.select(F.lit("init").alias("method"), "pair_id", (F.try_divide("ref_w", "n_w") > F.try_divide("ref_l", "n_l")).alias("pick"))
+            return materialised(evaluate.judged(policy.preferences(rows_, found).unionByName(untuned.where("pick IS NOT NULL")), signals_), "judged")
+
+        hard = feats.select("pair_id", F.abs(F.try_divide("ref_w", "n_w") - F.try_divide("ref_l", "n_l")).alias("clear"))
+        test = signals.where(held_out(F.col("pair_id"))).select("pair_id", "ext_w", "ext_l", "len_w", "len_l")
+        a, c = measured(feats.where(held_out(F.col("pair_id"))), test), measured(said, judge)
+        b = evaluate.harder_set(a.join(hard.withColumn("hardness", -F.col("clear")), "pair_id"), "hardness")
+        talk = c.select("method", F.floor(F.col("pair_id") / 1000).alias("prompt_id"), (10 * F.col("p_win")).alias("score"))
+        parts = [
+            (evaluate.win_rate(a), "a_wr", "wr"), (evaluate.length_controlled_win_rate(a), "a_lc", "lc"), (evaluate.mean_length(a), "a_length", "length"),
+            (evaluate.win_rate(b), "b_wr", "wr"), (evaluate.mean_score(talk), "c_score", "score"),
+        ]
+        rows += [df.select("method", F.lit(family).alias("backbone"), F.lit(m).alias("metric"), F.round(v, 4).alias("value")) for df, m, v in parts]
+    return evaluate.leaderboard(reduce(DataFrame.unionByName, rows))
 
 
 @_query("q_squeeze")

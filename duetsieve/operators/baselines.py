@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions import signals as S
 from ..functions.columns import MICRO, portable_hash
-from .cutoff import top_n
+from .cutoff import distributed_rank, top_n
 
 
 def _whole(x: Column) -> Column:
@@ -46,10 +46,15 @@ def by_alignment_potential(df: DataFrame, n: int, mode: str = "abs_abs") -> Data
 
 
 def by_combined_margin(df: DataFrame, n: int, how: str = "zsum") -> DataFrame:
-    """Both margins, standardised and added (zsum), or as odds of two logistic probabilities (prob)."""
-    if how not in ("zsum", "prob"):
+    """Both margins, standardised and added (zsum), as odds of two logistic probabilities (prob), or by the sum of their ranks (ranksum)."""
+    if how not in ("zsum", "prob", "ranksum"):
         raise ValueError(f"no way to combine margins: {how}")
     im, em = S.implicit_margin("pos"), S.external_margin()
+    if how == "ranksum":
+        ranked = df
+        for name, margin in (("_by_im", im), ("_by_em", em)):
+            ranked = distributed_rank(ranked, [_whole(margin).asc(), F.col("pair_id").asc()], name)
+        return top_n(ranked, F.col("_by_im") + F.col("_by_em"), n).drop("_by_im", "_by_em")
     if how == "prob":
         return top_n(df, F.round(im + em, 6), n)  # the log odds of independent logistic probabilities add up
     stats = df.agg(F.avg(im).alias("im_mean"), F.stddev_pop(im).alias("im_sd"), F.avg(em).alias("em_mean"), F.stddev_pop(em).alias("em_sd")).first()
@@ -77,12 +82,16 @@ def by_random(df: DataFrame, n: int, seed: int = 1) -> DataFrame:
     return top_n(df, portable_hash(f"order:{seed}:", F.col("pair_id")), n, ascending=True)
 
 
+def formula_blend(k: int) -> float:
+    return (k % 3) / 4 + (k // 3) / 8
+
+
 def formula_losses(df: DataFrame, models: int = 6, beta: float = 0.1) -> DataFrame:
-    """Losses of stand-in reference models: two halves by three seeds, each with its own blend of the two margins."""
+    """Losses of stand-in reference models, for pairs without text: two halves by three seeds, no two of one formula."""
     rows = []
     m_pos, m_inv = S.implicit_margin("pos"), S.implicit_margin("inv")
     for k in range(models):
-        margin = m_pos - m_inv * (k % 3) / 4
+        margin = m_pos - m_inv * formula_blend(k)
         seen = portable_hash("half:ensemble:", F.col("pair_id")) % 2 == k // 3 % 2
         rows.append(F.struct(F.lit(k).alias("model"), seen.alias("seen"), _whole(S.pair_loss(margin, beta)).alias("loss")))
     return df.select("pair_id", F.inline(F.array(*rows)))

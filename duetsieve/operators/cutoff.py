@@ -20,8 +20,7 @@ def top_n(df: DataFrame, score: Column, n: int, ascending: bool = False) -> Data
     scored = df.withColumn("_score", score).where("_score IS NOT NULL AND NOT isnan(_score)")
     if n <= HEAP_ROWS:
         return scored.orderBy(F.col("_score").asc() if ascending else F.col("_score").desc(), "pair_id").limit(n).drop("_score")
-    whole = F.floor(F.col("_score") * 1_000_000 + 0.5).cast("long")
-    return _cut(scored.withColumn("_score", -whole if ascending else whole), n).drop("_score")
+    return _cut(scored, n, ascending).drop("_score")
 
 
 def top_share(df: DataFrame, score: Column, percent: float, base: int | None = None) -> DataFrame:
@@ -33,29 +32,45 @@ def top_share(df: DataFrame, score: Column, percent: float, base: int | None = N
     return _cut(scored, max(1, int(n * percent // 100)) if n else 0).drop("_score")
 
 
-def _cut(scored: DataFrame, n: int) -> DataFrame:
-    """The n rows of the largest ``_score``: histograms narrow down the bin that holds rank n, heaps settle it."""
-    if n <= 0:
-        return scored.limit(0)
-    lo, hi, rows = scored.agg(F.min("_score"), F.max("_score"), F.count(F.lit(1))).first()
-    if rows <= n:
-        return scored
-    above, inside = 0, rows
-    while inside > HEAP_ROWS and hi > lo:
-        width = max(1, -(-(hi - lo + 1) // BINS))
-        bin_ = F.floor((F.col("_score") - lo) / width)
-        counts = dict(scored.where(F.col("_score").between(lo, hi)).groupBy(bin_.alias("b")).count().collect())  # BINS rows
+def _bins(score: Column, lo, hi) -> Column:
+    """0 to about BINS, never falling as the score rises; over the highest value it is above that of the lowest."""
+    if isinstance(lo, float):
+        lo, hi = max(lo, -1e308), min(hi, 1e308)
+        width = hi / BINS - lo / BINS
+        if lo + width == lo or not width:  # too narrow to be divided
+            return (score >= hi).cast("long")
+        return F.floor(F.greatest(F.least(score, F.lit(hi)), F.lit(lo)) / width - lo / width).cast("long")
+    # Decimals, as the span of two longs may exceed a long.
+    return F.floor((score.cast("decimal(20,0)") - F.lit(lo).cast("decimal(20,0)")).cast("decimal(38,0)") / F.lit(-(-(hi - lo + 1) // BINS)).cast("decimal(20,0)")).cast("long")
+
+
+def _cut(scored: DataFrame, n: int, ascending: bool = False) -> DataFrame:
+    """The n best rows by ``_score``, then pair_id: counts by bin narrow down the bin that holds rank n, heaps settle it.
+
+    Where one score alone holds rank n and too many rows, its rows are cut by pair_id in the same way.
+    """
+    sure, rest, left, by_id = scored.limit(0), scored, n, False
+    while left > 0:
+        lo, hi, rows = rest.agg(F.min("_score"), F.max("_score"), F.count(F.lit(1))).first()
+        if rows <= left:
+            return sure.unionByName(rest)
+        if rows <= HEAP_ROWS or (by_id and lo == hi):
+            best = F.col("_score").asc() if ascending else F.col("_score").desc()
+            return sure.unionByName(rest.orderBy(best, "pair_id").limit(left))
+        if lo == hi:
+            rest, by_id = rest.withColumn("_score", F.col("pair_id") if ascending else -F.col("pair_id")), True
+            sure = sure.withColumn("_score", F.col("pair_id"))
+            continue
+        binned = rest.withColumn("_bin", _bins(F.col("_score"), lo, hi) * (-1 if ascending else 1))
+        counts = dict(binned.groupBy("_bin").count().collect())  # BINS rows
+        above = 0
         for b in sorted(counts, reverse=True):
-            if above + counts[b] >= n:
+            if above + counts[b] >= left:
                 break
             above += counts[b]
-        lo, hi, inside = lo + b * width, min(hi, lo + (b + 1) * width - 1), counts[b]
-    edge = scored.where(F.col("_score").between(lo, hi)).orderBy(F.col("_score").desc(), "pair_id").limit(n - _count_above(scored, hi, above))
-    return scored.where(F.col("_score") > hi).unionByName(edge)
-
-
-def _count_above(scored: DataFrame, hi: int, known: int) -> int:
-    return known if known else scored.where(F.col("_score") > hi).count()
+        sure = sure.unionByName(binned.where(F.col("_bin") > b).drop("_bin"))
+        rest, left = binned.where(F.col("_bin") == b).drop("_bin"), left - above
+    return sure
 
 
 def distributed_rank(df: DataFrame, order: list[Column], name: str = "position") -> DataFrame:

@@ -28,13 +28,15 @@ def mean_score(j: DataFrame) -> DataFrame:
 def length_controlled_win_rate(j: DataFrame, steps: int = 8, ridge: float = 1e-6) -> DataFrame:
     """Win rate at no length difference: logistic in tanh of the scaled difference, Newton over five sums a step, all methods at once.
 
-    Falls back to the plain win rate (``controlled`` false) where lengths do not vary or the fit diverges.
+    Falls back to the plain win rate (``controlled`` false) where lengths do not vary, or where the last step still
+    moves: wins that lengths or nothing at all separate have no finite fit.
     """
     spark = j.sparkSession
     diff = F.col("len_model") - F.col("len_base")
     scale = j.groupBy("method").agg(F.stddev_pop(diff).alias("sd"), F.avg("p_win").alias("wr"), F.count(F.lit(1)).alias("n")).collect()  # a row a method
     state = {r["method"]: [0.0, 0.0] for r in scale if r["sd"]}
     spread = {r["method"]: r["sd"] for r in scale if r["sd"]}
+    moved: dict[str, float] = {}
     for _ in range(steps):
         if not state:
             break
@@ -47,15 +49,29 @@ def length_controlled_win_rate(j: DataFrame, steps: int = 8, ridge: float = 1e-6
             a, b = state[row["method"]]
             h = np.array([[row["h00"] + ridge, row["h01"]], [row["h01"], row["h11"] + ridge]])
             da, db = np.linalg.solve(h, [row["g0"] - ridge * a, row["g1"] - ridge * b])
+            moved[row["method"]] = float(abs(da) + abs(db))
             state[row["method"]] = [float(np.clip(a + da, -20, 20)), float(np.clip(b + db, -20, 20))]
     rows = []
     for r in scale:
         a, b = state.get(r["method"], (None, None))
-        fitted = a is not None and abs(a) < 19 and abs(b) < 19
+        fitted = a is not None and moved[r["method"]] < 1e-3
         rows.append((r["method"], round(100 / (1 + float(np.exp(-a))) if fitted else 100 * r["wr"], 4), round(100 * r["wr"], 4), bool(fitted)))
     return spark.createDataFrame(rows, "method string, lc double, wr double, controlled boolean")
 
 
+def harder_set(j: DataFrame, difficulty: str, share: int = 3) -> DataFrame:
+    """The judgements of the harder set: of the judged prompts the one in ``share`` with the largest ``difficulty``."""
+    cut = j.select("pair_id", difficulty).distinct().agg(F.percentile_approx(difficulty, 1 - 1 / share, 1_000_000)).first()[0]
+    return j.where(F.col(difficulty) >= F.lit(cut)) if cut is not None else j
+
+
+def judged(picks: DataFrame, signals: DataFrame) -> DataFrame:
+    """A judgement for each method and pair: the response it prefers against the other, by external reward, ties one half."""
+    won = F.when(F.col("ext_w") == F.col("ext_l"), 0.5).otherwise((F.col("pick") == (F.col("ext_w") > F.col("ext_l"))).cast("double"))
+    own = lambda a, b: F.when(F.col("pick"), F.col(a)).otherwise(F.col(b))
+    return picks.join(signals, "pair_id").select(*picks.columns, won.alias("p_win"), own("len_w", "len_l").alias("len_model"), own("len_l", "len_w").alias("len_base"))
+
+
 def leaderboard(results: DataFrame) -> DataFrame:
     """Rank of every method for each backbone and metric, larger is better; ties share a rank."""
     return results.withColumn("rank", F.dense_rank().over(Window.partitionBy("backbone", "metric").orderBy(F.col("value").desc())))

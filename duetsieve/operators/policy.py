@@ -130,14 +130,13 @@ def train_policies(features: DataFrame, ref: Reference, cfg: PolicyConfig, order
             row = np.repeat(np.arange(len(n)), n)
             f, w, l = (flat.field(c).to_numpy() for c in ("feat", "w", "l"))  # noqa: E741
             nw, nl, half_ = (b.column(c).to_numpy() for c in ("n_w", "n_l", "half"))
-            mean_ll = (b.column("ref_w").to_numpy() / np.maximum(nw, 1) + b.column("ref_l").to_numpy() / np.maximum(nl, 1)) / MICRO
             for p, sign in enumerate((1.0, -1.0)):
                 reward_w = np.bincount(row, w * theta[p, f], len(n)) - nw * log_z[p]
                 reward_l = np.bincount(row, l * theta[p, f], len(n)) - nl * log_z[p]
                 margin = reward_w - reward_l
                 mine = np.ones(len(n)) if cfg.split == "shared" else (half_ == p).astype(float)
                 if cfg.weights == "likelihood":
-                    mine = mine * np.exp(np.clip(mean_ll / 8, -5, 0))
+                    mine = mine * likelihood_weight(b)
                 z = sign * cfg.beta * margin
                 pull = mine * sign * cfg.beta / (1 + np.exp(np.clip(z, -30, 30)))
                 total[p] += np.bincount(f, pull[row] * (w - l), v) - (pull * (nw - nl)).sum() * q[p]
@@ -165,8 +164,102 @@ def train_policies(features: DataFrame, ref: Reference, cfg: PolicyConfig, order
 
 
 def one_step(features: DataFrame, ref: Reference, cfg: PolicyConfig) -> Policies:
-    """The first gradient step from the reference: every pair weighs one half."""
-    return train_policies(features, ref, replace(cfg, rounds=1, split="shared", mask=1.0))
+    """The first gradient step from the reference, in closed form: every pair weighs one half, so that theta is a plain
+    aggregate, and the inverse policy's its negative."""
+    rows = features.where(~held_out(F.col("pair_id")))
+    n, extra = rows.agg(F.count(F.lit(1)), F.sum(F.col("n_w") - F.col("n_l"))).first()
+    diffs = rows.select(F.inline("feats")).groupBy("feat").agg(F.sum(F.col("w") - F.col("l")).alias("d")).collect()  # a row a feature
+    sums = np.zeros(cfg.vocabulary)
+    for r in diffs:
+        sums[r["feat"]] = r["d"]
+    step = np.round(0.01 * cfg.rate * cfg.beta / 2 * (sums - (extra or 0) * ref.mass) / max(n, 1), 9)
+    theta = np.stack([step, -step])
+    return Policies(theta, np.log((ref.mass * np.exp(theta)).sum(1)))
+
+
+def turned(features: DataFrame, kept: DataFrame) -> DataFrame:
+    """Feature rows of the pairs in ``kept`` (pair_id, flipped, more), with both responses exchanged where flipped."""
+    turn = lambda x: F.struct(x["feat"].alias("feat"), F.when(F.col("flipped"), x["l"]).otherwise(x["w"]).alias("w"), F.when(F.col("flipped"), x["w"]).otherwise(x["l"]).alias("l"))
+    swap = {a: F.when(F.col("flipped"), F.col(b)).otherwise(F.col(a)) for a, b in (("n_w", "n_l"), ("n_l", "n_w"), ("ref_w", "ref_l"), ("ref_l", "ref_w"))}
+    return features.join(kept, "pair_id").withColumns({"feats": F.transform("feats", turn), **swap})
+
+
+def train_many(features: DataFrame, ref: Reference, kept: dict[str, DataFrame], cfg: PolicyConfig) -> dict[str, Policies]:
+    """Trains both policies on each selection (pair_id, flipped) in one pass a round: a bit for each selection goes with the rows."""
+    names, v = list(kept), cfg.vocabulary
+    if len(names) > 60:
+        raise ValueError("at most 60 selections at once")
+    marks = reduce(DataFrame.unionByName, (df.select("pair_id", F.lit(1 << k).cast("long").alias("member"), F.when(F.col("flipped"), 1 << k).otherwise(0).cast("long").alias("turn")) for k, df in enumerate(kept.values())))
+    marks = marks.groupBy("pair_id").agg(F.bit_or("member").alias("member"), F.bit_or("turn").alias("turn"))
+    rows = features.where(~held_out(F.col("pair_id")) & in_sample(cfg)).join(marks, "pair_id")
+    rows = materialised(rows.select("feats", "n_w", "n_l", "ref_w", "ref_l", "member", "turn"), "trainings")
+    theta, log_z = np.zeros((len(names), 2, v)), np.zeros((len(names), 2))
+    power, mass, masks = np.zeros((len(names), 2, v)), ref.mass, _masks(cfg)
+    history: dict[str, list[dict]] = {name: [] for name in names}
+
+    def gradients(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        q = mass * np.exp(theta - log_z[:, :, None])
+        total, stats = np.zeros(theta.shape), np.zeros((len(names), 2, 5))
+        for b in batches:
+            feats = b.column("feats")
+            n = np.diff(feats.offsets.to_numpy())
+            flat, each = feats.flatten(), np.repeat(np.arange(len(n)), n)
+            f, w, l = (flat.field(c).to_numpy() for c in ("feat", "w", "l"))  # noqa: E741
+            nw, nl, member, turn = (b.column(c).to_numpy() for c in ("n_w", "n_l", "member", "turn"))
+            weight = np.ones(len(n))
+            if cfg.weights == "likelihood":
+                weight = likelihood_weight(b)
+            for r in range(len(names)):
+                mine = ((member >> r) & 1) * weight
+                side = 1.0 - 2.0 * ((turn >> r) & 1)
+                for p, sign in enumerate((1.0, -1.0)):
+                    reward_w = np.bincount(each, w * theta[r, p, f], len(n)) - nw * log_z[r, p]
+                    reward_l = np.bincount(each, l * theta[r, p, f], len(n)) - nl * log_z[r, p]
+                    margin = side * (reward_w - reward_l)
+                    z = sign * cfg.beta * margin
+                    pull = mine * side * sign * cfg.beta / (1 + np.exp(np.clip(z, -30, 30)))
+                    total[r, p] += np.bincount(f, pull[each] * (w - l), v) - (pull * (nw - nl)).sum() * q[r, p]
+                    won, lost = np.where(side > 0, reward_w, reward_l), np.where(side > 0, reward_l, reward_w)
+                    stats[r, p] += [mine.sum(), (mine * (np.maximum(-z, 0) + np.log1p(np.exp(-np.abs(z))))).sum(), (mine * won).sum(), (mine * lost).sum(), (mine * (margin > 0)).sum()]
+        yield pa.RecordBatch.from_arrays([pa.array([np.concatenate([total.ravel(), stats.ravel()]).tolist()], pa.list_(pa.float64()))], ["sums"])
+
+    for step in range(cfg.rounds):
+        sums = np.sum([r["sums"] for r in rows.mapInArrow(gradients, "sums array<double>").collect()] or [np.zeros(len(names) * (2 * v + 10))], axis=0)  # a vector a task
+        grad, stats = sums[: theta.size].reshape(theta.shape), sums[theta.size :].reshape(len(names), 2, 5)
+        n = np.maximum(stats[:, :, 0], 1e-9)
+        grad = grad / n[:, :, None] * masks
+        power = 0.9 * power + 0.1 * grad * grad
+        theta = np.round(theta + cfg.rate * 0.01 * grad / (np.sqrt(power) + 1e-6), 9)
+        log_z = np.log((mass * np.exp(theta)).sum(2))
+        for r, name in enumerate(names):
+            for p, which in enumerate(("pos", "inv")):
+                loss, won, lost, right = (float(x) for x in stats[r, p, 1:] / n[r, p])
+                history[name].append({"policy": which, "step": step, "loss": loss, "reward_w": won, "reward_l": lost, "accuracy": right})
+    return {name: Policies(theta[r], log_z[r], history[name]) for r, name in enumerate(names)}
+
+
+def likelihood_weight(b: pa.RecordBatch) -> np.ndarray:
+    """Geometric mean of the two responses' token probabilities under the reference, the weight of a pair."""
+    each = [b.column(f"ref_{s}").to_numpy() / np.maximum(b.column(f"n_{s}").to_numpy(), 1) / MICRO for s in "wl"]
+    return np.exp(np.clip((each[0] + each[1]) / 2, -30, 0))
+
+
+def preferences(features: DataFrame, found: dict[str, Policies]) -> DataFrame:
+    """method, pair_id, pick for each pair and positive policy: whether it prefers the chosen response; one pass for all policies."""
+    known = features.sparkSession.sparkContext.broadcast({k: (x.theta[0], float(x.log_z[0])) for k, x in found.items()})
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            feats = b.column("feats")
+            n = np.diff(feats.offsets.to_numpy())
+            flat, each = feats.flatten(), np.repeat(np.arange(len(n)), n)
+            f, diff = flat.field("feat").to_numpy(), flat.field("w").to_numpy() - flat.field("l").to_numpy()
+            extra = b.column("n_w").to_numpy() - b.column("n_l").to_numpy()
+            for name, (theta, log_z) in known.value.items():
+                margin = np.bincount(each, diff * theta[f], len(n)) - extra * log_z
+                yield pa.RecordBatch.from_arrays([pa.array([name] * len(n), pa.string()), b.column("pair_id"), pa.array(margin > 0)], ["method", "pair_id", "pick"])
+
+    return features.select("pair_id", "feats", "n_w", "n_l").mapInArrow(work, "method string, pair_id long, pick boolean")
 
 
 def with_policy_scores(features: DataFrame, found: Policies) -> DataFrame:

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import signals as S
@@ -43,23 +43,40 @@ def gap_drift(stream: DataFrame, window: str = "1 day", width: float = 5.0, ts:
     return found.select(F.col("w.start").alias("start"), "bin", "n")
 
 
-def running_top(stream: DataFrame, table: str, k: int, checkpoint: str):
-    """Keeps a table of the k hardest pairs so far; a batch that is repeated changes nothing."""
+def running_top(stream: DataFrame, folder: str, k: int, checkpoint: str):
+    """Keeps the k hardest pairs so far, as one finished folder a batch under ``folder``, which ``top_so_far`` reads.
 
-    def merge(batch: DataFrame, _: int) -> None:
-        spark = batch.sparkSession
-        best = batch
-        if spark.catalog.tableExists(table):
-            best = spark.table(table).unionByName(batch).dropDuplicates(["pair_id"])
-        kept = best.orderBy(F.col("ang").desc(), "pair_id").limit(k)
-        kept.write.mode("overwrite").saveAsTable(f"{table}_next")
-        spark.table(f"{table}_next").write.mode("overwrite").saveAsTable(table)
+    Each batch starts from the last one finished before it and writes a folder of its own, so that a batch that is
+    repeated after a crash changes nothing, and no table is ever overwritten while it is the only copy.
+    """
+
+    def merge(batch: DataFrame, number: int) -> None:
+        before = top_so_far(batch.sparkSession, folder, number)
+        best = batch if before is None else before.unionByName(batch).dropDuplicates(["pair_id"])
+        best.orderBy(F.col("ang").desc(), "pair_id").limit(k).write.mode("overwrite").parquet(f"{folder}/batch={number:012d}")
 
     return stream.writeStream.foreachBatch(merge).option("checkpointLocation", checkpoint).trigger(availableNow=True)
 
 
+def top_so_far(spark: SparkSession, folder: str, before: int | None = None) -> DataFrame | None:
+    """The table of the last finished batch (of number below ``before``, where given); None where there is none."""
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(folder)
+    files = where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    if not files.exists(where):
+        return None
+    done = [str(x.getPath()) for x in files.listStatus(where) if files.exists(spark.sparkContext._jvm.org.apache.hadoop.fs.Path(x.getPath(), "_SUCCESS"))]
+    done = sorted(x for x in done if before is None or int(x.rpartition("=")[2]) < before)
+    return spark.read.parquet(done[-1]) if done else None
+
+
 def session_pairs(purchases: DataFrame, views: DataFrame, within: str = "1 day", late: str = "1 hour") -> DataFrame:
-    """Purchases with the same user's views of the time before: both sides bounded by watermarks."""
+    """Purchases with the same user's latest view before them, like the batch form with ``within``; both sides bounded by watermarks.
+
+    A purchase is given out when the watermark has passed it, so that no later view can change its pair.
+    """
     p = purchases.select(F.col("event_id").alias("pair_id"), "user_id", F.col("ts").alias("bought"), F.col("value").alias("ext_w")).withWatermark("bought", late)
     v = views.select(F.col("event_id").alias("view_id"), F.col("user_id").alias("viewer"), F.col("ts").alias("seen"), F.col("value").alias("ext_l")).withWatermark("seen", late)
-    return p.join(v, F.expr(f"user_id = viewer AND seen < bought AND seen >= bought - INTERVAL {within}")).drop("viewer")
+    earlier = "(seen < bought OR seen = bought AND view_id < pair_id)"
+    met = p.join(v, F.expr(f"user_id = viewer AND {earlier} AND seen <= bought AND seen >= bought - INTERVAL {within}"))
+    last = met.groupBy("pair_id", "user_id", "bought", "ext_w").agg(F.max(F.struct("seen", "view_id", "ext_l")).alias("v"))
+    return last.select("pair_id", "user_id", F.col("bought").alias("ts"), "ext_w", F.col("v.view_id").alias("view_id"), F.col("v.seen").alias("view_ts"), F.col("v.ext_l").alias("ext_l"))

@@ -160,7 +160,7 @@ def test_pairs_are_compared_as_whole_texts(spark, monkeypatch):
 
 def test_unknown_ways_to_combine_margins_are_refused(spark):
     with pytest.raises(ValueError):
-        E.baselines.by_combined_margin(P.basket_signals(spark, SMALL), 5, "ranksum")
+        E.baselines.by_combined_margin(P.basket_signals(spark, SMALL), 5, "ranks")
 
 
 def test_stream_equals_batch(spark, tmp_path):
