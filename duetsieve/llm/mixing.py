@@ -3,7 +3,8 @@
 Documents fall into cells by source, language and topic.  Iterative proportional fitting scales the cells'
 tokens until the marginals of all three meet their targets.  A cell's rate is its raked weight by its
 tokens; a document's probability is that rate by one factor, 1 at most, and the factor is solved from the
-sorted rates so that the expected tokens equal the budget.  A document is drawn where a hash of its id,
+sorted rates so that the expected tokens equal the budget.  Rounds go on until every marginal meets its target to
+``tolerance``; where they never do, since the targets contradict each other, a warning names what is missed.  A document is drawn where a hash of its id,
 read as a number in [0, 1), is less than its probability: the draw needs no state and repeats exactly.
 
 Targets without a given share follow ``tokens ^ temper`` of the input's own marginal.  Cells are few (their
@@ -17,6 +18,7 @@ input's tokens or more keeps all; other columns pass through untouched; an empty
 
 from __future__ import annotations
 
+import warnings
 from collections.abc import Callable
 from dataclasses import dataclass, field
 
@@ -32,13 +34,16 @@ FEW_CELLS = 20_000
 
 @dataclass(frozen=True)
 class Mixture:
-    """Share of the tokens to keep, tempering of targets that aren't given, given shares, rounds, seed."""
+    """Share of the tokens to keep, tempering of targets that aren't given, given shares, least and most rounds, seed, and
+    the share of all tokens by which a marginal may miss its target."""
 
     fraction: float = 0.7
     temper: float = 0.5
     given: dict[str, dict[str, float]] = field(default_factory=dict)
     rounds: int = 30
     seed: int = 17
+    most: int = 300
+    tolerance: float = 1e-6
 
 
 def topic_of(text: Column, words: Column) -> Column:
@@ -69,14 +74,26 @@ def raked(cells: DataFrame, how: Mixture) -> DataFrame:
         one = one.withColumn("_ask", ask).withColumn("_n", F.count(F.lit(1)).over(over[m]))
         one = one.withColumn(f"want_{m}", F.col("_ask") / F.sum(F.col("_ask") / F.col("_n")).over(Window.partitionBy(F.lit(0)))).drop("_ask", "_n")
     one = one.withColumn("_all", F.sum("tokens").over(Window.partitionBy(F.lit(0))).cast("double")).withColumn("weight", F.col("tokens").cast("double"))
-    for step in range(how.rounds):
-        for m in MARGINS:
-            one = one.withColumn("weight", F.when(F.col("weight") > 0, F.col("weight") * F.col(f"want_{m}") * F.col("_all") / F.sum("weight").over(over[m])).otherwise(0.0))
-        if step % 10 == 9:
-            one = saved(one, "raked").coalesce(1)
+    done, missed = 0, 1.0
+    while done < how.rounds or (missed > how.tolerance and done < how.most):
+        for _ in range(min(10, how.rounds - done) if done < how.rounds else 10):
+            done += 1
+            for m in MARGINS:
+                one = one.withColumn("weight", F.when(F.col("weight") > 0, F.col("weight") * F.col(f"want_{m}") * F.col("_all") / F.sum("weight").over(over[m])).otherwise(0.0))
+        one = saved(one, "raked").coalesce(1)
+        if done >= how.rounds:
+            missed = residual(one)
+    if missed > how.tolerance:
+        warnings.warn(f"after {done} rounds a marginal misses its target by {missed:.2g} of all tokens: the targets may contradict each other", stacklevel=2)
     return one.drop("_all")
 
 
+def residual(cells: DataFrame) -> float:
+    """The most by which a value's weight misses its target, as a share of all tokens."""
+    worst = [cells.groupBy(f"_{m}").agg(F.abs(F.sum("weight") / F.first("_all") - F.first(f"want_{m}")).alias("miss")) for m in MARGINS]
+    return max((df.agg(F.max("miss")).first()[0] or 0.0) for df in worst)
+
+
 def calibrated(cells: DataFrame, fraction: float) -> DataFrame:
     """Cells with ``probability``: min(1, factor * weight / tokens), expected tokens equal to the budget."""
     whole = Window.partitionBy(F.lit(0))

@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, text_lists
+from .common import documents, lean, text_lists
 
 BLANK = "▁"
 _RUNS = re.compile(f"{BLANK}+[^{BLANK}]*")
@@ -225,7 +225,7 @@ def encode_texts(docs: DataFrame, path: str, keep: list[str], budget: int = 1_20
                 yield pa.RecordBatch.from_arrays(cols, [*keep, "n_tokens", "ids", "decoded", "agenda_misses"])
 
     schema = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep)
-    out = docs.select(*keep, *(["text"] if "text" not in keep else [])).mapInArrow(work, f"{schema}, n_tokens long, ids string, decoded string, agenda_misses long")
+    out = docs.select(*keep, *(["text"] if "text" not in keep else [])).mapInArrow(lean(work), f"{schema}, n_tokens long, ids string, decoded string, agenda_misses long")
     return out if with_ids else out.drop("ids")
 
 
@@ -239,7 +239,7 @@ def decode_ids(encoded: DataFrame, path: str, ids: str = "ids") -> DataFrame:
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(back, pa.string())], [*batch.schema.names, "decoded"])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in encoded.schema)
-    return encoded.mapInArrow(work, f"{schema}, decoded string")
+    return encoded.mapInArrow(lean(work), f"{schema}, decoded string")
 
 
 def digest_texts(docs: DataFrame, path: str, budget: int = 1_200_000) -> DataFrame:
@@ -261,7 +261,7 @@ def digest_texts(docs: DataFrame, path: str, budget: int = 1_200_000) -> DataFra
                 cols[2] += [sha(found.voc.decode(x)) for x in ids]  # of valid texts, so that the bytes are those of a text
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(cols[0], pa.int64()), pa.array(cols[1]), pa.array(cols[2]), pa.array([found.misses] * len(texts), pa.int64())], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "agenda_misses"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(work, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string, agenda_misses long")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(lean(work), "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string, agenda_misses long")
 
 
 def piece_model() -> str:

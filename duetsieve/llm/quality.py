@@ -13,7 +13,9 @@ language, source and id are never inputs.
 
 Defined cases: a null or empty text is scored from the zero vector; null labels and labels without a
 document teach nothing; where fewer than two classes can be learned the score is the share of label 1 (0.5
-without any label); repeated rows are scored one by one; other columns are ignored; an empty table gives an
+without any label); of an id's several labels the lower one teaches, and of its several texts one, so that no more
+than ``most`` rows ever come to the driver; repeated rows are scored one by one, very long texts whole, equal texts
+alike; other columns are ignored; an empty table gives an
 empty result.
 """
 
@@ -27,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, text_array
+from .common import documents, lean, text_array
 from .wordhash import Hasher, U, blocks, mix
 
 BUCKETS = 1 << 14
@@ -57,7 +59,7 @@ def _tokens(flat: np.ndarray, ends: np.ndarray, hasher: Hasher) -> tuple[np.ndar
     place = np.flatnonzero(turn)
     word = np.searchsorted(starts, place, side="right") - 1
     nth = np.arange(len(place)) - np.searchsorted(place, starts)[word]
-    ink = (kind[place] > 32) & (nth < 8)  # blanks have no part; a shape is its first eight runs
+    ink = kind[place] > 32  # blanks have no part
     part = mix(kind[place].astype(U) * U(0x9E3779B97F4A7C15) + nth.astype(U))
     np.add.at(shape, word[ink], part[ink])
     return doc, (h >> U(50)).astype(np.int64), (mix(shape) >> U(50)).astype(np.int64)
@@ -74,7 +76,7 @@ def context_vectors(docs: DataFrame, reach: int = 2) -> np.ndarray:
     place, sign = _index_vectors()
 
     def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hasher, total = Hasher(4, fold=True), np.zeros((2, BUCKETS * DIM), np.float64)
+        hasher, total = Hasher(4, fold=True), np.zeros((2, BUCKETS * DIM), np.int64)
         for batch in batches:
             for _, _, flat, ends in blocks(text_array(batch.column("text"))):
                 doc, words, shapes = _tokens(flat, ends, hasher)
@@ -84,24 +86,25 @@ def context_vectors(docs: DataFrame, reach: int = 2) -> np.ndarray:
                         a, b = x[:-step][near], x[step:][near]
                         for k in range(4):
                             key = np.concatenate([a * DIM + place[b, k], b * DIM + place[a, k]])
-                            total[t] += np.bincount(key, np.concatenate([sign[b, k], sign[a, k]]), BUCKETS * DIM)
+                            up = np.concatenate([sign[b, k], sign[a, k]]) > 0
+                            total[t] += np.bincount(key[up], minlength=BUCKETS * DIM) - np.bincount(key[~up], minlength=BUCKETS * DIM)
         parts = total.reshape(-1, _CHUNK * DIM)
-        yield pa.RecordBatch.from_arrays([pa.array(range(len(parts)), pa.int32()), pa.array([x.astype("<f8").astype("<f4").tobytes() for x in parts], pa.binary())], ["chunk", "sums"])
+        yield pa.RecordBatch.from_arrays([pa.array(range(len(parts)), pa.int32()), pa.array([x.astype("<i8").tobytes() for x in parts], pa.binary())], ["chunk", "sums"])
 
     def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sums: dict[int, np.ndarray] = {}
         for batch in batches:
             for c, x in zip(batch.column("chunk").to_pylist(), batch.column("sums").to_pylist(), strict=True):
-                v = np.frombuffer(x, "<f4").astype(np.float64)
+                v = np.frombuffer(x, "<i8")
                 sums[c] = sums[c] + v if c in sums else v
-        yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int32()), pa.array([x.astype("<f4").tobytes() for x in sums.values()], pa.binary())], ["chunk", "sums"])
+        yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int32()), pa.array([x.tobytes() for x in sums.values()], pa.binary())], ["chunk", "sums"])
 
-    rows = docs.select("text").mapInArrow(gather, "chunk int, sums binary").repartition(16, "chunk").mapInArrow(add, "chunk int, sums binary").collect()  # of fixed size
+    rows = docs.select("text").mapInArrow(lean(gather), "chunk int, sums binary").repartition(16, "chunk").mapInArrow(lean(add), "chunk int, sums binary").collect()  # of fixed size
     out = np.zeros((2 * BUCKETS // _CHUNK, _CHUNK * DIM))
     for c, x in rows:
-        out[c] = np.frombuffer(x, "<f4")
+        out[c] = np.frombuffer(x, "<i8")
     out = out.reshape(2, BUCKETS, DIM)
-    # Sums are whole numbers: the order of adding them does not show.
+    # Sums travel as whole numbers of 64 bits: the order of adding them does not show.
     return (out / np.maximum(np.linalg.norm(out, axis=2, keepdims=True), 1e-9)).astype(np.float32)
 
 
@@ -191,7 +194,7 @@ def train(docs: DataFrame, labels: DataFrame, most: int = 12_000) -> tuple[np.nd
     spark = docs.sparkSession
     vectors = context_vectors(docs)
     taught = labels.where(F.col("quality").isin(0, 1) & F.col("doc_id").isNotNull()).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("quality")).where(~held_out(F.col("doc_id")))
-    sample = taught.orderBy(F.xxhash64("doc_id"), "doc_id", "quality").limit(most)
+    sample = taught.groupBy("doc_id").agg(F.min("quality").alias("quality")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
     known = spark.sparkContext.broadcast(vectors)
 
     def features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -201,7 +204,8 @@ def train(docs: DataFrame, labels: DataFrame, most: int = 12_000) -> tuple[np.nd
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("quality"), pa.array([r.tobytes() for r in x], pa.binary())], ["doc_id", "quality", "x"])
 
     chosen = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(sample), "doc_id")  # ``most`` rows
-    rows = sorted((r["doc_id"], r["quality"], bytes(r["x"])) for r in chosen.mapInArrow(features, "doc_id long, quality int, x binary").limit(4 * most).collect())
+    found = chosen.mapInArrow(lean(features), "doc_id long, quality int, x binary").groupBy("doc_id", "quality").agg(F.min("x").alias("x"))  # ``most`` rows
+    rows = sorted((r["doc_id"], r["quality"], bytes(r["x"])) for r in found.collect())
     x = np.array([np.frombuffer(r[2], np.float32) for r in rows]).reshape(-1, 4 * DIM)
     y = np.array([r[1] for r in rows], int)
     order = np.argsort(mix(np.array([r[0] for r in rows], np.int64).view(U)), kind="stable") if rows else np.zeros(0, int)
@@ -219,7 +223,7 @@ def classify(docs: DataFrame, labels: DataFrame, most: int = 12_000) -> DataFram
             score = net.score(pooled(text_array(batch.column("text")), vectors, hasher)).astype(float)
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(score), pa.array((score >= THRESHOLD).astype(np.int32))], ["doc_id", "score", "predicted"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(work, "doc_id long, score double, predicted int")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(lean(work), "doc_id long, score double, predicted int")
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, most: int = 12_000) -> DataFrame:
@@ -233,7 +237,7 @@ def keep_good(docs: DataFrame, labels: DataFrame, most: int = 12_000) -> DataFra
             good = net.score(pooled(text_array(batch.column("text")), vectors, hasher)) >= THRESHOLD
             yield batch.filter(pa.array(good))
 
-    return docs.mapInArrow(work, docs.schema)
+    return docs.mapInArrow(lean(work), docs.schema)
 
 
 def op2_quality(spark: SparkSession, sf_dir: str) -> DataFrame:

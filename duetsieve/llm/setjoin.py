@@ -35,7 +35,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, saved, text_array
+from .common import documents, lean, saved, text_array
 from .components import components
 from .wordhash import Hasher, U, blocks, mix
 
@@ -115,7 +115,7 @@ def rarity(docs: DataFrame, how: Similar) -> tuple[np.ndarray, dict[int, int]]:
                 sums[c] = sums[c] + v if c in sums else v
         yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int32()), pa.array([np.minimum(x, 2**31 - 1).astype("<i4").tobytes() for x in sums.values()], pa.binary())], ["chunk", "counts"])
 
-    rows = docs.select("text").mapInArrow(count, "chunk int, counts binary").repartition(16, "chunk").mapInArrow(add, "chunk int, counts binary").collect()  # of fixed size
+    rows = docs.select("text").mapInArrow(lean(count), "chunk int, counts binary").repartition(16, "chunk").mapInArrow(lean(add), "chunk int, counts binary").collect()  # of fixed size
     table, sizes = np.zeros(SKETCH, np.int64), np.zeros(64, np.int64)
     for c, x in rows:
         v = np.frombuffer(x, "<i4")
@@ -183,7 +183,7 @@ def profiles(docs: DataFrame, how: Similar, table: np.ndarray, small: int) -> Da
                     ["doc_id", "m", "s1", "s2", "parity", "keys"],
                 )
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(work, _PROFILE)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(lean(work), _PROFILE)
 
 
 def _sets(docs: DataFrame, ids: DataFrame, how: Similar) -> DataFrame:
@@ -196,7 +196,7 @@ def _sets(docs: DataFrame, ids: DataFrame, how: Similar) -> DataFrame:
                 cut = np.searchsorted(d, np.arange(b - a + 1))
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(a, b - a), pa.array([s[i:j].tobytes() for i, j in zip(cut[:-1], cut[1:], strict=True)], pa.binary())], ["doc_id", "shingles"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(ids, "doc_id", "left_semi").mapInArrow(work, "doc_id long, shingles binary")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(ids, "doc_id", "left_semi").mapInArrow(lean(work), "doc_id long, shingles binary")
 
 
 def _verified(pairs: DataFrame, docs: DataFrame, how: Similar, name: str) -> DataFrame:
@@ -216,7 +216,7 @@ def _verified(pairs: DataFrame, docs: DataFrame, how: Similar, name: str) -> Dat
                 good.append(how.den * shared >= how.num * (len(u) + len(v) - shared))
             yield batch.select(["x", "y"]).filter(pa.array(good, pa.bool_()))
 
-    return pairs.join(one, "x").join(two, "y").select("x", "y", "of_x", "of_y").mapInArrow(work, "x long, y long").distinct()
+    return pairs.join(one, "x").join(two, "y").select("x", "y", "of_x", "of_y").mapInArrow(lean(work), "x long, y long").distinct()
 
 
 def _fits(how: Similar, mx: str, my: str, px: str, py: str) -> str:

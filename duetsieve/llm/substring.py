@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import documents, text_array
+from .common import documents, lean, text_array
 from .wordhash import Hasher, U, blocks, mix
 
 _WORD = re.compile("[^\x20\x09-\x0d]+")
@@ -77,7 +77,7 @@ def _places(docs: DataFrame, first: int, length: int) -> DataFrame:
                     [pa.array(key.view(np.int64)), pa.array(ids[a + doc[at]], pa.int64()), pa.array((at - begin[doc[at]]).astype(np.int32)), pa.array(count[back] > 1)], ["key", "doc_id", "pos", "known"]
                 )
 
-    return docs.where("doc_id IS NOT NULL").select("doc_id", "text").mapInArrow(work, "key long, doc_id long, pos int, known boolean")
+    return docs.where("doc_id IS NOT NULL").select("doc_id", "text").mapInArrow(lean(work), "key long, doc_id long, pos int, known boolean")
 
 
 _ROWS = "key long, doc_id long, mark long, start int, n int, windows array<long>"
@@ -141,7 +141,7 @@ def _extended(docs: DataFrame, first: int, length: int) -> DataFrame:
                     ["key", "doc_id", "mark", "start", "n", "windows"],
                 )
 
-    return docs.select("doc_id", "mark", "text", "places").mapInArrow(work, _ROWS)
+    return docs.select("doc_id", "mark", "text", "places").mapInArrow(lean(work), _ROWS)
 
 
 def _repeated(rows: DataFrame) -> DataFrame:
@@ -188,7 +188,7 @@ def _repeated(rows: DataFrame) -> DataFrame:
             cols = [np.concatenate(x) for x in zip(*out, strict=True)]
             yield pa.RecordBatch.from_arrays([pa.array(c.astype(t)) for c, t in zip(cols, (np.int64, np.int64, np.int32, np.int32), strict=True)], ["doc_id", "mark", "start", "n"])
 
-    return laid.mapInArrow(work, "doc_id long, mark long, start int, n int")
+    return laid.mapInArrow(lean(work), "doc_id long, mark long, start int, n int")
 
 
 def _marked(docs: DataFrame) -> DataFrame:
@@ -241,7 +241,7 @@ def remove_repeats(docs: DataFrame, length: int = 20, digest: bool = False) -> D
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64()), pa.array(gone, pa.int64()), pa.array(out, pa.string())], ["doc_id", "n_words", "n_removed", name])
 
     own = _marked(docs)
-    return own.join(repeated_runs(own, length), "doc_id", "left").select("doc_id", "text", "mark", "runs").mapInArrow(work, f"doc_id long, n_words long, n_removed long, {name} string")
+    return own.join(repeated_runs(own, length), "doc_id", "left").select("doc_id", "text", "mark", "runs").mapInArrow(lean(work), f"doc_id long, n_words long, n_removed long, {name} string")
 
 
 def op10_substring(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -380,6 +380,15 @@ def test_raking_meets_its_targets(spark):
     assert (share / share.sum()).to_dict() == pytest.approx({"s0": 0.4, "s1": 0.3, "s3": 0.3}, rel=1e-4)
 
 
+def test_raking_tells_what_it_misses(spark):
+    """Sources of one language each cannot have other shares than their languages."""
+    rows = [(i, "w w w", "en" if i % 2 else "de", "a" if i % 2 else "b", "t") for i in range(40)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, topic string")
+    how = {"given": {"source": {"a": 0.9, "b": 0.1}, "lang": {"en": 0.2, "de": 0.8}}, "most": 40}
+    with pytest.warns(UserWarning, match="misses its target"):
+        assert mixing.mixed(df, mixing.Mixture(0.5, **how)).count() == 40
+
+
 def test_mixing_bears_anything(spark, odd, none):
     assert mixing.sampled(none).count() == 0
     assert mixing.sampled(odd, mixing.Mixture(1.0)).count() == odd.count()
