@@ -14,12 +14,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .functions import signals as S
-from .functions.columns import MICRO, held_out
+from .functions.columns import MICRO, held_out, judge_scores
 from .functions.sql import register_sql
-from .operators import analysis, baselines, difficulty, evaluate, hygiene, lm, polarity, policy
+from .operators import analysis, baselines, costs, difficulty, evaluate, hygiene, lm, polarity, policy, reward, scorers, sets
 from .plans.selection import PRESETS, preset, select_pairs
 from .plans.stages import materialised
-from .published import CLAIMS, TABLE
+from .published import CLAIMS, COSTS, ORDERS, TABLE
 from .sources import pairs as P
 from .sources.tables import table
 
@@ -447,12 +447,98 @@ def q_published_claims(spark, sf_dir):
     return c.join(one, ["a", "backbone", "metric"]).join(two, ["b", "backbone", "metric"]).select("a", "b", "backbone", "metric", "claimed", F.round(diff, 4).alias("found"), (F.abs(diff - F.col("claimed")) < 0.051).alias("holds"))
 
 
-_WR = {"implicit_margin": 24.6, "external_margin": 17.2, "ensemble_easiest": 25.6, "two_stage": 30.2, "two_stage_half": 28.1}
+_WR = {method: wr for method, _, wr, _ in COSTS}
 _query(
     "q_efficiency",
     "SELECT method, hours, avg_wr, round(avg_wr / hours, 4) AS efficiency FROM (VALUES " + ", ".join(f"('{m}', CAST({evaluate.compute_hours(m)} AS DOUBLE), CAST({w} AS DOUBLE))" for m, w in _WR.items()) + ") t(method, hours, avg_wr)",
 )(lambda spark, d: evaluate.efficiency(spark, _WR))
 
+_ORDERS = ", ".join(f"('{m}', {lc}e0, {wr}e0, {n})" for m, lc, wr, n in ORDERS)
+_query("q_published_orders", f"SELECT t.how, t.lc, t.wr, t.length, round(t.lc - b.lc, 4) AS lc_gain, round(t.wr - b.wr, 4) AS wr_gain FROM (VALUES {_ORDERS}) t(how, lc, wr, length), (VALUES {_ORDERS}) b(how, lc, wr, length) WHERE b.how = 'random'")(
+    lambda spark, d: (lambda t: t.join(F.broadcast(t.where("how = 'random'").select(F.col("lc").alias("lc0"), F.col("wr").alias("wr0"))), how="cross").select("how", "lc", "wr", "length", F.round(F.expr("lc - lc0"), 4).alias("lc_gain"), F.round(F.expr("wr - wr0"), 4).alias("wr_gain")))(
+        spark.createDataFrame(ORDERS, "how string, lc double, wr double, length int")
+    )
+)
+_COSTS = ", ".join(f"('{m}', {h}e0, {w}e0, {e}e0)" for m, h, w, e in COSTS)
+
+
+@_query("q_published_costs", f"SELECT method, hours, avg_wr, efficiency, round(avg_wr / hours, 4) AS found, abs(avg_wr / hours - efficiency) < 0.006 AS holds FROM (VALUES {_COSTS}) t(method, hours, avg_wr, efficiency)")
+def q_published_costs(spark, sf_dir):
+    """The printed efficiencies against win rate by hours."""
+    t, found = spark.createDataFrame(COSTS, "method string, hours double, avg_wr double, efficiency double"), F.expr("avg_wr / hours")
+    return t.select("*", F.round(found, 4).alias("found"), (F.abs(found - F.col("efficiency")) < 0.006).alias("holds"))
+
+
+@_query("q_measured_costs")
+def q_measured_costs(spark, sf_dir):
+    """What each selector takes here, from the same stored signals: rows, tasks, core seconds, bytes read and shuffled."""
+    s = _signals(spark, sf_dir)
+    n = _half(s)
+    plans = {f"two_stage_{name}": (lambda name=name: preset(s, name, TAU)) for name in PRESETS}
+    plans |= {name: (lambda f=f: f(s, n)) for name, (f, _) in _BASELINES.items()}
+    return costs.measured(spark, plans)
+
+
+# ---- selections as sets, scores from outside ------------------------------------------------------------
+
+_WITH_SELECTED = f"{_BASE}, {_SELECTED}"
+_query("q_set_common", f"{_WITH_SELECTED} SELECT pair_id FROM sel GROUP BY pair_id HAVING count(*) = 4")(lambda spark, d: sets.in_all(list(_selections(_signals(spark, d)).values())))
+_query("q_set_any", f"{_WITH_SELECTED} SELECT DISTINCT pair_id FROM sel")(lambda spark, d: sets.in_any(list(_selections(_signals(spark, d)).values())))
+_query("q_set_new", f"{_WITH_SELECTED} SELECT pair_id FROM sel GROUP BY pair_id HAVING count(*) = 1 AND min(method) = 'ours'")(
+    lambda spark, d: (lambda x: sets.newly_chosen(x.pop("ours"), list(x.values())))(_selections(_signals(spark, d)))
+)
+_query("q_top_per_group", f"{_BASE} SELECT grp, pair_id, ang, place FROM (SELECT *, row_number() OVER (PARTITION BY grp ORDER BY ang DESC, pair_id) AS place FROM clear) WHERE place <= 5")(
+    lambda spark, d: sets.top_per_group(difficulty.with_difficulty(polarity.orient_pairs(_signals(spark, d), TAU)), "grp", F.col("ang"), 5).select("grp", "pair_id", "ang", "place")
+)
+_query("q_page", f"{_BASE} SELECT pair_id, ang FROM clear ORDER BY ang DESC, pair_id LIMIT 20 OFFSET 40")(
+    lambda spark, d: sets.page(difficulty.with_difficulty(polarity.orient_pairs(_signals(spark, d), TAU)).select("pair_id", "ang"), [F.col("ang").desc(), F.col("pair_id").asc()], 40, 20)
+)
+_query("q_difficulty_tiles", f"{_BASE} SELECT tile, count(*) AS n, min(ang) AS least, max(ang) AS most FROM (SELECT ang, CAST(ntile(10) OVER (ORDER BY ang, pair_id) AS INT) AS tile FROM clear) GROUP BY tile")(
+    lambda spark, d: sets.distributed_ntile(difficulty.with_difficulty(polarity.orient_pairs(_signals(spark, d), TAU)).select("pair_id", "ang"), [F.col("ang").asc(), F.col("pair_id").asc()], 10)
+    .groupBy("tile").agg(F.count(F.lit(1)).alias("n"), F.min("ang").alias("least"), F.max("ang").alias("most"))
+)
+
+
+@_query(
+    "q_ks_by_group",
+    f"""{_BASE}, long AS (SELECT grp, CAST(floor(-ref_w / n_w / 250000) AS BIGINT) AS bin, 1 AS x, 0 AS y FROM signals UNION ALL SELECT grp, CAST(floor(-ref_l / n_l / 250000) AS BIGINT), 0, 1 FROM signals),
+c AS (SELECT grp, bin, sum(x) AS x, sum(y) AS y FROM long GROUP BY ALL),
+r AS (SELECT grp, x, abs(sum(x) OVER u / CAST(sum(x) OVER w AS DOUBLE) - sum(y) OVER u / CAST(sum(y) OVER w AS DOUBLE)) AS gap FROM c WINDOW u AS (PARTITION BY grp ORDER BY bin), w AS (PARTITION BY grp))
+SELECT grp, CAST(sum(x) AS BIGINT) AS n, round(max(gap), 6) AS ks FROM r GROUP BY grp""",
+)
+def q_ks_by_group(spark, sf_dir):
+    """How far apart the average negative log-likelihoods of chosen and rejected responses lie, by group."""
+    per = lambda s: -F.col(f"ref_{s}") / F.col(f"n_{s}")
+    return analysis.ks_by_group(_signals(spark, sf_dir), per("w"), per("l"), MICRO // 4, "grp")
+
+
+@_query(
+    "q_external_reward",
+    f"""WITH {_LINES}, r AS (SELECT l_orderkey AS pair_id, k % 2 = 1 AS w, unnest([CAST(l_quantity AS DOUBLE), CAST(l_linenumber AS DOUBLE)]) AS score FROM lines)
+SELECT pair_id, round(avg(score) FILTER (WHERE w), 4) AS ext_w, round(avg(score) FILTER (WHERE NOT w), 4) AS ext_l FROM r GROUP BY pair_id""",
+)
+def q_external_reward(spark, sf_dir):
+    """Mean reward over the dimensions of judges' JSON replies, a reply for each line of an order."""
+    reply = F.to_json(F.create_map(F.lit("amount"), F.col("l_quantity").cast("double"), F.lit("place"), F.col("l_linenumber").cast("double"), F.lit("other"), F.lit(0.0)))
+    lines = P._ranked_lines(spark, sf_dir).select(F.col("l_orderkey").alias("pair_id"), F.when(F.col("k") % 2 == 1, "w").otherwise("l").alias("side"), reply.alias("reply"))
+    scores = lines.select("pair_id", "side", F.explode(judge_scores(F.col("reply"))).alias("dim", "score"))
+    return S.external_reward(scores, ["amount", "place"]).select("pair_id", F.round("ext_w", 4).alias("ext_w"), F.round("ext_l", 4).alias("ext_l"))
+
+
+def _length_scorer():
+    """A stand-in for a model from outside: a nat for each character, a token for each word."""
+    return lambda prompts, responses: ([-float(len(r)) for r in responses], [len(r.split(" ")) for r in responses])
+
+
+@_query(
+    "q_external_scorer",
+    f"""WITH {_LINES}, p AS (SELECT l_orderkey AS pair_id, string_agg(p_brand, ' ') FILTER (WHERE k % 2 = 1) AS w, string_agg(p_brand, ' ') FILTER (WHERE k % 2 = 0) AS l FROM lines GROUP BY l_orderkey HAVING count(*) > 1)
+SELECT pair_id, -1000000 * length(w) AS ref_w, -1000000 * length(l) AS ref_l, CAST(len(string_split(w, ' ')) AS INT) AS n_w, CAST(len(string_split(l, ' ')) AS INT) AS n_l FROM p""",
+)
+def q_external_scorer(spark, sf_dir):
+    return scorers.with_scorer(P.basket_pairs(spark, sf_dir), _length_scorer)
+
+
 # ---- language models and hygiene ------------------------------------------------------------------------
 
 _TOK = "[ \\n\\t\\r]+"
@@ -479,16 +565,6 @@ s AS (SELECT u.*, CAST(floor(ln(CASE WHEN c.n_prev > 0 THEN {lm.LAMBDA} * coales
 SELECT pair_id, CAST(coalesce(sum(lp) FILTER (WHERE side = 'w'), 0) AS BIGINT) AS lp_w, CAST(coalesce(sum(times) FILTER (WHERE side = 'w'), 0) AS BIGINT) AS n_w,
   CAST(coalesce(sum(lp) FILTER (WHERE side = 'l'), 0) AS BIGINT) AS lp_l, CAST(coalesce(sum(times) FILTER (WHERE side = 'l'), 0) AS BIGINT) AS n_l FROM s GROUP BY pair_id""",
 )(lambda spark, d: lm.forced_decoding(P.dialog_pairs(spark, d), table(spark, d, "documents", "text")))
-_query(
-    "q_dedup_pairs",
-    f"""WITH {_LINES}, p AS (SELECT l_orderkey % 50 AS prompt, l_orderkey AS pair_id, string_agg(p_brand, ' ' ORDER BY k) FILTER (WHERE k = 1) AS chosen, string_agg(p_brand, ' ' ORDER BY k) FILTER (WHERE k = 2) AS rejected FROM lines GROUP BY l_orderkey HAVING count(*) > 1),
-f AS (SELECT prompt, chosen, rejected, min(pair_id) AS pair_id FROM p WHERE chosen <> rejected GROUP BY ALL)
-SELECT pair_id, chosen, rejected FROM f WHERE NOT EXISTS (SELECT 1 FROM f g WHERE g.prompt = f.prompt AND g.chosen = f.rejected AND g.rejected = f.chosen)""",
-)(
-    lambda spark, d: hygiene.drop_duplicate_pairs(
-        P.basket_pairs(spark, d).select("pair_id", (F.col("pair_id") % 50).cast("string").alias("prompt"), *[F.element_at(F.split(c, " "), 1).alias(c) for c in ("chosen", "rejected")])
-    ).select("pair_id", "chosen", "rejected")
-)
 _query(
     "q_dedup_pairs_whole",
     f"""WITH {_LINES}, p AS (
@@ -720,6 +796,22 @@ def q_main_table(spark, sf_dir):
     return evaluate.leaderboard(reduce(DataFrame.unionByName, rows))
 
 
+@_query("q_pairwise_reward")
+def q_pairwise_reward(spark, sf_dir):
+    """Held-out accuracy of the pairwise reward model on judged dimensions, against their plain mean; training pairs are noisy."""
+    pairs = P.noisy(P.graded_pairs(spark, sf_dir))
+    diff = F.zip_with(policy.judged_dims("chosen"), policy.judged_dims("rejected"), lambda a, b: a.cast("double") - b.cast("double"))
+    rows = materialised(pairs.select("pair_id", diff.alias("diff")), "differences")
+    test = held_out(F.col("pair_id"))
+    fitted = reward.fit_pairwise_reward(rows.where(~test), 4)
+    plain = reward.PairwiseReward((0.25,) * 4, True)
+    found = [
+        reward.reward_accuracy(reward.usable_differences(rows.where(test), 4), m.margin()).select(F.lit(name).alias("reward"), "accuracy", "n_pairs", F.array(*[F.lit(round(w, 6)) for w in m.weights]).alias("weights"), F.lit(m.converged).alias("converged"))
+        for name, m in (("fitted", fitted), ("mean", plain))
+    ]
+    return found[0].unionByName(found[1])
+
+
 @_query("q_squeeze")
 def q_squeeze(spark, sf_dir):
     return analysis.squeeze_index(_graded_run(spark, sf_dir)[1])

@@ -29,6 +29,11 @@ def tokens(text: Column) -> Column:
     return F.array_remove(F.split(text, TOKEN_CUT), "")
 
 
+def judge_scores(reply: Column) -> Column:
+    """A judge's JSON reply as a map of dimension to score; null where it is no JSON object of numbers."""
+    return F.from_json(reply, "map<string,double>", {"mode": "PERMISSIVE"})
+
+
 def held_out(pair_id: Column) -> Column:
     return portable_hash("split:", pair_id) % 10 >= 8
 

@@ -28,6 +28,21 @@ def compare_distribution(before: DataFrame, after: DataFrame, value: Column, wid
     return both.select("bin", "n_before", "n_after", F.round(F.abs(share("n_before") - share("n_after")), 6).alias("gap"))
 
 
+def ks_by_group(df: DataFrame, a: Column, b: Column, width: int, by: str) -> DataFrame:
+    """Kolmogorov-Smirnov distance of two measurements per group, in bins of ``width`` whole micro-units.
+
+    Bins are counted before the shuffle, so that the running sums go over bins and never over a group's rows.
+    """
+    from pyspark.sql import Window
+
+    mark = lambda x, first: F.struct(F.floor(x / width).alias("bin"), F.lit(first).alias("first"))
+    long = df.select(by, F.explode(F.array(mark(a, True), mark(b, False))).alias("m")).where("m.bin IS NOT NULL")
+    bins = long.groupBy(by, F.col("m.bin").alias("bin")).agg(F.count_if(F.col("m.first")).alias("x"), F.count_if(~F.col("m.first")).alias("y"))
+    upto, whole = Window.partitionBy(by).orderBy("bin"), Window.partitionBy(by)
+    share = lambda c: F.try_divide(F.sum(c).over(upto).cast("double"), F.sum(c).over(whole))
+    return bins.select(by, "x", F.abs(share("x") - share("y")).alias("gap")).groupBy(by).agg(F.sum("x").alias("n"), F.round(F.max("gap"), 6).alias("ks"))
+
+
 def overlap(selections: dict[str, DataFrame], ours: str) -> DataFrame:
     """Share of our pairs that each other selection holds as well: one shuffle of ids for any number of methods."""
     names = sorted(selections)

@@ -298,18 +298,19 @@ def ensemble_losses(features: DataFrame, ref: Reference, cfg: PolicyConfig = Pol
     return reduce(DataFrame.unionByName, rows)
 
 
-def external_scores(pairs: DataFrame) -> DataFrame:
-    """Four judged dimensions from the texts alone, 0 to 1: prompt overlap, variety, length, plain characters."""
+def judged_dims(c: str) -> Column:
+    """Four judged dimensions of a response from the texts alone, 0 to 1: prompt overlap, variety, length, plain characters."""
+    words = tokens(F.col(c))
+    n = F.greatest(F.size(words), F.lit(1))
+    overlap = F.size(F.array_intersect(words, tokens(F.col("prompt")))) / F.greatest(F.size(F.array_distinct(tokens(F.col("prompt")))), F.lit(1))
+    plain = F.length(F.regexp_replace(c, "[^A-Za-z .,]", "")) / F.greatest(F.length(c), F.lit(1))
+    return F.array(overlap, F.size(F.array_distinct(words)) / n, F.least(n, F.lit(400)) / 400, plain)
 
-    def dims(c: str) -> Column:
-        words = tokens(F.col(c))
-        n = F.greatest(F.size(words), F.lit(1))
-        overlap = F.size(F.array_intersect(words, tokens(F.col("prompt")))) / F.greatest(F.size(F.array_distinct(tokens(F.col("prompt")))), F.lit(1))
-        plain = F.length(F.regexp_replace(c, "[^A-Za-z .,]", "")) / F.greatest(F.length(c), F.lit(1))
-        return F.array(overlap, F.size(F.array_distinct(words)) / n, F.least(n, F.lit(400)) / 400, plain)
 
+def external_scores(pairs: DataFrame) -> DataFrame:
+    """The mean of each response's judged dimensions."""
     mean = lambda a: F.aggregate(a, F.lit(0.0), lambda s, x: s + x.cast("double")) / 4
-    return pairs.select("pair_id", F.round(mean(dims("chosen")), 6).alias("ext_w"), F.round(mean(dims("rejected")), 6).alias("ext_l"))
+    return pairs.select("pair_id", F.round(mean(judged_dims("chosen")), 6).alias("ext_w"), F.round(mean(judged_dims("rejected")), 6).alias("ext_l"))
 
 
 def policy_signals(pairs: DataFrame, texts: DataFrame, cfg: PolicyConfig = PolicyConfig()) -> tuple[DataFrame, Policies, DataFrame, Reference]:

@@ -43,6 +43,20 @@ def gap_drift(stream: DataFrame, window: str = "1 day", width: float = 5.0, ts:
     return found.select(F.col("w.start").alias("start"), "bin", "n")
 
 
+def proposed_tau(drift: DataFrame, width: float = 5.0, share: float = 0.5) -> DataFrame:
+    """For each window of ``gap_drift`` the largest bin edge as threshold that still leaves ``share`` of the pairs clear.
+
+    Reads the finished histogram: its rows are bins, whose number the data's range bounds, not pairs.
+    """
+    from pyspark.sql import Window
+
+    edge = F.when(F.col("bin") >= 0, F.col("bin")).otherwise(-F.col("bin") - width)  # of the bin's end that is nearer to zero
+    sized = drift.groupBy("start", edge.alias("tau")).agg(F.sum("n").alias("n"))
+    above = F.sum("n").over(Window.partitionBy("start").orderBy(F.col("tau").desc()))
+    found = sized.withColumns({"clear": above, "n_pairs": F.sum("n").over(Window.partitionBy("start"))})
+    return found.where(F.col("clear") >= share * F.col("n_pairs")).groupBy("start").agg(F.max_by(F.struct("tau", "clear", "n_pairs"), "tau").alias("r")).select("start", "r.*")
+
+
 def running_top(stream: DataFrame, folder: str, k: int, checkpoint: str):
     """Keeps the k hardest pairs so far, as one finished folder a batch under ``folder``, which ``top_so_far`` reads.
 
