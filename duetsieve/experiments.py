@@ -471,7 +471,7 @@ def q_published_costs(spark, sf_dir):
 
 @_query("q_measured_costs")
 def q_measured_costs(spark, sf_dir):
-    """What each selector takes here, from the same stored signals: rows, tasks, core seconds, bytes read and shuffled."""
+    """What each selector takes here, from the same stored signals: rows, tasks, core seconds, rows read and bytes shuffled."""
     s = _signals(spark, sf_dir)
     n = _half(s)
     plans = {f"two_stage_{name}": (lambda name=name: preset(s, name, TAU)) for name in PRESETS}
