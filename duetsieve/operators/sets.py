@@ -32,7 +32,7 @@ def newly_chosen(ours: DataFrame, others: list[DataFrame]) -> DataFrame:
 def top_per_group(df: DataFrame, group: str, score: Column, k: int) -> DataFrame:
     """The ``k`` largest of each group, ties to the smaller pair_id; each task keeps ``k`` of a group before the shuffle."""
     order = Window.partitionBy(group).orderBy(score.desc(), F.col("pair_id").asc())
-    return df.withColumn("place", F.row_number().over(order)).where(F.col("place") <= k)
+    return df.withColumn("place", F.row_number().over(order)).where(F.col("place") <= k).withColumn("place", F.col("place").cast("long"))
 
 
 def page(df: DataFrame, order: list[Column], first: int, size: int) -> DataFrame:
