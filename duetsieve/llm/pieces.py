@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import documents, lean, text_lists
+from .common import documents, kept, lean, text_array, text_lists
 
 BLANK = "▁"
 _RUNS = re.compile(f"{BLANK}+[^{BLANK}]*")
@@ -199,15 +199,9 @@ class Encoder:
         return out if self.check() else self.batch(texts)
 
 
-_ENCODERS: dict[str, Encoder] = {}
-
-
 def encoder(run: str, path: str, budget: int) -> Encoder:
     """This worker's encoder for one run of a query."""
-    if run not in _ENCODERS:
-        _ENCODERS.clear()
-        _ENCODERS[run] = Encoder(path, budget)
-    return _ENCODERS[run]
+    return kept(run, lambda: Encoder(path, budget))
 
 
 def encode_texts(docs: DataFrame, path: str, keep: list[str], budget: int = 1_200_000, with_ids: bool = True) -> DataFrame:
@@ -216,16 +210,17 @@ def encode_texts(docs: DataFrame, path: str, keep: list[str], budget: int = 1_20
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         found = encoder(run, path, budget)
-        for batch, texts in text_lists(batches):
+        for batch in batches:
+            texts = text_array(batch.column("text"))
             for at in range(0, len(texts), 512):
-                part = texts[at : at + 512]
+                part = texts.slice(at, 512).to_pylist()
                 ids = found.batch(part)
                 cols = [batch.column(c).slice(at, len(part)) for c in keep]
                 cols += [pa.array([x.count(" ") + 1 for x in ids], pa.int64()), pa.array(ids, pa.string()), pa.array([found.voc.decode(x).decode("utf-8", "replace") for x in ids], pa.string()), pa.array([found.misses] * len(part), pa.int64())]
                 yield pa.RecordBatch.from_arrays(cols, [*keep, "n_tokens", "ids", "decoded", "agenda_misses"])
 
     schema = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep)
-    out = docs.select(*keep, *(["text"] if "text" not in keep else [])).mapInArrow(lean(work), f"{schema}, n_tokens long, ids string, decoded string, agenda_misses long")
+    out = docs.select(*keep, *(["text"] if "text" not in keep else [])).mapInArrow(lean(work, run), f"{schema}, n_tokens long, ids string, decoded string, agenda_misses long")
     return out if with_ids else out.drop("ids")
 
 
@@ -251,17 +246,16 @@ def digest_texts(docs: DataFrame, path: str, budget: int = 1_200_000) -> DataFra
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         found = encoder(run, path, budget)
-        for batch, texts in text_lists(batches):
-            cols: list[list] = [[], [], []]
+        for batch in batches:
+            texts, cols = text_array(batch.column("text")), [[], [], []]
             for at in range(0, len(texts), 512):
-                part = texts[at : at + 512]
-                ids = found.batch(part)
+                ids = found.batch(texts.slice(at, 512).to_pylist())
                 cols[0] += [x.count(" ") + 1 for x in ids]
                 cols[1] += [sha(x.encode()) for x in ids]
                 cols[2] += [sha(found.voc.decode(x)) for x in ids]  # of valid texts, so that the bytes are those of a text
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(cols[0], pa.int64()), pa.array(cols[1]), pa.array(cols[2]), pa.array([found.misses] * len(texts), pa.int64())], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "agenda_misses"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.string()), pa.array(cols[2], pa.string()), pa.array([found.misses] * len(texts), pa.int64())], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "agenda_misses"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(lean(work), "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string, agenda_misses long")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(lean(work, run), "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string, agenda_misses long")
 
 
 def piece_model() -> str:

@@ -35,6 +35,7 @@ from .wordhash import Hasher, U, blocks, mix
 BUCKETS = 1 << 14
 DIM = 32
 _CHUNK = 1 << 9
+_POOL = 1 << 18  # bytes of text whose words' vectors stand in memory at once
 THRESHOLD = 0.3
 
 # Classes of bytes for shapes; signs stand for themselves.
@@ -111,7 +112,7 @@ def context_vectors(docs: DataFrame, reach: int = 2) -> np.ndarray:
 def pooled(texts: pa.LargeStringArray, vectors: np.ndarray, hasher: Hasher) -> np.ndarray:
     """Mean and spread of the words' and shapes' vectors of each text."""
     out = np.zeros((len(texts), 4 * DIM), np.float32)
-    for a, b, flat, ends in blocks(texts):
+    for a, b, flat, ends in blocks(texts, _POOL):
         doc, words, shapes = _tokens(flat, ends, hasher)
         if not len(doc):
             continue

@@ -11,7 +11,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from duetsieve import llm
-from duetsieve.llm import ann, eliasfano, linedup, mixing, pieces, pii, quality, rules, setjoin, substring, tokenfile
+from duetsieve.llm import ann, common, eliasfano, linedup, mixing, pieces, pii, quality, rules, setjoin, substring, tokenfile
 from duetsieve.llm.components import components
 from tests.conftest import SMALL
 from tests.llm.conftest import odd_rows
@@ -128,6 +128,20 @@ def test_pieces_equal_the_library(spark, odd):
     assert sorted(r["decoded"] for r in back.collect()) == sorted(lib.decode(lib.encode(t or "")) for _, t in TEXTS)
 
 
+def test_other_work_lets_go_of_fragments():
+    import weakref
+
+    path = pieces.piece_model()
+    found = pieces.encoder("one", path, 1000)
+    found.encode("some words")
+    held = weakref.ref(found)
+    del found
+    list(common.lean(iter, "one")(iter([])))
+    assert held() is pieces.encoder("one", path, 1000)  # later tasks of the run find it
+    list(common.lean(iter)(iter([])))
+    assert held() is None
+
+
 def test_pieces_settle_for_the_library():
     enc = pieces.Encoder(pieces.piece_model(), 10)
     enc.led["good"] = "5"
