@@ -131,14 +131,17 @@ def test_pieces_equal_the_library(spark, odd):
 def test_other_work_lets_go_of_fragments():
     import weakref
 
+    from pyspark import cloudpickle
+
     path = pieces.piece_model()
     found = pieces.encoder("one", path, 1000)
     found.encode("some words")
     held = weakref.ref(found)
     del found
-    list(common.lean(iter, "one")(iter([])))
+    sent = lambda f: cloudpickle.loads(cloudpickle.dumps(f))  # noqa: E731  as workers get it
+    list(sent(common.lean(iter, "one"))(iter([])))
     assert held() is pieces.encoder("one", path, 1000)  # later tasks of the run find it
-    list(common.lean(iter)(iter([])))
+    list(sent(common.lean(iter))(iter([])))
     assert held() is None
 
 
