@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from duetsieve import experiments as E
 from duetsieve.functions import signals as S
 from duetsieve.functions.columns import held_out
-from duetsieve.operators import analysis, evaluate, hygiene, lm, policy
+from duetsieve.operators import analysis, costs, evaluate, hygiene, lm, policy
 from duetsieve.plans.selection import select_pairs, with_texts
 from duetsieve.sources import pairs as P
 from duetsieve.sources import tables
@@ -46,6 +46,12 @@ def test_query_equals_oracle(spark, duck, name):
     assert got == want
 
 
+@pytest.mark.parametrize("name", ["q_published_rank"])
+def test_spark_reads_the_tables(spark, name):
+    found = costs.measure(name, lambda: E.queries()[name](spark, SMALL))
+    assert found.rows_read >= spark.read.parquet(f"{SMALL}/lineitem.parquet").count()
+
+
 def test_texts_follow_orientation(spark):
     pairs, chosen = P.basket_pairs(spark, SMALL), select_pairs(P.basket_signals(spark, SMALL))
     got = with_texts(chosen, pairs).join(pairs.select("pair_id", F.col("chosen").alias("was")), "pair_id")
