@@ -46,7 +46,7 @@ def test_query_equals_oracle(spark, duck, name):
     assert got == want
 
 
-@pytest.mark.parametrize("name", ["q_published_rank", "q_leaderboard_rank", "q_published_claims", "q_efficiency", "q_published_orders", "q_published_costs"])
+@pytest.mark.parametrize("name", ["q_published_rank", "q_leaderboard_rank", "q_published_claims", "q_efficiency", "q_published_orders", "q_published_costs", "q_base_init"])
 def test_spark_reads_the_tables(spark, name):
     found = costs.measure(name, lambda: E.queries()[name](spark, SMALL))
     assert found.rows_read >= spark.read.parquet(f"{SMALL}/lineitem.parquet").count()
