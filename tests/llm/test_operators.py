@@ -1,6 +1,7 @@
 """The ten operators and the pipeline against brute force, round trips and held-out accuracy."""
 
 import hashlib
+import random
 import re
 import zlib
 from collections import Counter, defaultdict
@@ -277,6 +278,30 @@ def test_lines_near_copies(spark):
     assert {tuple(r) for r in linedup.similar_lines(df).collect()} == brute_lines(rows)
 
 
+def test_lines_long_and_oddly_spaced(spark):
+    rng = random.Random(6)
+    rows = []
+    for n in (1, 2, 5, 31, 32, 33, 95, 96, 97, 110, 300):  # on both sides of where parity doubles
+        base = [f"w{rng.randrange(900)}" for _ in range(n)]
+        for share in (0, 0.02, 0.08, 0.1, 0.12, 0.2):
+            line = [f"o{rng.randrange(10**6)}" if rng.random() < share else w for w in base]
+            rng.shuffle(line)
+            rows.append((len(rows), rng.choice(["", " ", "\t\n"]) + "".join(w + rng.choice([" ", "  ", "\t", "\x0b ", "\f", "\r", " \r"]) for w in line) + "\n\r\n" + " ".join(line[: n // 2])))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert {tuple(r) for r in linedup.similar_lines(df).collect()} == brute_lines(rows)
+
+
+def test_lines_are_met_and_paired_in_generated_code(spark):
+    """What is done for each key is neither interpreted nor gathered in objects: it was most of the CPU time beside the words' own."""
+    df = spark.createDataFrame([(i, f"a b c d e{i} f g h\nx{i} y z") for i in range(6)], "doc_id long, text string")
+    known = common.saved(linedup.signatures(df, 80, 100), "test-signatures")
+    plan = lambda made: made._jdf.queryExecution().executedPlan().toString()
+    met = linedup._met(known, 80, 100)
+    assert "ObjectHashAggregate" not in plan(met) and "lambda" not in plan(met)
+    none = met.limit(0)
+    assert "lambda" not in plan(linedup._pairs(known, none.select("doc_id_y", "line_y"), none.select("doc_id_y", "line_y"), 80, 100))
+
+
 # ---- 7
 
 
